@@ -23,7 +23,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .kernel import Memory, slices
+from .kernel import Memory, slices, tidy
 
 
 def hash_bytes(data: bytes) -> int:
@@ -162,4 +162,4 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool =
                 yield pa.RecordBatch.from_arrays([*part.columns, *arrays], [*part.schema.names, *own])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(encode, f"{kinds}, {'token_ids binary, ' if with_ids else ''}n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+    return docs.mapInArrow(tidy(encode), f"{kinds}, {'token_ids binary, ' if with_ids else ''}n_tokens bigint, ids_sha256 string, decoded_sha256 string")

@@ -234,7 +234,7 @@ def style_tree(pages: DataFrame) -> DataFrame:
                     ["host", "path", "kind", "feature", "n"],
                 )
 
-    rows = pages.select(host().alias("host"), "html").mapInArrow(merge, "host string, path string, kind int, feature bigint, n bigint")
+    rows = pages.select(host().alias("host"), "html").mapInArrow(tidy(merge), "host string, path string, kind int, feature bigint, n bigint")
     features = rows.groupBy("host", "path", "kind", "feature").agg(F.sum("n").alias("n"))
     nodes = features.groupBy("host", "path").agg(
         F.sum(F.when(F.col("kind") == 0, F.col("n")).otherwise(0)).alias("pages"),
@@ -268,4 +268,4 @@ def extract(pages: DataFrame, threshold: float = THRESHOLD, min_pages: int = MIN
                 yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [*names, "text", "n_chars"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.schema)
-    return joined.mapInArrow(run, f"{kinds}, text string, n_chars bigint")
+    return joined.mapInArrow(tidy(run), f"{kinds}, text string, n_chars bigint")

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .kernel import U, Words, mix, signed, slices, unsigned
+from .kernel import mix, signed, slices, tidy, U, unsigned, Words
 from .workspace import keep
 
 BLOCK = 256
@@ -103,7 +103,7 @@ def set_sizes(docs: DataFrame, size: int) -> DataFrame:
                 n = [len(s) for s in shingle_sets(part.column("text"), size)]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(n, pa.int64())], ["doc_id", "n_shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, n_shingles bigint")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint")
 
 
 SAME, CANDIDATE, SIGNATURE = 0, 1, 2
@@ -154,7 +154,7 @@ def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
         if n:
             yield from _settle(np.concatenate(sigs), np.concatenate(ids))
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "kind int, a bigint, b bigint")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "kind int, a bigint, b bigint")
 
 
 def _stars(signed_rows: DataFrame) -> DataFrame:
@@ -175,7 +175,7 @@ def _stars(signed_rows: DataFrame) -> DataFrame:
                 pairs = np.unique(np.stack([i[other], hubs[other]]), axis=1)
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["u", "v"])
 
-    return signed_rows.repartition("a").sortWithinPartitions("a", "b").mapInArrow(run, "u bigint, v bigint")
+    return signed_rows.repartition("a").sortWithinPartitions("a", "b").mapInArrow(tidy(run), "u bigint, v bigint")
 
 
 class PrefixTree:
@@ -246,7 +246,7 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sets, pa.binary())], ["id", "s"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
-    return rows.mapInArrow(run, "id bigint, s binary")
+    return rows.mapInArrow(tidy(run), "id bigint, s binary")
 
 
 def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
@@ -287,7 +287,7 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
         if found:
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
 
-    return rows.mapInArrow(run, "u bigint, v bigint")
+    return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
 def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
@@ -305,7 +305,7 @@ def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (sigs, ids, comps)], ["sig", "id", "component"])
 
     named = sets.where(F.length("s") > 0).join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    rows = named.select("id", "component", "s").mapInArrow(signed_sets, "sig bigint, id bigint, component bigint")
+    rows = named.select("id", "component", "s").mapInArrow(tidy(signed_sets), "sig bigint, id bigint, component bigint")
     open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("n")).where("a < b")
     rows = keep(rows.join(open_.select("sig", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "sig"), "open-signatures")
     own = F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")
@@ -343,7 +343,7 @@ def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
         if found:
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
 
-    return rows.mapInArrow(run, "u bigint, v bigint")
+    return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
 def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:

@@ -8,14 +8,14 @@ worker's memory is bounded by the longest text, never by the Arrow batch.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from functools import lru_cache
+import ctypes
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-CHUNK = 1 << 20
+CHUNK = 1 << 19
 U = np.uint64
 
 #: White space of the word pattern: space, and the controls 9 to 13.
@@ -39,27 +39,31 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-@lru_cache(maxsize=4)
-def _powers(which: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    out = []
-    for base in (_BASES[which], pow(_BASES[which], -1, 1 << 64)):
-        p = np.ones(1 << bits, np.uint64)
-        for b in range(bits):
-            p[1 << b : 2 << b] = p[: 1 << b] * U(pow(base, 1 << b, 1 << 64))
-        out.append(p)
-    return out[0], out[1]
+_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _powers(which: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of a base and of its inverse, ``size`` at least; the table grows and is shared."""
+    if which not in _POWERS or len(_POWERS[which][0]) < size:
+        bits = max(19, int(size - 1).bit_length())
+        out = []
+        for base in (_BASES[which], pow(_BASES[which], -1, 1 << 64)):
+            p = np.ones(1 << bits, np.uint64)
+            for b in range(bits):
+                p[1 << b : 2 << b] = p[: 1 << b] * U(pow(base, 1 << b, 1 << 64))
+            out.append(p)
+        _POWERS[which] = (out[0], out[1])
+    return _POWERS[which]
 
 
 class RollingHash:
     """Hashes of any byte ranges of one buffer (modulo 2**64, random byte weights, finalised).
 
-    The buffer is shorter than 2**26 bytes in all callers' slices but for single longer texts,
-    for which the power tables grow with it.
+    Eight bytes a byte for the sums, and tables of powers as long as the longest buffer yet.
     """
 
     def __init__(self, data: np.ndarray, which: int = 0, lower: bool = False):
-        bits = max(20, int(len(data)).bit_length())
-        power, self.inverse = _powers(which, bits)
+        power, self.inverse = _powers(which, len(data) + 1)
         table = _TABLES[which][LOWER] if lower else _TABLES[which]
         self.sums = np.zeros(len(data) + 1, np.uint64)
         np.cumsum(table[data] * power[: len(data)], out=self.sums[1:])
@@ -200,3 +204,19 @@ class Memory(dict):
             self.clear()
         self[key] = value
         return value
+
+
+def tidy(fn: Callable) -> Callable:
+    """``fn`` over record batches; at its end the worker, which may wait for long, gives free memory back."""
+
+    def run(batches):
+        try:
+            yield from fn(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except AttributeError:  # another C library
+                pass
+
+    return run

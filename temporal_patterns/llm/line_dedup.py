@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .kernel import _BASES, U, Words, mix, slices
+from .kernel import _BASES, mix, slices, tidy, U, Words
 from .spans import cut, doc_key, text_key
 
 MIN_WORDS = 5
@@ -91,7 +91,7 @@ def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
         if n:
             yield _settle(held)
 
-    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(run, "d1 bigint, d2 bigint, k bigint, th bigint, start bigint, length bigint, sure boolean")
+    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(run), "d1 bigint, d2 bigint, k bigint, th bigint, start bigint, length bigint, sure boolean")
     at = F.struct("k", "th", "start")
     same = Window.partitionBy("d1", "d2")
     ranked = units.withColumn("least", F.min(at).over(same))

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import Words, signed, slices, unsigned
+from .kernel import signed, slices, tidy, unsigned, Words
 from .quality import TARGET_LIMIT, target_ids
 
 WORD_SHARE = 1e-5
@@ -81,7 +81,7 @@ def word_counts(docs: DataFrame) -> DataFrame:
                     yield give()
         yield give()
 
-    return docs.select("text").mapInArrow(run, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(tidy(run), "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
 
 
 class Model:
@@ -168,7 +168,7 @@ def fit(docs: DataFrame, labels: DataFrame, target_limit: int = TARGET_LIMIT) ->
                     yield from give()
         yield from give()
 
-    rows = docs.select("doc_id", "text").mapInArrow(run, "kind int, key bigint, n bigint").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    rows = docs.select("doc_id", "text").mapInArrow(tidy(run), "kind int, key bigint, n bigint").groupBy("kind", "key").agg(F.sum("n").alias("n"))
     rows = keep(rows, "pair-counts")
     least = max(1, int(np.ceil(PAIR_SHARE * total)))
     pairs = rows.where((F.col("kind") == 0) & (F.col("n") >= least)).select("key", F.col("n").alias("b"))
@@ -203,4 +203,4 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([*part.columns, *map(pa.array, (w.count.astype(np.int64), t, b, t - b))], [*part.schema.names, *own])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(run, f"{kinds}, n_tokens bigint, target_entropy double, background_entropy double, score double")
+    return docs.mapInArrow(tidy(run), f"{kinds}, n_tokens bigint, target_entropy double, background_entropy double, score double")

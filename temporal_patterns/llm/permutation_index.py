@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .kernel import tidy
+
 BLOCK = 4096
 
 
@@ -122,7 +124,7 @@ def nearest(rows: DataFrame, is_query, k: int = 5, settings: IndexSettings = Ind
                 perm = permutations(_matrix(batch.column("v")), shared.value, s.prefix)
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(perm.tolist(), pa.list_(pa.int32()))], [*batch.schema.names, "perm"])
 
-    coded = vectors.mapInArrow(represent, "vec_id bigint, v array<double>, perm array<int>")
+    coded = vectors.mapInArrow(tidy(represent), "vec_id bigint, v array<double>, perm array<int>")
     posts = coded.withColumn("pivot", F.explode(F.slice("perm", 1, s.post)))
     counts = {r[0]: r[1] for r in posts.groupBy("pivot").count().collect()}  # a row for each pivot
     blocks = F.create_map(*(F.lit(x) for p, c in counts.items() for x in (p, max(1, -(-c // BLOCK))))) if counts else None
@@ -152,7 +154,7 @@ def nearest(rows: DataFrame, is_query, k: int = 5, settings: IndexSettings = Ind
                         if found:
                             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["query_id", "vec_id", "score"])
 
-    found = together.mapInArrow(search, "query_id bigint, vec_id bigint, score double")
+    found = together.mapInArrow(tidy(search), "query_id bigint, vec_id bigint, score double")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import Words, buffer, mix, slices
+from .kernel import buffer, mix, slices, tidy, Words
 
 BUCKETS = 1 << 16
 GRAM = 3
@@ -110,7 +110,7 @@ def bucket_counts(docs: DataFrame, gram: int = GRAM) -> np.ndarray:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["bucket", "n"])
 
-    rows = docs.select("text").mapInArrow(count, "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n"))
+    rows = docs.select("text").mapInArrow(tidy(count), "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n"))
     out = np.zeros(BUCKETS, np.int64)
     table = rows.toArrow()
     out[np.asarray(table.column("bucket"))] = np.asarray(table.column("n"))
@@ -132,7 +132,7 @@ def only_ids(docs: DataFrame, ids: np.ndarray) -> DataFrame:
             col = batch.column("doc_id").fill_null(-(1 << 62))
             yield batch.filter(pa.array(np.isin(np.asarray(col), ids)))
 
-    return docs.select("doc_id", "text").mapInArrow(pick, "doc_id bigint, text string")
+    return docs.select("doc_id", "text").mapInArrow(tidy(pick), "doc_id bigint, text string")
 
 
 def log_ratios(target: np.ndarray, raw: np.ndarray) -> np.ndarray:
@@ -165,7 +165,7 @@ def score_documents(docs: DataFrame, ratios: np.ndarray, gram: int = GRAM, thres
                 yield pa.RecordBatch.from_arrays([*part.columns, *map(pa.array, arrays)], [*part.schema.names, *own])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(score, f"{kinds}, {BASE}, score double, base_failed boolean, kept boolean")
+    return docs.mapInArrow(tidy(score), f"{kinds}, {BASE}, score double, base_failed boolean, kept boolean")
 
 
 def assess(docs: DataFrame, labels: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD, target_limit: int = TARGET_LIMIT) -> DataFrame:

@@ -14,6 +14,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .kernel import tidy
+
 NULL_ID = -(1 << 63)
 
 
@@ -83,4 +85,4 @@ def cut(docs: DataFrame, spans: DataFrame, with_text: bool = True) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([*columns, *(pa.array(v, k) for v, k in zip(rows, kinds))], [*kept_names, *own])
 
     kinds = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in docs.schema if f.name in kept_names)
-    return joined.mapInArrow(run, f"{kinds}n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string, spans array<struct<start: bigint, length: bigint>>")
+    return joined.mapInArrow(tidy(run), f"{kinds}n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string, spans array<struct<start: bigint, length: bigint>>")

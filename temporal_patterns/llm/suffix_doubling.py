@@ -32,12 +32,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .kernel import RollingHash, U, buffer, mix, signed, sliding_argmin, slices
+from .kernel import buffer, mix, RollingHash, signed, slices, sliding_argmin, tidy, U
 from .spans import cut, doc_key, text_key
 from .workspace import keep
 
-HELD = 400_000
-PIECE = 1 << 22
+HELD = 200_000
+PIECE = 1 << 19
 
 
 @dataclass(frozen=True)
@@ -134,7 +134,7 @@ def named_runs(docs: DataFrame, d: Doubling) -> DataFrame:
         if n:
             yield _settle(held)
 
-    return docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(run, "gram bigint, content bigint, n bigint, k bigint, th bigint, start bigint, starts bigint")
+    return docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(run), "gram bigint, content bigint, n bigint, k bigint, th bigint, start bigint, starts bigint")
 
 
 def _double(names: np.ndarray, group: np.ndarray, at: np.ndarray, have: int, length: int, mine: np.ndarray, weight: np.ndarray) -> np.ndarray:
@@ -166,10 +166,13 @@ def _double(names: np.ndarray, group: np.ndarray, at: np.ndarray, have: int, len
 
 def _found(context: list[bytes], gram: np.ndarray, starts: np.ndarray, n: np.ndarray, d: Doubling) -> np.ndarray:
     """For every window of every run, one after the other: does it occur twice in its gram's runs?"""
-    data = np.frombuffer(b"".join(context), np.uint8)
-    base = np.concatenate([[0], np.cumsum([len(c) for c in context])])[:-1]
-    hashes = RollingHash(data).grams(d.first) ^ mix(RollingHash(data, 1).grams(d.first))
-    names = np.concatenate([hashes, np.zeros(len(data) - len(hashes), np.uint64)])
+    size = np.array([len(c) for c in context])
+    base = np.cumsum(size) - size
+    names = np.zeros(int(size.sum()), np.uint64)
+    for i in range(0, len(context), 1000):
+        data = np.frombuffer(b"".join(context[i : i + 1000]), np.uint8)
+        hashes = RollingHash(data).grams(d.first) ^ mix(RollingHash(data, 1).grams(d.first))
+        names[base[i] : base[i] + len(hashes)] = hashes
     total = int(starts.sum())
     within = np.arange(total) - np.repeat(np.cumsum(starts) - starts, starts)
     at = np.repeat(base, starts) + within
@@ -200,7 +203,7 @@ def repeated_starts(docs: DataFrame, d: Doubling = Doubling()) -> DataFrame:
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(x, pa.binary() if j == 7 else pa.int64()) for j, x in enumerate(zip(*rows))], ["gram", "kinds", "copies", "k", "th", "start", "starts", "context"])
 
-    contexts = keep(texts.mapInArrow(fetch, "gram bigint, kinds bigint, copies bigint, k bigint, th bigint, start bigint, starts bigint, context binary"), "contexts")
+    contexts = keep(texts.mapInArrow(tidy(fetch), "gram bigint, kinds bigint, copies bigint, k bigint, th bigint, start bigint, starts bigint, context binary"), "contexts")
 
     def spans(flags: np.ndarray, rows: list[tuple]) -> Iterator[tuple]:
         at = 0
@@ -233,7 +236,7 @@ def repeated_starts(docs: DataFrame, d: Doubling = Doubling()) -> DataFrame:
             yield from answer(held)
 
     small = contexts.where(F.col("kinds") <= d.crowd).repartition("gram").sortWithinPartitions("gram")
-    found = small.mapInArrow(double, "k bigint, th bigint, start bigint, starts bigint")
+    found = small.mapInArrow(tidy(double), "k bigint, th bigint, start bigint, starts bigint")
 
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -243,7 +246,7 @@ def repeated_starts(docs: DataFrame, d: Doubling = Doubling()) -> DataFrame:
                 columns = [one, two, *(np.full(starts, x, np.int64) for x in (copies, k, th)), start + np.arange(starts)]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["a", "b", "copies", "k", "th", "start"])
 
-    crowded = contexts.where(F.col("kinds") > d.crowd).mapInArrow(windows, "a bigint, b bigint, copies bigint, k bigint, th bigint, start bigint")
+    crowded = contexts.where(F.col("kinds") > d.crowd).mapInArrow(tidy(windows), "a bigint, b bigint, copies bigint, k bigint, th bigint, start bigint")
     twice = crowded.groupBy("a", "b").agg(F.sum("copies").alias("n")).where("n > 1").drop("n")
     late = crowded.where("copies = 1").join(twice, ["a", "b"]).select("k", "th", "start", F.lit(1).cast("bigint").alias("starts"))
     return sure.unionByName(found).unionByName(late)

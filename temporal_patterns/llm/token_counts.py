@@ -22,7 +22,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .kernel import Memory, slices
+from .kernel import Memory, slices, tidy
 
 PAIRS_REMEMBERED = 1_000_000
 #: Fixed value: the splitting pattern of the byte-level pre-tokenizer.
@@ -193,4 +193,4 @@ def count_documents(docs: DataFrame, path: str, limit: int = 512, with_prefixes:
                 yield pa.RecordBatch.from_arrays([*part.columns, *arrays], [*part.schema.names, *own])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(run, f"{kinds}, n_bytes bigint, n_tokens bigint, over_limit boolean{', prefix_tokens array<int>' if with_prefixes else ''}")
+    return docs.mapInArrow(tidy(run), f"{kinds}, n_bytes bigint, n_tokens bigint, over_limit boolean{', prefix_tokens array<int>' if with_prefixes else ''}")
