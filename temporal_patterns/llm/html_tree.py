@@ -31,6 +31,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .kernel import RollingHash, signed, tidy
+from .workspace import keep
+
 DECAY = 0.9
 THRESHOLD = 0.2
 MIN_PAGES = 4
@@ -208,8 +211,6 @@ def style_tree(pages: DataFrame) -> DataFrame:
     """host, path, pages, presentation, content, importance of every merged node.
 
     Only containers can be removed, and of those under an article not the paragraphs and headings."""
-    from .kernel import RollingHash, signed
-
     leaves = {"p", "h1", "h2", "h3", "h4", "h5", "h6", "article", "main", "body", "html", "li", "pre", "blockquote", "td", "th", "tr", "tbody", "table"}
 
     def hashed(texts: list[str]) -> np.ndarray:
@@ -251,8 +252,6 @@ def style_tree(pages: DataFrame) -> DataFrame:
 
 def extract(pages: DataFrame, threshold: float = THRESHOLD, min_pages: int = MIN_PAGES) -> DataFrame:
     """Every row of ``pages`` with ``text`` and ``n_chars`` added (such columns are replaced)."""
-    from .workspace import keep
-
     pages = pages.drop("text", "n_chars")
     low = style_tree(pages).where((F.col("importance") < threshold) & (F.col("pages") >= min_pages))
     low = keep(low.groupBy("host").agg(F.collect_set("path").alias("__removed")), "style-tree")

@@ -44,7 +44,7 @@ PIECE = 1 << 19
 class Doubling:
     length: int = 200
     first: int = 50
-    crowd: int = 20_000
+    crowd: int = 2_000
 
 
 def _runs(data: np.ndarray, offsets: np.ndarray, d: Doubling) -> tuple[np.ndarray, ...]:
