@@ -12,8 +12,8 @@ also sends those.  A task first settles its own repeats: of equal signatures it
 the others to it, so a group of any size sends one row per task.
 
 *Joining.*  Inside a signature every set is linked to the least one if they are similar (a star; no
-pairs are listed), then components are formed; signatures that still join several components are
-compared in blocks of ``BLOCK`` sets, pairs of one component left out.  Similarity is decided in a prefix
+pairs are listed), then components are formed; sets in signatures that still join several
+components are compared in blocks of ``BLOCK`` sets, pairs of one component left out.  Similarity is decided in a prefix
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
@@ -37,7 +37,7 @@ from .components import components
 from .kernel import mix, signed, slices, tidy, U, unsigned, Words
 from .workspace import keep
 
-BLOCK = 256
+BLOCK = 128
 HELD = 600_000
 STRIDE = 64
 
@@ -157,15 +157,21 @@ def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "kind int, a bigint, b bigint")
 
 
-def _stars(signed_rows: DataFrame) -> DataFrame:
-    """u, v: every holder of a signature with its least holder; rows come sorted by signature."""
+def _stars(dealt: DataFrame) -> DataFrame:
+    """kind, u, v: every holder of a signature with its least holder, as candidates; other rows as they are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last, hub = None, 0
         for batch in batches:
             if not batch.num_rows:
                 continue
-            s, i = np.asarray(batch.column("a")), np.asarray(batch.column("b"))
+            kind, s, i = (np.asarray(batch.column(c)) for c in ("kind", "a", "b"))
+            done = kind != SIGNATURE
+            if done.any():
+                yield _rows_of(kind[done], s[done], i[done])
+            s, i = s[~done], i[~done]
+            if not len(s):
+                continue
             new = np.concatenate([[last is None or s[0] != last], s[1:] != s[:-1]])
             lead = np.maximum.accumulate(np.where(new, np.arange(len(s)), -1))
             hubs = np.where(lead >= 0, i[np.maximum(lead, 0)], hub)
@@ -173,9 +179,14 @@ def _stars(signed_rows: DataFrame) -> DataFrame:
             other = hubs != i
             if other.any():
                 pairs = np.unique(np.stack([i[other], hubs[other]]), axis=1)
-                yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["u", "v"])
+                yield _rows_of(np.full(pairs.shape[1], CANDIDATE, np.int32), pairs[0], pairs[1])
+
+    sorted_ = dealt.repartition("a").sortWithinPartitions("kind", "a", "b")
+    return sorted_.mapInArrow(tidy(run), "kind int, u bigint, v bigint")
+
 
-    return signed_rows.repartition("a").sortWithinPartitions("a", "b").mapInArrow(tidy(run), "u bigint, v bigint")
+def _rows_of(kind: np.ndarray, u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x)) for x in (kind, u, v)], ["kind", "u", "v"])
 
 
 class PrefixTree:
@@ -290,8 +301,11 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
     return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
-def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
-    """Links between components that share a signature."""
+def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
+    """Links between components that share a signature.
+
+    Sets in such signatures meet family by family (a family: what candidates connect), in blocks and pairs
+    of blocks; of those that share a signature, the ones of different components are compared."""
 
     def signed_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -306,16 +320,18 @@ def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
 
     named = sets.where(F.length("s") > 0).join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
     rows = named.select("id", "component", "s").mapInArrow(tidy(signed_sets), "sig bigint, id bigint, component bigint")
-    open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("n")).where("a < b")
-    rows = keep(rows.join(open_.select("sig", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "sig"), "open-signatures")
-    own = F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")
-    rows = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("sig", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "id", "component").distinct()
-    # two blocks' members are twice BLOCK or so; signatures with the same members are one group
-    groups = rows.groupBy("sig", "i", "j").agg(F.sort_array(F.collect_list(F.struct("component", "id"))).alias("members"))
-    groups = groups.where(F.element_at("members", 1)["component"] != F.element_at("members", -1)["component"])
-    groups = groups.groupBy("members").agg(F.min(F.struct("sig", "i", "j")).alias("g")).select(F.xxhash64("g.sig", "g.i", "g.j").alias("g"), F.inline("members"))
-    rows = groups.join(sets, "id").repartition("g").sortWithinPartitions("g")
+    open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("sig")
+    rows = rows.join(open_, "sig").groupBy("id").agg(F.first("component").alias("component"), F.collect_set("sig").alias("sigs"))
+    rows = keep(rows, "open-signatures")
+    if rows.isEmpty():
+        return rows.select(F.col("id").alias("u"), F.col("component").alias("v"))
+    families = components(candidates).select(F.col("node").alias("id"), F.col("component").alias("family"))
+    rows = rows.join(families, "id")
+    size = rows.groupBy("family").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    rows = rows.join(size, "family").withColumn("own", F.pmod(F.xxhash64("component"), F.col("blocks")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.select(F.xxhash64("family", F.least("own", "other"), F.greatest("own", "other")).alias("g"), "id", "component", "sigs", F.col("own").alias("block"))
+    rows = rows.join(sets, "id").repartition("g").sortWithinPartitions("g", "block")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, members, found = None, [], []
@@ -323,19 +339,31 @@ def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
         def answer() -> None:
             if len(members) < 2:
                 return
-            ids, sets_ = [m[0] for m in members], [np.frombuffer(m[2], np.uint64) for m in members]
-            comps = np.array([m[1] for m in members])
+            holders: dict[int, list[int]] = {}
+            for k, m in enumerate(members):
+                for x in m[2]:
+                    holders.setdefault(x, []).append(k)
+            sets_ = [np.frombuffer(m[4], np.uint64) for m in members]
+            comps, blocks = np.array([m[1] for m in members]), np.array([m[3] for m in members])
+            both = blocks[0] != blocks[-1]  # pairs inside a block are met where it stands alone
             tree = PrefixTree(sets_)
-            for k in range(len(ids)):
-                skip = comps == comps[k]
-                found.extend((ids[k], ids[j]) for j in tree.similar(sets_[k], like, skip) if ids[j] < ids[k])
+            for k, m in enumerate(members):
+                skip = np.ones(len(members), bool)
+                for x in m[2]:
+                    skip[holders[x]] = False
+                skip[: k + 1] = True
+                skip |= comps == comps[k]
+                if both:
+                    skip |= blocks == blocks[k]
+                if not skip.all():
+                    found.extend((m[0], members[j][0]) for j in tree.similar(sets_[k], like, skip))
 
         for batch in batches:
-            for g, i, c, s in zip(*(batch.column(x).to_pylist() for x in ("g", "id", "component", "s"))):
+            for g, *m in zip(*(batch.column(x).to_pylist() for x in ("g", "id", "component", "sigs", "block", "s"))):
                 if g != key:
                     answer()
                     key, members = g, []
-                members.append((i, c, s))
+                members.append(m)
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
                 found.clear()
@@ -343,19 +371,19 @@ def _left_over(sets: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
         if found:
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
 
-    return rows.mapInArrow(tidy(run), "u bigint, v bigint")
+    return rows.select("g", "id", "component", "sigs", "block", "s").mapInArrow(tidy(run), "u bigint, v bigint")
 
 
 def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     """node, component of every document that links with another one."""
-    dealt = keep(_dealt(docs, like), "dealt")
-    pairs = _stars(dealt.where(F.col("kind") == SIGNATURE).select("a", "b")).unionByName(dealt.where(F.col("kind") == CANDIDATE).select(F.col("a").alias("u"), F.col("b").alias("v")))
-    pairs = keep(pairs.distinct(), "pairs")
+    pairs = keep(_stars(_dealt(docs, like)).distinct(), "pairs")
+    equal = pairs.where(F.col("kind") == SAME).select("u", "v")
+    pairs = pairs.where(F.col("kind") == CANDIDATE).select("u", "v")
     wanted = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
     sets = keep(_sets_of(docs, wanted, like), "sets")
-    links = dealt.where(F.col("kind") == SAME).select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(_linked_stars(pairs, sets, like))
+    links = equal.unionByName(_linked_stars(pairs, sets, like))
     stars = components(links)
-    more = keep(_left_over(sets, stars, like), "late-links")
+    more = keep(_left_over(sets, pairs, stars, like), "late-links")
     if more.isEmpty():
         return stars
     return components(stars.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(more))
