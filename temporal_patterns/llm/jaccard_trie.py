@@ -17,6 +17,9 @@ components are compared in blocks of ``BLOCK`` sets, pairs of one component left
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
+Joins of texts and sets are sort-merge joins by hint: no side has a size bound, so the plan is one at every
+size.
+
 Defined cases: null and blank texts have an empty set, link with nothing and are their own component;
 equal sets link (a task's equal sets are one); repeated rows get equal answers; a null id takes part in
 no link; an empty table gives no rows.
@@ -256,15 +259,15 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
                 sets = [s.tobytes() for s in shingle_sets(part.column("text"), like.size)]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sets, pa.binary())], ["id", "s"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
     return rows.mapInArrow(tidy(run), "id bigint, s binary")
 
 
 def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
     """The pairs (u, hub v) that are similar: a hub probes the tree of its candidates, block by block."""
     salts = 64
-    members = pairs.join(sets.withColumnRenamed("id", "u"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "u", "s")
-    hubs = members.select("v", "salt").distinct().join(sets.withColumnRenamed("id", "v"), "v").select("v", "salt", F.lit(0).alias("kind"), F.col("v").alias("u"), "s")
+    members = pairs.join(sets.withColumnRenamed("id", "u").hint("merge"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "u", "s")
+    hubs = members.select("v", "salt").distinct().join(sets.withColumnRenamed("id", "v").hint("merge"), "v").select("v", "salt", F.lit(0).alias("kind"), F.col("v").alias("u"), "s")
     rows = members.unionByName(hubs).repartition("v", "salt").sortWithinPartitions("v", "salt", "kind")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -318,7 +321,7 @@ def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like:
             if sigs:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (sigs, ids, comps)], ["sig", "id", "component"])
 
-    named = sets.where(F.length("s") > 0).join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+    named = sets.where(F.length("s") > 0).join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left").withColumn("component", F.coalesce("component", "id"))
     rows = named.select("id", "component", "s").mapInArrow(tidy(signed_sets), "sig bigint, id bigint, component bigint")
     open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("sig")
     rows = rows.join(open_, "sig").groupBy("id").agg(F.first("component").alias("component"), F.collect_set("sig").alias("sigs"))
@@ -331,7 +334,7 @@ def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like:
     rows = rows.join(size, "family").withColumn("own", F.pmod(F.xxhash64("component"), F.col("blocks")).cast("int"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = rows.select(F.xxhash64("family", F.least("own", "other"), F.greatest("own", "other")).alias("g"), "id", "component", "sigs", F.col("own").alias("block"))
-    rows = rows.join(sets, "id").repartition("g").sortWithinPartitions("g", "block")
+    rows = rows.join(sets.hint("merge"), "id").repartition("g").sortWithinPartitions("g", "block")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, members, found = None, [], []
