@@ -11,9 +11,11 @@ one.  More parts than needed leave room for empty ones: only a set with more emp
 also sends those.  A task first settles its own repeats: of equal signatures it forwards one, and links
 the others to it, so a group of any size sends one row per task.
 
-*Joining.*  Inside a signature every set is linked to the least one if they are similar (a star; no
-pairs are listed), then components are formed; sets in signatures that still join several
-components are compared in blocks of ``BLOCK`` sets, pairs of one component left out.  Similarity is decided in a prefix
+*Joining.*  Inside a signature every set is a candidate of the least one (a star; no pairs are listed); each
+set is linked to the hub it shares most with if they are similar, and components are formed.  Sets in
+signatures that still hold several components meet in blocks of ``BLOCK``, first by fingerprints, whose
+distance bounds the sets' difference from below; first the nearest of each other component are tested,
+then, under the new components, all that remain.  Similarity is decided in a prefix
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
@@ -91,6 +93,21 @@ def signatures(shingles: np.ndarray, like: Likeness) -> np.ndarray:
     return np.concatenate(out)
 
 
+def fingerprints(shingles: np.ndarray, like: Likeness) -> tuple[bytes, bytes]:
+    """For the set's band and the next: a byte of each of ``2 * differ`` parts.  As many bytes as differ
+    between two sets, so many members at least does the one have and the other not."""
+    first, parts, _ = _bands(like.num, like.den)
+    band = int(np.searchsorted(first, len(shingles), "right")) - 1
+    top = shingles >> U(32)
+    mixed = np.concatenate([[U(0)], np.cumsum(mix(shingles + U(0x2C9277B5))).astype(np.uint64)])
+    out = []
+    for b in (band, band + 1):
+        k = 2 * parts[b]
+        edge = np.searchsorted((top * U(k)) >> U(32), np.arange(k + 1, dtype=np.uint64))
+        out.append((mix(mixed[edge[1:]] - mixed[edge[:-1]]) >> U(56)).astype(np.uint8).tobytes())
+    return out[0], out[1]
+
+
 def shingle_sets(texts: pa.Array, size: int) -> list[np.ndarray]:
     """Ordered distinct shingle hashes of each text."""
     h, at = Words(texts, lower=True).shingles(size)
@@ -181,8 +198,7 @@ def _stars(dealt: DataFrame) -> DataFrame:
             last, hub = s[-1], hubs[-1]
             other = hubs != i
             if other.any():
-                pairs = np.unique(np.stack([i[other], hubs[other]]), axis=1)
-                yield _rows_of(np.full(pairs.shape[1], CANDIDATE, np.int32), pairs[0], pairs[1])
+                yield _rows_of(np.full(int(other.sum()), CANDIDATE, np.int32), i[other], hubs[other])
 
     sorted_ = dealt.repartition("a").sortWithinPartitions("kind", "a", "b")
     return sorted_.mapInArrow(tidy(run), "kind int, u bigint, v bigint")
@@ -251,23 +267,29 @@ class PrefixTree:
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
-    """id, s (the ordered set as bytes) of the wanted ids."""
+    """Of the wanted ids: id, s (the ordered set as bytes), n (its size), sigs, f0 and f1 (fingerprints)."""
+    names = ["id", "s", "n", "sigs", "f0", "f1"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch):
-                sets = [s.tobytes() for s in shingle_sets(part.column("text"), like.size)]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sets, pa.binary())], ["id", "s"])
+                full = [(i, s) for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)) if len(s)]
+                f = [fingerprints(s, like) for _, s in full]
+                g = [signed(signatures(s, like)) for _, s in full]
+                at = np.concatenate([[0], np.cumsum([len(x) for x in g])]).astype(np.int32)
+                sigs = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(g) if g else np.zeros(0, np.int64)))
+                arrays = [pa.array([i for i, _ in full], pa.int64()), pa.array([s.tobytes() for _, s in full], pa.binary()), pa.array([len(s) for _, s in full], pa.int64()), sigs]
+                yield pa.RecordBatch.from_arrays([*arrays, *(pa.array([x[j] for x in f], pa.binary()) for j in (0, 1))], names)
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
-    return rows.mapInArrow(tidy(run), "id bigint, s binary")
+    return rows.mapInArrow(tidy(run), "id bigint, s binary, n bigint, sigs array<bigint>, f0 binary, f1 binary")
 
 
 def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
     """The pairs (u, hub v) that are similar: a hub probes the tree of its candidates, block by block."""
     salts = 64
-    members = pairs.join(sets.withColumnRenamed("id", "u").hint("merge"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "u", "s")
-    hubs = members.select("v", "salt").distinct().join(sets.withColumnRenamed("id", "v").hint("merge"), "v").select("v", "salt", F.lit(0).alias("kind"), F.col("v").alias("u"), "s")
+    members = pairs.join(sets.select(F.col("id").alias("u"), "s").hint("merge"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "u", "s")
+    hubs = members.select("v", "salt").distinct().join(sets.select(F.col("id").alias("v"), "s").hint("merge"), "v").select("v", "salt", F.lit(0).alias("kind"), F.col("v").alias("u"), "s")
     rows = members.unionByName(hubs).repartition("v", "salt").sortWithinPartitions("v", "salt", "kind")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -304,92 +326,96 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
     return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
-def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like: Likeness) -> DataFrame:
-    """Links between components that share a signature.
+def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like: Likeness, best: bool) -> DataFrame:
+    """Candidates (u, v) of different components that share a signature.
 
     Sets in such signatures meet family by family (a family: what candidates connect), in blocks and pairs
-    of blocks; of those that share a signature, the ones of different components are compared."""
-
-    def signed_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sigs, ids, comps = [], [], []
-            for i, c, s in zip(*(batch.column(x).to_pylist() for x in ("id", "component", "s"))):
-                g = signatures(np.frombuffer(s, np.uint64), like)
-                sigs.append(signed(g))
-                ids.append(np.full(len(g), i, np.int64))
-                comps.append(np.full(len(g), c, np.int64))
-            if sigs:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (sigs, ids, comps)], ["sig", "id", "component"])
-
-    named = sets.where(F.length("s") > 0).join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    rows = named.select("id", "component", "s").mapInArrow(tidy(signed_sets), "sig bigint, id bigint, component bigint")
+    of blocks, by their fingerprints; pairs whose fingerprints differ in more bytes than linked sets can
+    have members apart are out.  With ``best``, each set names the nearest one of every other component only."""
+    named = sets.select("id", "sigs").join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
+    rows = named.select("id", F.coalesce("component", "id").alias("component"), F.explode("sigs").alias("sig"))
     open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("sig")
-    rows = rows.join(open_, "sig").groupBy("id").agg(F.first("component").alias("component"), F.collect_set("sig").alias("sigs"))
-    rows = keep(rows, "open-signatures")
-    if rows.isEmpty():
-        return rows.select(F.col("id").alias("u"), F.col("component").alias("v"))
-    families = components(candidates).select(F.col("node").alias("id"), F.col("component").alias("family"))
-    rows = rows.join(families, "id")
+    rows = rows.join(open_.hint("merge"), "sig", "left_semi").groupBy("id").agg(F.min("component").alias("component"))
+    rows = keep(rows, "open-sets")
+    families = components(candidates.unionByName(labels.select(F.col("node").alias("u"), F.col("component").alias("v")))).select(F.col("node").alias("id"), F.col("component").alias("family"))
+    rows = rows.join(families.hint("merge"), "id")
     size = rows.groupBy("family").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    rows = rows.join(size, "family").withColumn("own", F.pmod(F.xxhash64("component"), F.col("blocks")).cast("int"))
+    rows = rows.join(size.hint("merge"), "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    rows = rows.join(sets.select("id", "n", "f0", "f1").hint("merge"), "id")
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select(F.xxhash64("family", F.least("own", "other"), F.greatest("own", "other")).alias("g"), "id", "component", "sigs", F.col("own").alias("block"))
-    rows = rows.join(sets.hint("merge"), "id").repartition("g").sortWithinPartitions("g", "block")
+    rows = rows.select(F.xxhash64("family", F.least("block", "other"), F.greatest("block", "other")).alias("g"), "block", "id", "component", "n", "f0", "f1")
+    rows = rows.repartition("g").sortWithinPartitions("g", "block")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        first, parts, _ = _bands(like.num, like.den)
         key, members, found = None, [], []
 
         def answer() -> None:
             if len(members) < 2:
                 return
-            holders: dict[int, list[int]] = {}
-            for k, m in enumerate(members):
-                for x in m[2]:
-                    holders.setdefault(x, []).append(k)
-            sets_ = [np.frombuffer(m[4], np.uint64) for m in members]
-            comps, blocks = np.array([m[1] for m in members]), np.array([m[3] for m in members])
-            both = blocks[0] != blocks[-1]  # pairs inside a block are met where it stands alone
-            tree = PrefixTree(sets_)
-            for k, m in enumerate(members):
-                skip = np.ones(len(members), bool)
-                for x in m[2]:
-                    skip[holders[x]] = False
-                skip[: k + 1] = True
-                skip |= comps == comps[k]
-                if both:
-                    skip |= blocks == blocks[k]
-                if not skip.all():
-                    found.extend((m[0], members[j][0]) for j in tree.similar(sets_[k], like, skip))
+            block, ids, comps, n = (np.array([m[j] for m in members]) for j in range(4))
+            both = block[0] != block[-1]  # pairs inside a block are met where it stands alone
+            band = np.searchsorted(first, n, "right") - 1
+            for b in np.unique(band):
+                # the larger of two sets is of band b, the smaller of band b or of the one before
+                here, below = np.flatnonzero(band == b), np.flatnonzero(band == b - 1)
+                group = np.concatenate([here, below])
+                prints = np.frombuffer(b"".join([members[k][4] for k in here] + [members[k][5] for k in below]), np.uint8).reshape(len(group), -1)
+                for k in range(len(here)):
+                    others = np.arange(k + 1, len(group))
+                    at = group[others]
+                    use = comps[at] != comps[here[k]]
+                    if both:
+                        use &= block[at] != block[here[k]]
+                    others, at = others[use], at[use]
+                    if not len(at):
+                        continue
+                    apart = np.count_nonzero(prints[others] != prints[k], axis=1)
+                    both_n = n[at] + n[here[k]]
+                    near = apart <= both_n + 2 * (-like.num * both_n // (like.num + like.den))
+                    at, apart = at[near], apart[near]
+                    if best and len(at):
+                        order = np.lexsort((ids[at], apart, comps[at]))
+                        at = at[order]
+                        at = at[np.concatenate([[True], comps[at][1:] != comps[at][:-1]])]
+                    mine = ids[here[k]]
+                    found.extend((max(mine, x), min(mine, x)) for x in ids[at].tolist() if x != mine)
+
+        def give() -> Iterator[pa.RecordBatch]:
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+                found.clear()
 
         for batch in batches:
-            for g, *m in zip(*(batch.column(x).to_pylist() for x in ("g", "id", "component", "sigs", "block", "s"))):
+            for g, *m in zip(*(batch.column(x).to_pylist() for x in ("g", "block", "id", "component", "n", "f0", "f1"))):
                 if g != key:
                     answer()
+                    yield from give()
                     key, members = g, []
                 members.append(m)
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
-                found.clear()
         answer()
-        if found:
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+        yield from give()
 
-    return rows.select("g", "id", "component", "sigs", "block", "s").mapInArrow(tidy(run), "u bigint, v bigint")
+    return rows.mapInArrow(tidy(run), "u bigint, v bigint").distinct()
 
 
 def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     """node, component of every document that links with another one."""
-    pairs = keep(_stars(_dealt(docs, like)).distinct(), "pairs")
+    pairs = keep(_stars(_dealt(docs, like)).groupBy("kind", "u", "v").agg(F.count("*").alias("shared")), "pairs")
     equal = pairs.where(F.col("kind") == SAME).select("u", "v")
-    pairs = pairs.where(F.col("kind") == CANDIDATE).select("u", "v")
+    pairs = pairs.where(F.col("kind") == CANDIDATE)
+    # first every set meets the hub it shares most with; what that leaves apart meets below
+    nearest = pairs.groupBy("u").agg(F.max(F.struct("shared", F.negative("v").alias("minus"))).alias("m")).select("u", (-F.col("m.minus")).alias("v"))
+    pairs = pairs.select("u", "v")
     wanted = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
     sets = keep(_sets_of(docs, wanted, like), "sets")
-    links = equal.unionByName(_linked_stars(pairs, sets, like))
-    stars = components(links)
-    more = keep(_left_over(sets, pairs, stars, like), "late-links")
-    if more.isEmpty():
-        return stars
-    return components(stars.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(more))
+    labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
+    for best in (True, False):
+        more = keep(_left_over(sets, pairs, labels, like, best), "left-over")
+        if not more.isEmpty():
+            links = labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(_linked_stars(more, sets, like))
+            labels = components(links)
+    return labels
 
 
 def document_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:

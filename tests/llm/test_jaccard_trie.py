@@ -23,8 +23,10 @@ def near_copies(seed, groups, copies, words, edits):
     return list(enumerate(rows))
 
 
-@pytest.mark.parametrize("like", [J.Likeness(3, 90, 100), J.Likeness(5, 80, 100), J.Likeness(1, 1, 2)])
-@pytest.mark.parametrize("shape", [(6, 60, (30, 120), 9), (40, 8, (1, 12), 3), (2, 150, (60, 90), 14)])
+LIKES = [J.Likeness(3, 90, 100), J.Likeness(5, 80, 100), J.Likeness(1, 1, 2)]
+
+
+@pytest.mark.parametrize("like,shape", list(zip(LIKES, [(6, 60, (30, 120), 9), (40, 8, (1, 12), 3), (2, 150, (60, 90), 14)])))
 def test_classes_of_near_copies(spark, monkeypatch, like, shape):
     monkeypatch.setattr(J, "BLOCK", 16)
     rows = near_copies(sum(shape[:2]), *shape)
@@ -54,6 +56,9 @@ def test_linked_sets_share_a_signature():
             b = np.unique(np.concatenate([a[rng.random(len(a)) > rng.random() * 0.15], rng.integers(0, 1 << 63, rng.integers(0, 1 + len(a) // 8)).astype(np.uint64)]))
             if len(b) and like.den * len(np.intersect1d(a, b)) >= like.num * len(np.union1d(a, b)):
                 assert np.intersect1d(J.signatures(a, like), J.signatures(b, like)).size
+                band = [int(np.searchsorted(J._bands(like.num, like.den)[0], len(x), "right")) - 1 for x in (a, b)]
+                fa, fb = (J.fingerprints(x, like)[max(band) - k] for x, k in zip((a, b), band))
+                assert sum(x != y for x, y in zip(fa, fb, strict=True)) <= len(np.setxor1d(a, b))
 
 
 def test_odd_rows(spark):
