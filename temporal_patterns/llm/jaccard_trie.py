@@ -13,9 +13,10 @@ the others to it, so a group of any size sends one row per task.
 
 *Joining.*  Inside a signature every set is a candidate of the least one (a star; no pairs are listed); each
 set is linked to the hub it shares most with if they are similar, and components are formed.  Sets in
-signatures that still hold several components meet in blocks of ``BLOCK``, first by fingerprints, whose
-distance bounds the sets' difference from below; first the nearest of each other component are tested,
-then, under the new components, all that remain.  Similarity is decided in a prefix
+signatures that still hold several components are compared by bounds that need no sets: under signatures
+of up to ``FEW`` holders, pairs by how many signatures they share; under others, in blocks of ``BLOCK``, by
+fingerprints, whose distance bounds the sets' difference from below (there the nearest of each other
+component first, and under the new components all that remain).  What the bounds leave is tested.  Similarity is decided in a prefix
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
@@ -43,6 +44,7 @@ from .kernel import mix, signed, slices, tidy, U, unsigned, Words
 from .workspace import keep
 
 BLOCK = 128
+FEW = 32
 HELD = 600_000
 STRIDE = 64
 
@@ -74,8 +76,13 @@ def _bands(num: int, den: int) -> tuple[np.ndarray, list[int], list[int]]:
     return np.array(first, np.int64), parts, spare
 
 
-def signatures(shingles: np.ndarray, like: Likeness) -> np.ndarray:
-    """Signatures of an ordered, non-empty set."""
+def _parts_of(n: int, further: int, like: Likeness) -> int:
+    first, parts, _ = _bands(like.num, like.den)
+    return parts[int(np.searchsorted(first, n, "right")) - 1 + further]
+
+
+def signatures(shingles: np.ndarray, like: Likeness) -> list[np.ndarray]:
+    """Signatures of an ordered, non-empty set, for its band and the next."""
     first, parts, spare = _bands(like.num, like.den)
     band = int(np.searchsorted(first, len(shingles), "right")) - 1
     top = shingles >> U(32)
@@ -90,7 +97,7 @@ def signatures(shingles: np.ndarray, like: Likeness) -> np.ndarray:
         which = np.flatnonzero(use)
         content = mixed[edge[1:][which]] - mixed[edge[:-1][which]]
         out.append(mix(content ^ mix((which + (b << 40)).astype(np.uint64))))
-    return np.concatenate(out)
+    return out
 
 
 def fingerprints(shingles: np.ndarray, like: Likeness) -> tuple[bytes, bytes]:
@@ -162,7 +169,7 @@ def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
                     if hub != i:
                         same.append((i, hub))
                         continue
-                    g = signatures(s, like)
+                    g = np.concatenate(signatures(s, like))
                     sigs.append(g)
                     ids.append(np.full(len(g), i, np.int64))
                     n += len(g)
@@ -267,22 +274,25 @@ class PrefixTree:
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
-    """Of the wanted ids: id, s (the ordered set as bytes), n (its size), sigs, f0 and f1 (fingerprints)."""
-    names = ["id", "s", "n", "sigs", "f0", "f1"]
+    """Of the wanted ids: id, s (the ordered set as bytes), n (its size), sigs, e0 and e1 (parts without
+    signature, in its band and the next), f0 and f1 (fingerprints)."""
+    names = ["id", "s", "n", "sigs", "e0", "e1", "f0", "f1"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch):
                 full = [(i, s) for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)) if len(s)]
                 f = [fingerprints(s, like) for _, s in full]
-                g = [signed(signatures(s, like)) for _, s in full]
+                dealt = [signatures(s, like) for _, s in full]
+                g = [signed(np.concatenate(x)) for x in dealt]
+                unsent = [[_parts_of(len(s), b, like) - len(x[b]) for (_, s), x in zip(full, dealt)] for b in (0, 1)]
                 at = np.concatenate([[0], np.cumsum([len(x) for x in g])]).astype(np.int32)
                 sigs = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(g) if g else np.zeros(0, np.int64)))
-                arrays = [pa.array([i for i, _ in full], pa.int64()), pa.array([s.tobytes() for _, s in full], pa.binary()), pa.array([len(s) for _, s in full], pa.int64()), sigs]
+                arrays = [pa.array([i for i, _ in full], pa.int64()), pa.array([s.tobytes() for _, s in full], pa.binary()), pa.array([len(s) for _, s in full], pa.int64()), sigs, *(pa.array(x, pa.int64()) for x in unsent)]
                 yield pa.RecordBatch.from_arrays([*arrays, *(pa.array([x[j] for x in f], pa.binary()) for j in (0, 1))], names)
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
-    return rows.mapInArrow(tidy(run), "id bigint, s binary, n bigint, sigs array<bigint>, f0 binary, f1 binary")
+    return rows.mapInArrow(tidy(run), "id bigint, s binary, n bigint, sigs array<bigint>, e0 bigint, e1 bigint, f0 binary, f1 binary")
 
 
 def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
@@ -326,19 +336,65 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
     return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
-def _left_over(sets: DataFrame, candidates: DataFrame, labels: DataFrame, like: Likeness, best: bool) -> DataFrame:
-    """Candidates (u, v) of different components that share a signature.
-
-    Sets in such signatures meet family by family (a family: what candidates connect), in blocks and pairs
-    of blocks, by their fingerprints; pairs whose fingerprints differ in more bytes than linked sets can
-    have members apart are out.  With ``best``, each set names the nearest one of every other component only."""
+def _open_rows(sets: DataFrame, labels: DataFrame) -> DataFrame:
+    """sig, id, component, holders of every signature that sets of several components hold."""
     named = sets.select("id", "sigs").join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
     rows = named.select("id", F.coalesce("component", "id").alias("component"), F.explode("sigs").alias("sig"))
-    open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("sig")
-    rows = rows.join(open_.hint("merge"), "sig", "left_semi").groupBy("id").agg(F.min("component").alias("component"))
-    rows = keep(rows, "open-sets")
-    families = components(candidates.unionByName(labels.select(F.col("node").alias("u"), F.col("component").alias("v")))).select(F.col("node").alias("id"), F.col("component").alias("family"))
-    rows = rows.join(families.hint("merge"), "id")
+    open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("holders")).where("a < b")
+    return keep(rows.join(open_.select("sig", "holders").hint("merge"), "sig"), "open-signatures")
+
+
+def _few_holders(rows: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
+    """Candidates (u, v) of different components among signatures of ``FEW`` holders at most: pairs that
+    share as many signatures as linked sets of their sizes have parts in common, or more."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, ids, comps, found = None, [], [], []
+
+        def answer() -> None:
+            found.extend((max(i, j), min(i, j)) for k, i in enumerate(ids) for j, c in zip(ids[:k], comps) if c != comps[k] and i != j)
+
+        for batch in batches:
+            for sig, i, c in zip(*(batch.column(x).to_pylist() for x in ("sig", "id", "component"))):
+                if sig != key:
+                    answer()
+                    key, ids, comps = sig, [], []
+                ids.append(i)
+                comps.append(c)
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+                found.clear()
+        answer()
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+
+    pairs = rows.select("sig", "id", "component").repartition("sig").sortWithinPartitions("sig").mapInArrow(tidy(run), "u bigint, v bigint")
+    pairs = pairs.groupBy("u", "v").agg(F.count("*").alias("shared"))
+    for x in "uv":
+        size = sets.groupBy(F.col("id").alias(x)).agg(*(F.max(c).alias(f"{x}{c}") for c in ("n", "e0", "e1")))
+        pairs = pairs.join(size.hint("merge"), x)
+    first, parts, _ = _bands(like.num, like.den)
+    edges = F.array(*(F.lit(int(e)) for e in first))
+    bands = F.array(*map(F.lit, parts))
+    band = lambda c: F.size(F.filter(edges, lambda e: e <= F.col(c)))
+    pairs = pairs.withColumns({"ub": band("un"), "vb": band("vn")}).withColumn("b", F.greatest("ub", "vb"))
+    pairs = pairs.where(F.col("b") - F.least("ub", "vb") <= 1)
+    unsent = [F.when(F.col(f"{x}b") == F.col("b"), F.col(f"{x}e0")).otherwise(F.col(f"{x}e1")) for x in "uv"]
+    together = F.col("un") + F.col("vn")
+    differ = together - 2 * F.floor((together * like.num + (like.num + like.den - 1)) / (like.num + like.den))
+    return pairs.where(F.col("shared") >= F.element_at(bands, F.col("b")) - differ - F.greatest(*unsent)).select("u", "v")
+
+
+def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool) -> DataFrame:
+    """Candidates (u, v) of different components among signatures of more holders.
+
+    Sets meet family by family (a family: what such signatures connect), in blocks and pairs of blocks, by
+    their fingerprints; pairs whose fingerprints differ in more bytes than linked sets can have members
+    apart are out.  With ``best``, each set names the nearest one of every other component only."""
+    stars = rows.groupBy("sig").agg(F.min("id").alias("v"))
+    families = components(rows.join(stars.hint("merge"), "sig").select(F.col("id").alias("u"), "v"))
+    rows = rows.groupBy("id").agg(F.min("component").alias("component"))
+    rows = rows.join(families.select(F.col("node").alias("id"), F.col("component").alias("family")).hint("merge"), "id")
     size = rows.groupBy("family").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
     rows = rows.join(size.hint("merge"), "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     rows = rows.join(sets.select("id", "n", "f0", "f1").hint("merge"), "id")
@@ -411,7 +467,11 @@ def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     sets = keep(_sets_of(docs, wanted, like), "sets")
     labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
     for best in (True, False):
-        more = keep(_left_over(sets, pairs, labels, like, best), "left-over")
+        rows = _open_rows(sets, labels)
+        more = _many_holders(rows.where(F.col("holders") > FEW), sets, like, best)
+        if not best:
+            more = more.unionByName(_few_holders(rows.where(F.col("holders") <= FEW), sets, like)).distinct()
+        more = keep(more, "left-over")
         if not more.isEmpty():
             links = labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(_linked_stars(more, sets, like))
             labels = components(links)

@@ -26,9 +26,10 @@ def near_copies(seed, groups, copies, words, edits):
 LIKES = [J.Likeness(3, 90, 100), J.Likeness(5, 80, 100), J.Likeness(1, 1, 2)]
 
 
-@pytest.mark.parametrize("like,shape", list(zip(LIKES, [(6, 60, (30, 120), 9), (40, 8, (1, 12), 3), (2, 150, (60, 90), 14)])))
-def test_classes_of_near_copies(spark, monkeypatch, like, shape):
+@pytest.mark.parametrize("like,shape,few", list(zip(LIKES, [(6, 60, (30, 120), 9), (40, 8, (1, 12), 3), (2, 150, (60, 90), 14)], [8, 32, 2])))
+def test_classes_of_near_copies(spark, monkeypatch, like, shape, few):
     monkeypatch.setattr(J, "BLOCK", 16)
+    monkeypatch.setattr(J, "FEW", few)
     rows = near_copies(sum(shape[:2]), *shape)
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in J.document_classes(df, like).collect()}
@@ -55,8 +56,14 @@ def test_linked_sets_share_a_signature():
             a = np.unique(rng.integers(0, 1 << 63, rng.integers(1, 300)).astype(np.uint64) * np.uint64(2))
             b = np.unique(np.concatenate([a[rng.random(len(a)) > rng.random() * 0.15], rng.integers(0, 1 << 63, rng.integers(0, 1 + len(a) // 8)).astype(np.uint64)]))
             if len(b) and like.den * len(np.intersect1d(a, b)) >= like.num * len(np.union1d(a, b)):
-                assert np.intersect1d(J.signatures(a, like), J.signatures(b, like)).size
+                sa, sb = (J.signatures(x, like) for x in (a, b))
+                assert np.intersect1d(np.concatenate(sa), np.concatenate(sb)).size
                 band = [int(np.searchsorted(J._bands(like.num, like.den)[0], len(x), "right")) - 1 for x in (a, b)]
+                one, two = (x[max(band) - k] for x, k in zip((sa, sb), band))
+                parts = J._bands(like.num, like.den)[1][max(band)]
+                unsent = max(parts - len(one), parts - len(two))
+                differ = len(a) + len(b) - 2 * like.overlap(len(a), len(b))
+                assert len(np.intersect1d(one, two)) >= parts - differ - unsent
                 fa, fb = (J.fingerprints(x, like)[max(band) - k] for x, k in zip((a, b), band))
                 assert sum(x != y for x, y in zip(fa, fb, strict=True)) <= len(np.setxor1d(a, b))
 
