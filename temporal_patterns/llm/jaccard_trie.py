@@ -81,6 +81,16 @@ def _parts_of(n: int, further: int, like: Likeness) -> int:
     return parts[int(np.searchsorted(first, n, "right")) - 1 + further]
 
 
+def _least_shared(shingles: np.ndarray, further: int, like: Likeness) -> int:
+    """Signatures, for one band, that an ordered set shares at least with any it links with: all parts but
+    the largest difference agree, and of these only parts that are empty in both may go without signature."""
+    first, parts, spare = _bands(like.num, like.den)
+    b = int(np.searchsorted(first, len(shingles), "right")) - 1 + further
+    part = ((shingles >> U(32)) * U(parts[b])) >> U(32)
+    empty = parts[b] - 1 - int(np.count_nonzero(part[1:] != part[:-1]))
+    return max(1, 1 + spare[b] - empty)
+
+
 def signatures(shingles: np.ndarray, like: Likeness) -> list[np.ndarray]:
     """Signatures of an ordered, non-empty set, for its band and the next."""
     first, parts, spare = _bands(like.num, like.den)
@@ -133,20 +143,20 @@ def set_sizes(docs: DataFrame, size: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint")
 
 
-SAME, CANDIDATE, SIGNATURE = 0, 1, 2
+SAME, CANDIDATE, SIGNATURE, NEED = 0, 1, 2, 3
 
 
 def _settle(sigs: np.ndarray, ids: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """One row per signature (its least id) and links of its other holders to it."""
+    """One row per signature (its least id); where it has other holders, a candidate row of each (and of
+    the least id with itself)."""
     order = np.lexsort((ids, sigs))
     sigs, ids = sigs[order], ids[order]
     new = np.concatenate([[True], sigs[1:] != sigs[:-1]])
     hub = ids[np.maximum.accumulate(np.where(new, np.arange(len(ids)), 0))]
     yield _rows(SIGNATURE, signed(sigs[new]), ids[new])
-    other = ~new & (hub != ids)
-    if other.any():
-        pairs = np.unique(np.stack([ids[other], hub[other]]), axis=1)
-        yield _rows(CANDIDATE, pairs[0], pairs[1])
+    shared = ~new | np.append(~new[1:], False)
+    if shared.any():
+        yield _rows(CANDIDATE, ids[shared], hub[shared])
 
 
 def _rows(kind: int, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
@@ -154,13 +164,14 @@ def _rows(kind: int, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
 
 
 def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
-    """kind, a, b: equal sets (id, id), candidates (id, hub), signatures (signature, id)."""
+    """kind, a, b: equal sets (id, id), candidates (id, hub), signatures (signature, id), and how many
+    signatures each set must share at least to link with any other (id, number)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sigs, ids, n, known = [], [], 0, {}
         for batch in batches:
             for part in slices(batch):
-                same = []
+                same, need = [], []
                 for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)):
                     if i is None or not len(s):
                         continue
@@ -169,12 +180,15 @@ def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
                     if hub != i:
                         same.append((i, hub))
                         continue
-                    g = np.concatenate(signatures(s, like))
+                    dealt = signatures(s, like)
+                    need.append((i, min(_least_shared(s, b, like) for b in (0, 1))))
+                    g = np.concatenate(dealt)
                     sigs.append(g)
                     ids.append(np.full(len(g), i, np.int64))
                     n += len(g)
-                if same:
-                    yield _rows(SAME, *np.array(same, np.int64).T)
+                for kind, rows in ((SAME, same), (NEED, need)):
+                    if rows:
+                        yield _rows(kind, *np.array(rows, np.int64).T)
                 if n >= HELD:
                     yield from _settle(np.concatenate(sigs), np.concatenate(ids))
                     sigs, ids, n, known = [], [], 0, {}
@@ -202,10 +216,14 @@ def _stars(dealt: DataFrame) -> DataFrame:
             new = np.concatenate([[last is None or s[0] != last], s[1:] != s[:-1]])
             lead = np.maximum.accumulate(np.where(new, np.arange(len(s)), -1))
             hubs = np.where(lead >= 0, i[np.maximum(lead, 0)], hub)
-            last, hub = s[-1], hubs[-1]
             other = hubs != i
             if other.any():
-                yield _rows_of(np.full(int(other.sum()), CANDIDATE, np.int32), i[other], hubs[other])
+                # a hub's own row comes with its first candidate
+                u, v = i[other], hubs[other]
+                starts = np.concatenate([[True], s[other][1:] != s[other][:-1]])
+                u, v = np.concatenate([u, v[starts]]), np.concatenate([v, v[starts]])
+                yield _rows_of(np.full(len(u), CANDIDATE, np.int32), u, v)
+            last, hub = s[-1], hubs[-1]
 
     sorted_ = dealt.repartition("a").sortWithinPartitions("kind", "a", "b")
     return sorted_.mapInArrow(tidy(run), "kind int, u bigint, v bigint")
@@ -459,11 +477,16 @@ def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     """node, component of every document that links with another one."""
     pairs = keep(_stars(_dealt(docs, like)).groupBy("kind", "u", "v").agg(F.count("*").alias("shared")), "pairs")
     equal = pairs.where(F.col("kind") == SAME).select("u", "v")
+    need = pairs.where(F.col("kind") == NEED).groupBy("u").agg(F.min("v").alias("need"))
     pairs = pairs.where(F.col("kind") == CANDIDATE)
+    # a set whose signatures are its own, but for fewer than a link takes, is out
+    wanted = pairs.groupBy("u").agg(F.sum("shared").alias("shared")).join(need, "u").where("shared >= need").select(F.col("u").alias("id"))
+    wanted = keep(wanted, "wanted")
+    pairs = pairs.where("u <> v")
+    for x in "uv":
+        pairs = pairs.join(wanted.select(F.col("id").alias(x)).hint("merge"), x, "left_semi")
     # first every set meets the hub it shares most with; what that leaves apart meets below
     nearest = pairs.groupBy("u").agg(F.max(F.struct("shared", F.negative("v").alias("minus"))).alias("m")).select("u", (-F.col("m.minus")).alias("v"))
-    pairs = pairs.select("u", "v")
-    wanted = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
     sets = keep(_sets_of(docs, wanted, like), "sets")
     labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
     for best in (True, False):

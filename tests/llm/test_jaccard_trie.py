@@ -64,6 +64,7 @@ def test_linked_sets_share_a_signature():
                 unsent = max(parts - len(one), parts - len(two))
                 differ = len(a) + len(b) - 2 * like.overlap(len(a), len(b))
                 assert len(np.intersect1d(one, two)) >= parts - differ - unsent
+                assert len(np.intersect1d(one, two)) >= max(J._least_shared(x, max(band) - k, like) for x, k in zip((a, b), band))
                 fa, fb = (J.fingerprints(x, like)[max(band) - k] for x, k in zip((a, b), band))
                 assert sum(x != y for x, y in zip(fa, fb, strict=True)) <= len(np.setxor1d(a, b))
 
