@@ -15,8 +15,8 @@ the others to it, so a group of any size sends one row per task.
 set is linked to the hub it shares most with if they are similar, and components are formed.  Sets in
 signatures that still hold several components are compared by bounds that need no sets: under signatures
 of up to ``FEW`` holders, pairs by how many signatures they share; under others, in blocks of ``BLOCK``, by
-fingerprints, whose distance bounds the sets' difference from below (there the nearest of each other
-component first, and under the new components all that remain).  What the bounds leave is tested.  Similarity is decided in a prefix
+fingerprints, whose distance bounds the sets' difference from below (there each set's nearest
+of another component for a few rounds, and under the new components all that remain).  What the bounds leave is tested.  Similarity is decided in a prefix
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
@@ -45,6 +45,7 @@ from .workspace import keep
 
 BLOCK = 128
 FEW = 32
+NEAREST_ROUNDS = 3
 HELD = 600_000
 STRIDE = 64
 
@@ -408,7 +409,7 @@ def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool)
 
     Sets meet family by family (a family: what such signatures connect), in blocks and pairs of blocks, by
     their fingerprints; pairs whose fingerprints differ in more bytes than linked sets can have members
-    apart are out.  With ``best``, each set names the nearest one of every other component only."""
+    apart are out.  With ``best``, each set names only the nearest one of all other components."""
     stars = rows.groupBy("sig").agg(F.min("id").alias("v"))
     families = components(rows.join(stars.hint("merge"), "sig").select(F.col("id").alias("u"), "v"))
     rows = rows.groupBy("id").agg(F.min("component").alias("component"))
@@ -436,7 +437,7 @@ def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool)
                 group = np.concatenate([here, below])
                 prints = np.frombuffer(b"".join([members[k][4] for k in here] + [members[k][5] for k in below]), np.uint8).reshape(len(group), -1)
                 for k in range(len(here)):
-                    others = np.arange(k + 1, len(group))
+                    others = np.arange(0 if best else k + 1, len(group))
                     at = group[others]
                     use = comps[at] != comps[here[k]]
                     if both:
@@ -448,16 +449,16 @@ def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool)
                     both_n = n[at] + n[here[k]]
                     near = apart <= both_n + 2 * (-like.num * both_n // (like.num + like.den))
                     at, apart = at[near], apart[near]
+                    mine = int(ids[here[k]])
                     if best and len(at):
-                        order = np.lexsort((ids[at], apart, comps[at]))
-                        at = at[order]
-                        at = at[np.concatenate([[True], comps[at][1:] != comps[at][:-1]])]
-                    mine = ids[here[k]]
-                    found.extend((max(mine, x), min(mine, x)) for x in ids[at].tolist() if x != mine)
+                        nearest = np.lexsort((ids[at], apart))[0]
+                        found.append((mine, int(ids[at[nearest]]), int(apart[nearest])))
+                    elif not best:
+                        found.extend((max(mine, x), min(mine, x), 0) for x in ids[at].tolist() if x != mine)
 
         def give() -> Iterator[pa.RecordBatch]:
             if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v", "apart"])
                 found.clear()
 
         for batch in batches:
@@ -470,7 +471,10 @@ def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool)
         answer()
         yield from give()
 
-    return rows.mapInArrow(tidy(run), "u bigint, v bigint").distinct()
+    found = rows.mapInArrow(tidy(run), "u bigint, v bigint, apart bigint")
+    if best:
+        return found.groupBy("u").agg(F.min(F.struct("apart", "v")).alias("m")).select("u", F.col("m.v").alias("v")).where("u <> v")
+    return found.select("u", "v").distinct()
 
 
 def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
@@ -489,15 +493,18 @@ def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     nearest = pairs.groupBy("u").agg(F.max(F.struct("shared", F.negative("v").alias("minus"))).alias("m")).select("u", (-F.col("m.minus")).alias("v"))
     sets = keep(_sets_of(docs, wanted, like), "sets")
     labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
-    for best in (True, False):
+    for round_ in range(NEAREST_ROUNDS + 1):
+        best = round_ < NEAREST_ROUNDS
         rows = _open_rows(sets, labels)
-        more = _many_holders(rows.where(F.col("holders") > FEW), sets, like, best)
+        many = rows.where(F.col("holders") > FEW)
+        if best and many.isEmpty():
+            continue
+        more = _many_holders(many, sets, like, best)
         if not best:
             more = more.unionByName(_few_holders(rows.where(F.col("holders") <= FEW), sets, like)).distinct()
-        more = keep(more, "left-over")
-        if not more.isEmpty():
-            links = labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(_linked_stars(more, sets, like))
-            labels = components(links)
+        found = keep(_linked_stars(keep(more, "left-over"), sets, like), "late-links")
+        if not found.isEmpty():
+            labels = components(labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(found))
     return labels
 
 

@@ -142,7 +142,7 @@ def mixed_pieces(docs: DataFrame, recipe: Recipe = Recipe()) -> tuple[DataFrame,
     pieces = pieces.withColumn("j", F.explode(F.sequence(F.floor(F.col("at") / b), F.floor((stop - 1) / b))))
     begin, end = F.greatest("at", F.col("j") * b), F.least(stop, (F.col("j") + 1) * b)
     pieces = pieces.select("sid", "bucket", "rn", "doc_id", "k", "th", "size", "source_size", "target", (F.col("first") + F.col("j")).alias("block"), (begin - F.col("at")).alias("word"), (end - begin).alias("words"))
-    pieces = pieces.join(times, ["sid", "block"], "left").fillna(0, ["times"])
+    pieces = pieces.join(times.hint("merge"), ["sid", "block"], "left").fillna(0, ["times"])
     everything = sizes.join(targets, sizes.source.eqNullSafe(targets.source)).drop(targets.source)
     return everything, pieces, slots
 
@@ -166,7 +166,7 @@ def mixed_texts(docs: DataFrame, recipe: Recipe = Recipe()) -> DataFrame:
     names = docs.columns
     keyed = docs.withColumns({"__k": doc_key(), "__th": text_key()})
     keyed = keyed.withColumn("__copy", F.row_number().over(Window.partitionBy("__k", "__th").orderBy(F.lit(0))))
-    rows = keyed.join(per, ["__k", "__th", "__copy"])
+    rows = keyed.join(per.hint("merge"), ["__k", "__th", "__copy"])
     rows = rows.withColumn("__lap", F.explode(F.sequence(F.lit(1), F.lit(recipe.ceiling))))
     rows = rows.withColumn("__parts", F.filter("__parts", lambda p: p["times"] >= F.col("__lap"))).where(F.size("__parts") > 0)
     words = F.regexp_extract_all("text", F.lit(f"({WORD})"), F.lit(1))
