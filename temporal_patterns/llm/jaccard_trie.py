@@ -41,7 +41,7 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .kernel import mix, signed, slices, tidy, U, unsigned, Words
-from .workspace import keep
+from .workspace import buckets, keep, keep_dealt
 
 BLOCK = 128
 FEW = 32
@@ -310,7 +310,9 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
                 arrays = [pa.array([i for i, _ in full], pa.int64()), pa.array([s.tobytes() for _, s in full], pa.binary()), pa.array([len(s) for _, s in full], pa.int64()), sigs, *(pa.array(x, pa.int64()) for x in unsent)]
                 yield pa.RecordBatch.from_arrays([*arrays, *(pa.array([x[j] for x in f], pa.binary()) for j in (0, 1))], names)
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
+    # dealt as the table of sets is, so a task writes one bucket
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartition(buckets(docs.sparkSession), "doc_id")
+    rows = rows.join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
     return rows.mapInArrow(tidy(run), "id bigint, s binary, n bigint, sigs array<bigint>, e0 bigint, e1 bigint, f0 binary, f1 binary")
 
 
@@ -355,10 +357,15 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
     return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
-def _open_rows(sets: DataFrame, labels: DataFrame) -> DataFrame:
-    """sig, id, component, holders of every signature that sets of several components hold."""
-    named = sets.select("id", "sigs").join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
-    rows = named.select("id", F.coalesce("component", "id").alias("component"), F.explode("sigs").alias("sig"))
+def _named(rows: DataFrame, labels: DataFrame) -> DataFrame:
+    """``rows`` (id, ...) with the component of each id."""
+    named = rows.join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
+    return named.withColumn("component", F.coalesce("component", "id"))
+
+
+def _open_rows(rows: DataFrame) -> DataFrame:
+    """sig, id, component, holders of every signature that sets of several components hold; ``rows``: id,
+    component, sig."""
     open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("holders")).where("a < b")
     return keep(rows.join(open_.select("sig", "holders").hint("merge"), "sig"), "open-signatures")
 
@@ -491,11 +498,20 @@ def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
         pairs = pairs.join(wanted.select(F.col("id").alias(x)).hint("merge"), x, "left_semi")
     # first every set meets the hub it shares most with; what that leaves apart meets below
     nearest = pairs.groupBy("u").agg(F.max(F.struct("shared", F.negative("v").alias("minus"))).alias("m")).select("u", (-F.col("m.minus")).alias("v"))
-    sets = keep(_sets_of(docs, wanted, like), "sets")
+    sets, table = keep_dealt(_sets_of(docs, wanted, like), "sets", "id")
     labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
-    for round_ in range(NEAREST_ROUNDS + 1):
-        best = round_ < NEAREST_ROUNDS
-        rows = _open_rows(sets, labels)
+    rows, moved = None, True
+    for best in [True] * NEAREST_ROUNDS + [False]:
+        if moved:
+            # merging closes signatures and opens none, so a round starts from those that the one before left open
+            if rows is None:
+                rows = _named(sets.select("id", "sigs"), labels).select("id", "component", F.explode("sigs").alias("sig"))
+            else:
+                rows = _named(rows.select("id", "sig"), labels)
+            rows = _open_rows(rows)
+        elif best:
+            continue
+        moved = False
         many = rows.where(F.col("holders") > FEW)
         if best and many.isEmpty():
             continue
@@ -503,8 +519,10 @@ def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
         if not best:
             more = more.unionByName(_few_holders(rows.where(F.col("holders") <= FEW), sets, like)).distinct()
         found = keep(_linked_stars(keep(more, "left-over"), sets, like), "late-links")
-        if not found.isEmpty():
+        moved = not found.isEmpty()
+        if moved:
             labels = components(labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(found))
+    docs.sparkSession.sql(f"DROP TABLE {table}")  # its entry; the labels are written by now
     return labels
 
 

@@ -28,3 +28,16 @@ def keep(df: DataFrame, label: str) -> DataFrame:
     path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def keep_dealt(df: DataFrame, label: str, column: str) -> tuple[DataFrame, str]:
+    """``df`` written once in buckets of ``column``, and the name of its table: joins on it move only the other
+    side.  There are as many buckets as shuffles have partitions, so none is dealt anew."""
+    spark = df.sparkSession
+    name = f"{label}_{uuid.uuid4().hex}"
+    df.write.format("parquet").bucketBy(buckets(spark), column).option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    return spark.table(name), name
+
+
+def buckets(spark: SparkSession) -> int:
+    return min(100_000, int(spark.conf.get("spark.sql.shuffle.partitions")))
