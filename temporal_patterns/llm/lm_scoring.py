@@ -1,205 +1,148 @@
 """Language-model scoring by cross-entropy difference.
 
 Two interpolated bigram models over one shared vocabulary: the background is counted on all
-documents, the target on trusted ones.  A document's score is the mean over its tokens of
+documents, the target on all trusted ones.  A document's score is the mean over its tokens of
 log p_background - log p_target (the difference of the two cross-entropies, in nats): the lower,
 the more the document is like the target.
 
-Tokens are words with A-Z in lower case.  The vocabulary holds the words with a share of
-``WORD_SHARE`` of all tokens or more, so it has 1 / WORD_SHARE words at most whatever the corpus
-(rarer words are one unknown word); bigrams of words that both have ``HISTORY_SHARE`` are counted,
-and those with ``PAIR_SHARE`` stay, 1 / PAIR_SHARE at most; the others are scored by the word
-alone.  These bounds are what is sent to every task.  Counts cover the whole corpus, summed in
-each task before the shuffle.  ``target_limit`` bounds the trusted documents (20,000).
+Tokens are words with A-Z in lower case, known by 64-bit hashes.  Every word and every pair of
+neighbours is modelled, whatever the size of the corpus: nothing is cut by count or share.  The counts
+are tables, summed in each task before the shuffle and joined with the pairs of each document (each
+once a document, with its number); no task and no driver holds a model.
 
 Defined cases: null and blank texts have no tokens and score 0; without trusted rows the target
-is the background and every score is 0; an empty table gives no rows.
+is the background and every score is 0; an empty table gives no rows; repeated rows (same id, same
+text) each count and get the same scores.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import signed, slices, tidy, unsigned, Words
-from .quality import TARGET_LIMIT, target_ids
+from .kernel import mix, signed, slices, tidy, U, Words
+from .spans import doc_key, text_key
 from .workspace import keep
 
-WORD_SHARE = 1e-5
-HISTORY_SHARE = 5e-5
-PAIR_SHARE = 1e-6
 PAIR_WEIGHT = 0.6
 HELD = 1_500_000
+#: Stands for the word before a text's first one.
+START = U(0x5DEECE66D)
+_TURN = U(0x9E3779B97F4A7C15)
 
 
-class _Tally:
-    """Counts of keys, summed as they come, handed out when there are many."""
+def _pairs(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """A key of each word and the word before it in its text, and both."""
+    word = w.hashes()
+    before = np.concatenate([[START], word[:-1]])[: len(word)]
+    before[w.of[:-1][w.count > 0]] = START
+    return mix(before * _TURN + mix(word)), before, word
 
-    def __init__(self):
-        self.keys, self.counts, self.size = [], [], 0
 
-    def add(self, keys: np.ndarray, counts: np.ndarray | None = None) -> None:
-        if counts is None:
-            keys, counts = np.unique(keys, return_counts=True)
-        self.keys.append(keys)
-        self.counts.append(counts.astype(np.int64))
-        self.size += len(keys)
-        if self.size > HELD and len(self.keys) > 1:
-            self.merge()
+def _summed(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
+    key, before, word, n = (np.concatenate(x) for x in zip(*parts))
+    key, at, group = np.unique(key, return_index=True, return_inverse=True)
+    return key, before[at], word[at], np.bincount(group, weights=n, minlength=len(key)).astype(np.int64)
 
-    def merge(self) -> tuple[np.ndarray, np.ndarray]:
-        if not self.keys:
-            return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        if len(self.keys) > 1:
-            keys, at = np.unique(np.concatenate(self.keys), return_inverse=True)
-            counts = np.bincount(at, weights=np.concatenate(self.counts), minlength=len(keys)).astype(np.int64)
-            self.keys, self.counts, self.size = [keys], [counts], len(keys)
-        return self.keys[0], self.counts[0]
 
-    def full(self) -> bool:
-        return self.size > HELD
-
-    def take(self) -> tuple[np.ndarray, np.ndarray]:
-        out = self.merge()
-        self.__init__()
-        return out
+def pair_counts(docs: DataFrame) -> DataFrame:
+    """key, before, word, n of all pairs, summed in each task as far as they are held together."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, ...]] = []
+        size = 0
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """word (hash), n over all texts."""
+        def give(sums: tuple[np.ndarray, ...]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([*(pa.array(signed(x)) for x in sums[:3]), pa.array(sums[3])], ["key", "before", "word", "n"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tally = _Tally()
-        give = lambda: pa.RecordBatch.from_arrays([pa.array(signed(x)) for x in tally.take()], ["word", "n"])
         for batch in batches:
             for part in slices(batch):
-                tally.add(Words(part.column("text"), lower=True).hashes())
-                if tally.full():
-                    yield give()
-        yield give()
+                key, before, word = _pairs(Words(part.column("text"), lower=True))
+                held.append(_summed([(key, before, word, np.ones(len(key), np.int64))]))
+                size += len(held[-1][0])
+                if size > HELD:
+                    held = [_summed(held)]
+                    size = len(held[0][0])
+                    if size > HELD // 2:
+                        yield give(held[0])
+                        held, size = [], 0
+        if size:
+            yield give(_summed(held))
 
-    return docs.select("text").mapInArrow(tidy(run), "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(tidy(run), "key bigint, before bigint, word bigint, n bigint")
 
 
+def trusted_ids(labels: DataFrame) -> DataFrame:
+    """doc_id of all trusted documents."""
+    return labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0) & F.col("doc_id").isNotNull()).select("doc_id").distinct()
+
+
+@dataclass(frozen=True)
 class Model:
-    """The shared vocabulary, and both models' logarithms; of bounded size (see the module)."""
-
-    def __init__(self, words: np.ndarray, counts: np.ndarray, total: int):
-        order = np.argsort(words)
-        self.words, self.counts, self.total = words[order], counts[order], total
-        self.common = np.append(self.counts >= HISTORY_SHARE * total, False)
-
-    def numbers(self, w: Words) -> np.ndarray:
-        """The vocabulary number of each word; the unknown word comes last."""
-        h = w.hashes()
-        if not len(self.words):
-            return np.zeros(len(h), np.int64)
-        at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
-        return np.where(self.words[at] == h, at, len(self.words))
-
-    def pairs(self, w: Words, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Key of (word before, word) and whether it counts, for each word."""
-        before = np.concatenate([[len(self.words)], numbers[:-1]])[: len(numbers)]
-        first = np.zeros(len(numbers) + 1, bool)
-        first[w.of[:-1]] = True
-        ok = self.common[before] & self.common[numbers] & ~first[:-1]
-        return before.astype(np.uint64) << np.uint64(32) | numbers.astype(np.uint64), ok
-
-    def fit(self, pairs: np.ndarray, background: np.ndarray, target_words: np.ndarray, target: np.ndarray) -> None:
-        v = len(self.words) + 1
-        words = np.append(self.counts, self.total - self.counts.sum())
-        self.keys = pairs
-        self.single, self.double = [], []
-        for single, double in ((words, background), (target_words, target)):
-            p = (single + 1) / (single.sum() + v)
-            self.single.append(p)
-            heads = single[(pairs >> np.uint64(32)).astype(np.int64)] if len(pairs) else np.zeros(0)
-            self.double.append(PAIR_WEIGHT * double / np.maximum(heads, 1))
-
-    def losses(self, w: Words) -> tuple[np.ndarray, np.ndarray]:
-        """-log p of every word under the background and the target."""
-        numbers = self.numbers(w)
-        keys, ok = self.pairs(w, numbers)
-        at = np.minimum(np.searchsorted(self.keys, keys), max(len(self.keys) - 1, 0))
-        known = ok & (self.keys[at] == keys) if len(self.keys) else np.zeros(len(keys), bool)
-        out = []
-        for single, double in zip(self.single, self.double):
-            p = single[numbers]
-            # a history whose pairs are modelled gives PAIR_WEIGHT to them, and the rest to the word alone
-            p = np.where(ok, (1 - PAIR_WEIGHT) * p, p)
-            p[known] += double[at[known]]
-            out.append(-np.log(p))
-        return out[0], out[1]
-
-
-def fit(docs: DataFrame, labels: DataFrame, target_limit: int = TARGET_LIMIT) -> Model:
-    spark = docs.sparkSession
-    counts = word_counts(docs)
-    counts = keep(counts, "word-counts")
-    total = counts.agg(F.sum("n")).first()[0] or 0
-    table = counts.where(F.col("n") >= F.lit(max(1, int(np.ceil(WORD_SHARE * total))))).toArrow()
-    model = Model(unsigned(np.asarray(table.column("word"), np.int64)), np.asarray(table.column("n"), np.int64), int(total))
-    ids = target_ids(labels, target_limit)
-    shared = spark.sparkContext.broadcast((model, ids))
+    """key, background, target (-log p of the word after the one before), first, of every pair of the documents."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, ids = shared.value
-        tallies = [_Tally(), _Tally(), _Tally()]  # background pairs, target words, target pairs
+    losses: DataFrame
 
-        def give() -> Iterator[pa.RecordBatch]:
-            for kind, t in enumerate(tallies):
-                keys, n = t.take()
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int32)), pa.array(signed(keys)), pa.array(n)], ["kind", "key", "n"])
 
-        for batch in batches:
-            for part in slices(batch):
-                w = Words(part.column("text"), lower=True)
-                numbers = model.numbers(w)
-                keys, ok = model.pairs(w, numbers)
-                trusted = np.isin(np.asarray(part.column("doc_id").fill_null(-(1 << 62))), ids)[w.row]
-                for t, x in zip(tallies, (keys[ok], numbers[trusted].astype(np.uint64), keys[ok & trusted])):
-                    t.add(x)
-                if any(t.full() for t in tallies):
-                    yield from give()
-        yield from give()
-
-    rows = docs.select("doc_id", "text").mapInArrow(tidy(run), "kind int, key bigint, n bigint").groupBy("kind", "key").agg(F.sum("n").alias("n"))
-    rows = keep(rows, "pair-counts")
-    least = max(1, int(np.ceil(PAIR_SHARE * total)))
-    pairs = rows.where((F.col("kind") == 0) & (F.col("n") >= least)).select("key", F.col("n").alias("b"))
-    target = rows.where(F.col("kind") == 2).select("key", F.col("n").alias("t"))
-    table = pairs.join(target, "key", "left").fillna(0, ["t"]).toArrow()
-    keys = unsigned(np.asarray(table.column("key"), np.int64))
-    order = np.argsort(keys)
-    words = rows.where(F.col("kind") == 1).select("key", "n").toArrow()
-    target_words = np.zeros(len(model.words) + 1, np.int64)
-    target_words[np.asarray(words.column("key"), np.int64)] = np.asarray(words.column("n"), np.int64)
-    background, target = (np.asarray(table.column(c), np.int64)[order] for c in ("b", "t"))
-    if not target_words.sum():
-        target_words, target = np.append(model.counts, model.total - model.counts.sum()), background
-    model.fit(keys[order], background, target_words, target)
-    return model
+def fit(docs: DataFrame, labels: DataFrame) -> Model:
+    trusted = docs.select("doc_id", "text").join(trusted_ids(labels), "doc_id", "left_semi")
+    none = F.lit(0).cast("long")
+    rows = pair_counts(docs).select("key", "before", "word", F.col("n").alias("b"), none.alias("t"))
+    rows = rows.unionByName(pair_counts(trusted).select("key", "before", "word", none.alias("b"), F.col("n").alias("t")))
+    pairs = keep(rows.groupBy("key").agg(F.min("before").alias("before"), F.min("word").alias("word"), F.sum("b").alias("b"), F.sum("t").alias("t")), "pair-counts")
+    words = keep(pairs.groupBy("word").agg(F.sum("b").alias("wb"), F.sum("t").alias("wt")), "word-counts")
+    size, total, target = words.agg(F.count("*"), F.coalesce(F.sum("wb"), F.lit(0)), F.coalesce(F.sum("wt"), F.lit(0))).first()
+    t, wt, ht = ("t", "wt", "ht") if target else ("b", "wb", "hb")
+    heads = words.select(F.col("word").alias("before"), F.col("wb").alias("hb"), F.col("wt").alias("ht"))
+    all_three = pairs.join(words, "word").join(heads, "before", "left")
+    first = F.col("before") == F.lit(int(signed(np.array([START]))[0]))
 
+    def loss(pair: str, word: str, head: str, n: int) -> Column:
+        p = (F.col(word) + 1) / F.lit(float(n + size + 1))
+        return -F.log(F.when(first, p).otherwise((1 - PAIR_WEIGHT) * p + PAIR_WEIGHT * F.col(pair) / F.greatest(F.col(head), F.lit(1))))
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """Every row of ``docs`` with n_tokens, target_entropy, background_entropy and score added (nats a
-    token; such columns are replaced)."""
-    own = ["n_tokens", "target_entropy", "background_entropy", "score"]
-    docs = docs.drop(*own)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    return Model(keep(all_three.select("key", loss("b", "wb", "hb", total).alias("background"), loss(t, wt, ht, target or total).alias("target"), first.alias("first")), "losses"))
+
+
+def _document_pairs(docs: DataFrame) -> DataFrame:
+    """uid, key, n of the pairs of each document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch):
                 w = Words(part.column("text"), lower=True)
-                b, t = (np.concatenate([[0.0], np.cumsum(x)]) for x in shared.value.losses(w))
-                n = np.maximum(w.count, 1)
-                b, t = ((x[w.of[1:]] - x[w.of[:-1]]) / n for x in (b, t))
-                yield pa.RecordBatch.from_arrays([*part.columns, *map(pa.array, (w.count.astype(np.int64), t, b, t - b))], [*part.schema.names, *own])
+                key = _pairs(w)[0]
+                order = np.lexsort((key, w.row))
+                key, row = key[order], w.row[order]
+                starts = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (row[1:] != row[:-1])])[: len(key)])
+                n = np.diff(np.append(starts, len(key)))
+                uid = np.asarray(part.column("uid"))[row[starts]]
+                yield pa.RecordBatch.from_arrays([pa.array(uid), pa.array(signed(key[starts])), pa.array(n.astype(np.int32))], ["uid", "key", "n"])
+
+    return docs.select(_uid().alias("uid"), "text").mapInArrow(tidy(run), "uid bigint, key bigint, n int")
+
 
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(tidy(run), f"{kinds}, n_tokens bigint, target_entropy double, background_entropy double, score double")
+def _uid() -> Column:
+    return F.xxhash64(doc_key(), text_key())
+
+
+def score(docs: DataFrame, model: Model) -> DataFrame:
+    """Every row of ``docs``, all of which the model was fitted on, with n_tokens, target_entropy,
+    background_entropy and score added (nats a token; such columns are replaced)."""
+    own = ["n_tokens", "target_entropy", "background_entropy", "score"]
+    docs = docs.drop(*own)
+    known = F.when(F.col("background").isNull(), F.raise_error(F.lit("a text isn't among those of the model"))).otherwise(F.col("background"))
+    rows = _document_pairs(docs).join(model.losses, "key", "left")
+    sums = rows.groupBy(F.col("uid").alias("__uid")).agg(
+        F.sum(F.col("n") * known).alias("__b"), F.sum(F.col("n") * F.col("target")).alias("__t"), F.sum("n").alias("__n"), F.sum(F.when(F.col("first"), F.col("n")).otherwise(0)).alias("__copies")
+    )
+    joined = docs.withColumn("__uid", _uid()).join(sums, "__uid", "left")
+    n = F.coalesce(F.col("__n"), F.lit(0))
+    b, t = (F.coalesce(F.col(c) / F.col("__n"), F.lit(0.0)) for c in ("__b", "__t"))
+    tokens = F.coalesce(F.floor(n / F.col("__copies")), F.lit(0)).cast("long")
+    return joined.select(*docs.columns, tokens.alias("n_tokens"), t.alias("target_entropy"), b.alias("background_entropy"), (t - b).alias("score"))

@@ -22,3 +22,18 @@ def test_nearest_recall_holds_as_the_table_grows(spark, n):
         assert len(mine) == 5
         hits += len(set(np.argsort(-score)[:5]) & set(mine.vec_id))
     assert hits / (5 * len(range(0, n, 200))) >= 0.9
+
+
+def test_lm_scores_do_not_depend_on_rarity(spark):
+    """A word of the least count among 200,000 others is modelled, not taken for the unknown word."""
+    from temporal_patterns.llm import lm_scoring
+
+    filler = [(i, " ".join(["x", "y"] * 1000)) for i in range(2, 202)]
+    docs = spark.createDataFrame([(0, "rare bird"), (1, "odd fish"), *filler], "doc_id long, text string")
+    labels = spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r for r in lm_scoring.score(docs, lm_scoring.fit(docs, labels)).where("doc_id < 2").collect()}
+    total, v = 400_004, 7
+    p = 2 / (total + v)
+    want = -(np.log(p) + np.log(0.4 * p + 0.6)) / 2
+    assert got[0].background_entropy == pytest.approx(want) and got[1].background_entropy == pytest.approx(want)
+    assert got[0].score < got[1].score < 0  # unseen by the target: 1 / 9 each word by smoothing
