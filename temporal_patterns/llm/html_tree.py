@@ -1,6 +1,7 @@
 """Main-text extraction with a site style tree.
 
-The trees of a host's pages are merged by path (tags with their class and id).  A merged node has
+The trees of a host's distinct pages (copies count once) are merged by path (tags with their class; an id
+is often a page's own, so it is left out).  A merged node has
 a presentation importance (entropy of the tag sequences of its children over the host's pages, in
 units of log of their number) and a content importance (1 minus the mean entropy of its text
 features over those pages: a text that all pages share has entropy 1); its importance is
@@ -176,7 +177,7 @@ def blocks(page: str | None) -> tuple[list[tuple[str, tuple[str, ...], bool, boo
                     break
             if depth is not None:
                 close_to(depth)
-        name = ".".join([tag, *sorted(_SPLIT.split(attrs.get("class", "").lower())), *([f"#{attrs['id']}"] if attrs.get("id") else [])]) if attrs else tag
+        name = ".".join([tag, *sorted(_SPLIT.split(attrs.get("class", "").lower()))]) if attrs else tag
         parent = next((n for n in reversed(stack) if not n.inline), None)
         if parent and not inline and (not parent.children or parent.children[-1] != tag):
             parent.children.append(tag)
@@ -235,7 +236,8 @@ def style_tree(pages: DataFrame) -> DataFrame:
                     ["host", "path", "kind", "feature", "n"],
                 )
 
-    rows = pages.select(host().alias("host"), "html").mapInArrow(tidy(merge), "host string, path string, kind int, feature bigint, n bigint")
+    distinct = pages.select(host().alias("host"), "html").distinct()  # copies of a page say nothing about what its host repeats
+    rows = distinct.mapInArrow(tidy(merge), "host string, path string, kind int, feature bigint, n bigint")
     features = rows.groupBy("host", "path", "kind", "feature").agg(F.sum("n").alias("n"))
     nodes = features.groupBy("host", "path").agg(
         F.sum(F.when(F.col("kind") == 0, F.col("n")).otherwise(0)).alias("pages"),

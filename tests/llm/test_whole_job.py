@@ -37,3 +37,16 @@ def test_lm_scores_do_not_depend_on_rarity(spark):
     want = -(np.log(p) + np.log(0.4 * p + 0.6)) / 2
     assert got[0].background_entropy == pytest.approx(want) and got[1].background_entropy == pytest.approx(want)
     assert got[0].score < got[1].score < 0  # unseen by the target: 1 / 9 each word by smoothing
+
+
+def test_copies_of_a_page_keep_their_text(spark):
+    from temporal_patterns.llm import html_tree
+
+    div = "<body><div class='content'>the whole story</div></body>"
+    own = "<body><article><div id='post-17'>told once</div></article></body>"
+    rows = [(i, "http://a/x", div) for i in range(4)] + [(4 + i, "http://b/y", own) for i in range(5)]
+    # what four distinct pages of a host share still goes
+    rows += [(10 + i, f"http://c/{i}", f"<body><div class='frame'>same words</div><div class='content'>story {i}</div></body>") for i in range(4)]
+    got = {r.page_id: r.text for r in html_tree.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert {got[i] for i in range(4)} == {"the whole story"} and {got[4 + i] for i in range(5)} == {"told once"}
+    assert [got[10 + i] for i in range(4)] == [f"story {i}" for i in range(4)]
