@@ -3,19 +3,19 @@
 A byte is removed if a string of ``length`` bytes that covers it also starts anywhere else.  Positions
 get names (hashes standing for ranks) of the strings that start there, of growing length: ``first``
 bytes, twice that, and so on to ``length``; a position whose name is unique drops out, for then any
-longer string from it is unique too.  Spark sorts and groups the names; the offsets grow until every
-position is unique or past the threshold.
+longer string from it is unique too.  Spark only groups runs by their first name; the offsets grow inside
+the task that holds a gram's runs, until every position is unique or past the threshold.
 
 The first names are taken at sampled positions only: each window of ``length`` bytes chooses the least
 of its ``first``-byte grams (a minimizer), so equal windows choose the same gram at the same offset.
 Successive windows with one choice form a run, of about forty; a run whose gram is unique in the corpus
 holds no repeat, and of two runs with equal bytes every window repeats.  Only runs between these - the
 gram repeats, the run doesn't - are fetched again and doubled position by position, together with one
-representative of each repeated run of that gram.  A task settles its own equal runs beforehand, so a
+representative of each repeated run of that gram; runs that repeat whole need no doubling.  A task settles its own equal runs beforehand, so a
 passage that a third of all documents hold sends a row or two per task.
 
-A gram with over ``crowd`` such runs isn't gathered in one task: its windows are named one by one and
-grouped by those names.
+A gram with over ``crowd`` such runs isn't gathered in one task: its windows are named one by one, by
+two hashes of all ``length`` bytes, and grouped by those names, without doubling.
 
 Defined cases: null and empty texts, and those under ``length`` bytes, lose nothing; matches never
 cross rows; repeated rows repeat each other, so all their windows do; a null id is an id of its own; an
