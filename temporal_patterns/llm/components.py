@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .workspace import keep
+from .workspace import forget, keep
 
 
 def _large_star(links: DataFrame) -> DataFrame:
@@ -31,7 +31,8 @@ def components(links: DataFrame) -> DataFrame:
     now = keep(links.where("u <> v").select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).distinct(), "links")
     before = None
     while True:
-        now = keep(_small_star(_large_star(now)), "stars")
+        last, now = now, keep(_small_star(_large_star(now)), "stars")
+        forget(last, shuffles=False)
         sums = tuple(now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if sums == before or not sums[0]:
             break

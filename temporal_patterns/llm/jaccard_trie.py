@@ -4,19 +4,20 @@ A document's set holds the 64-bit hashes of its distinct word shingles in one gl
 hash).  Two documents link when intersection / union reaches ``threshold`` (a ratio of integers,
 tested in integers).  The join is exact.
 
-*Dealing.*  Sets are cut by hash range into ``k`` parts, where ``k`` exceeds the largest symmetric
+*Who can link.*  Sets are cut by hash range into ``k`` parts, where ``k`` exceeds the largest symmetric
 difference that two linked sets of that size band can have; so two linked sets agree on a whole part,
-and a signature (band, part, content) brings them together.  A set goes by its own band and the next
+and a signature (band, part, content) is held by both.  A set goes by its own band and the next
 one.  More parts than needed leave room for empty ones: only a set with more empty parts than that
-also sends those.  A task first settles its own repeats: of equal signatures it forwards one, and links
-the others to it, so a group of any size sends one row per task.
-
-*Joining.*  Inside a signature every set is a candidate of the least one (a star; no pairs are listed); each
-set is linked to the hub it shares most with if they are similar, and components are formed.  Sets in
-signatures that still hold several components are compared by bounds that need no sets: under signatures
-of up to ``FEW`` holders, pairs by how many signatures they share; under others, in blocks of ``BLOCK``, by
-fingerprints, whose distance bounds the sets' difference from below (there each set's nearest
-of another component for a few rounds, and under the new components all that remain).  What the bounds leave is tested.  Similarity is decided in a prefix
+also sends those.  Only sets that share signatures enough are built again; equal ones become one; then those with too
+many shingles that are in no other set are out, too.
+
+*Joining.*  The sets left are put in a global order, the rarest shingle first.  Two sets that link have a first
+common shingle, and from there on each has as many shingles as their intersection takes at least: so only a
+set's prefix is posted, with its place, and only sets with one posting in common and enough after it are
+candidates.  Inside a posting the set whose shingles are the most common ones is the hub (a star; no pairs are
+listed); each set is linked to the hub it meets most if they are similar, and components are formed; then once more
+with other hubs.  Of what is left, pairs of different components in one posting are tested, as far as the places
+allow a link.  Similarity is decided in a prefix
 tree over a block's ordered sets: the probe walks it once, shares the overlap of common prefixes, and
 leaves a subtree as soon as the overlap so far plus the most that can follow falls short.
 
@@ -30,22 +31,21 @@ no link; an empty table gives no rows.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
 from .kernel import mix, signed, slices, tidy, U, unsigned, Words
-from .workspace import buckets, keep, keep_dealt
+from .workspace import buckets, forget, forget_dealt, keep, keep_dealt
 
 BLOCK = 128
-FEW = 32
-NEAREST_ROUNDS = 3
+GROUP = 4096
 HELD = 600_000
 STRIDE = 64
 
@@ -77,11 +77,6 @@ def _bands(num: int, den: int) -> tuple[np.ndarray, list[int], list[int]]:
     return np.array(first, np.int64), parts, spare
 
 
-def _parts_of(n: int, further: int, like: Likeness) -> int:
-    first, parts, _ = _bands(like.num, like.den)
-    return parts[int(np.searchsorted(first, n, "right")) - 1 + further]
-
-
 def _least_shared(shingles: np.ndarray, further: int, like: Likeness) -> int:
     """Signatures, for one band, that an ordered set shares at least with any it links with: all parts but
     the largest difference agree, and of these only parts that are empty in both may go without signature."""
@@ -111,21 +106,6 @@ def signatures(shingles: np.ndarray, like: Likeness) -> list[np.ndarray]:
     return out
 
 
-def fingerprints(shingles: np.ndarray, like: Likeness) -> tuple[bytes, bytes]:
-    """For the set's band and the next: a byte of each of ``2 * differ`` parts.  As many bytes as differ
-    between two sets, so many members at least does the one have and the other not."""
-    first, parts, _ = _bands(like.num, like.den)
-    band = int(np.searchsorted(first, len(shingles), "right")) - 1
-    top = shingles >> U(32)
-    mixed = np.concatenate([[U(0)], np.cumsum(mix(shingles + U(0x2C9277B5))).astype(np.uint64)])
-    out = []
-    for b in (band, band + 1):
-        k = 2 * parts[b]
-        edge = np.searchsorted((top * U(k)) >> U(32), np.arange(k + 1, dtype=np.uint64))
-        out.append((mix(mixed[edge[1:]] - mixed[edge[:-1]]) >> U(56)).astype(np.uint8).tobytes())
-    return out[0], out[1]
-
-
 def shingle_sets(texts: pa.Array, size: int) -> list[np.ndarray]:
     """Ordered distinct shingle hashes of each text."""
     h, at = Words(texts, lower=True).shingles(size)
@@ -144,94 +124,217 @@ def set_sizes(docs: DataFrame, size: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint")
 
 
-SAME, CANDIDATE, SIGNATURE, NEED = 0, 1, 2, 3
+ENTRY, COUNT, SAME = 0, 1, 2
 
 
-def _settle(sigs: np.ndarray, ids: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """One row per signature (its least id); where it has other holders, a candidate row of each (and of
-    the least id with itself)."""
-    order = np.lexsort((ids, sigs))
-    sigs, ids = sigs[order], ids[order]
-    new = np.concatenate([[True], sigs[1:] != sigs[:-1]])
-    hub = ids[np.maximum.accumulate(np.where(new, np.arange(len(ids)), 0))]
-    yield _rows(SIGNATURE, signed(sigs[new]), ids[new])
-    shared = ~new | np.append(~new[1:], False)
-    if shared.any():
-        yield _rows(CANDIDATE, ids[shared], hub[shared])
+def _packed(kind: int, parts: int, key: np.ndarray, *columns: np.ndarray) -> pa.RecordBatch:
+    """Rows in ascending order of ``key``, packed by range of the key: one row for each range that has some."""
+    block = ((key >> U(32)) * U(parts)) >> U(32)
+    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+    ends = np.append(edge, len(key))
+    arrays = [pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32))]
+    for c in (key, *columns):
+        offsets = pa.array((ends * c.itemsize).astype(np.int32))
+        arrays.append(pa.Array.from_buffers(pa.binary(), len(edge), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(c))]))
+    return pa.RecordBatch.from_arrays(arrays, ["kind", "block", *(f"c{j}" for j in range(len(columns) + 1))])
 
 
-def _rows(kind: int, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), pa.array(np.ascontiguousarray(a)), pa.array(np.ascontiguousarray(b))], ["kind", "a", "b"])
+PACKED = "kind int, block int, c0 binary, c1 binary, c2 binary"
 
 
-def _dealt(docs: DataFrame, like: Likeness) -> DataFrame:
-    """kind, a, b: equal sets (id, id), candidates (id, hub), signatures (signature, id), and how many
-    signatures each set must share at least to link with any other (id, number)."""
+def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator[tuple]]) -> DataFrame:
+    """kind, a, b, n: ids that share as many of their keys as they need (COUNT, id, -, -), and equal sets (SAME, id, id, -).
+
+    ``entries`` gives of each slice of rows: keys, their ids, what each id needs at least (as an array beside the
+    keys), and pairs of equal ones.  A task first settles its own repeats - a key that it has twice is shared for
+    certain and goes on as one row - so a key that a third of all rows hold sends one row per task.  Rows travel
+    packed by range of the key."""
+    parts = 4 * buckets(rows.sparkSession)
+
+    def counted(ids: np.ndarray, needs: np.ndarray) -> tuple[np.ndarray, ...]:
+        one, at, n = np.unique(ids, return_index=True, return_counts=True)
+        return one.view(U), needs[at], n
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, ...]] = []
+        n = 0
+
+        def settle() -> Iterator[pa.RecordBatch]:
+            key, ids, needs = (np.concatenate(x) for x in zip(*held))
+            order = np.argsort(key, kind="stable")
+            key, ids, needs = key[order], ids[order], needs[order]
+            new = np.concatenate([[True], key[1:] != key[:-1]])
+            shared = ~new | np.append(~new[1:], False)
+            if shared.any():
+                yield _packed(COUNT, parts, *counted(ids[shared], needs[shared]))
+            yield _packed(ENTRY, parts, key[new], ids[new], np.where(shared[new], -1, needs[new]))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sigs, ids, n, known = [], [], 0, {}
         for batch in batches:
-            for part in slices(batch):
-                same, need = [], []
-                for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)):
-                    if i is None or not len(s):
-                        continue
-                    key = (len(s), int(np.bitwise_xor.reduce(mix(s))), int(np.sum(mix(s ^ U(0xA5A5)), dtype=np.uint64)))
-                    hub = known.setdefault(key, i)
-                    if hub != i:
-                        same.append((i, hub))
-                        continue
-                    dealt = signatures(s, like)
-                    need.append((i, min(_least_shared(s, b, like) for b in (0, 1))))
-                    g = np.concatenate(dealt)
-                    sigs.append(g)
-                    ids.append(np.full(len(g), i, np.int64))
-                    n += len(g)
-                for kind, rows in ((SAME, same), (NEED, need)):
-                    if rows:
-                        yield _rows(kind, *np.array(rows, np.int64).T)
+            for key, ids, needs, same in entries(batch):
+                if same:
+                    u, v = np.array(same, np.int64).T
+                    order = np.argsort(u.view(U))
+                    yield _packed(SAME, parts, u.view(U)[order], v[order], v[order])
+                free = needs <= 0
+                if free.any():  # these need no partner
+                    one = np.unique(ids[free]).view(U)
+                    yield _packed(COUNT, parts, one, np.zeros(len(one), np.int64), np.zeros(len(one), np.int64))
+                if len(key):
+                    held.append((key, ids, np.maximum(needs, 0)))
+                    n += len(key)
                 if n >= HELD:
-                    yield from _settle(np.concatenate(sigs), np.concatenate(ids))
-                    sigs, ids, n, known = [], [], 0, {}
+                    yield from settle()
+                    held, n = [], 0
         if n:
-            yield from _settle(np.concatenate(sigs), np.concatenate(ids))
+            yield from settle()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), "kind int, a bigint, b bigint")
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
 
+        def rows_of(kind: int, a: np.ndarray, b: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(np.ascontiguousarray(x)) for x in (signed(a), b, n))], ["kind", "a", "b", "n"])
 
-def _stars(dealt: DataFrame) -> DataFrame:
-    """kind, u, v: every holder of a signature with its least holder, as candidates; other rows as they are."""
+        def answer() -> Iterator[pa.RecordBatch]:
+            key, ids, needs = (np.concatenate(x) for x in zip(*held))
+            order = np.argsort(key, kind="stable")
+            key, ids, needs = key[order], ids[order], needs[order]
+            new = np.concatenate([[True], key[1:] != key[:-1]])
+            shared = (~new | np.append(~new[1:], False)) & (needs >= 0)
+            if shared.any():
+                yield rows_of(COUNT, *counted(ids[shared], needs[shared]))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, hub = None, 0
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            kind, s, i = (np.asarray(batch.column(c)) for c in ("kind", "a", "b"))
-            done = kind != SIGNATURE
-            if done.any():
-                yield _rows_of(kind[done], s[done], i[done])
-            s, i = s[~done], i[~done]
-            if not len(s):
-                continue
-            new = np.concatenate([[last is None or s[0] != last], s[1:] != s[:-1]])
-            lead = np.maximum.accumulate(np.where(new, np.arange(len(s)), -1))
-            hubs = np.where(lead >= 0, i[np.maximum(lead, 0)], hub)
-            other = hubs != i
-            if other.any():
-                # a hub's own row comes with its first candidate
-                u, v = i[other], hubs[other]
-                starts = np.concatenate([[True], s[other][1:] != s[other][:-1]])
-                u, v = np.concatenate([u, v[starts]]), np.concatenate([v, v[starts]])
-                yield _rows_of(np.full(len(u), CANDIDATE, np.int32), u, v)
-            last, hub = s[-1], hubs[-1]
+            kinds, blocks = (np.asarray(batch.column(c)) for c in ("kind", "block"))
+            for i in range(batch.num_rows):
+                key, *rest = (np.frombuffer(batch.column(f"c{j}")[i].as_buffer(), U if j == 0 else np.int64) for j in range(3))
+                if kinds[i] != ENTRY:
+                    yield rows_of(int(kinds[i]), key, *rest)
+                    continue
+                if blocks[i] != now:
+                    if held:
+                        yield from answer()
+                    now, held = blocks[i], []
+                held.append((key.copy(), *(x.copy() for x in rest)))
+        if held:
+            yield from answer()
+
+    dealt = rows.mapInArrow(tidy(deal), PACKED).repartition("block").sortWithinPartitions("block")
+    return dealt.mapInArrow(tidy(gather), "kind int, a bigint, b bigint, n bigint")
+
+
+def _ids(found: DataFrame, name: str) -> DataFrame:
+    """Of ``_enough_shared``: the ids that share enough, as a column of that name."""
+    sums = found.where(F.col("kind") == COUNT).groupBy(F.col("a").alias(name)).agg(F.min("b").alias("need"), F.sum("n").alias("n"))
+    return sums.where("n >= need").select(name)
+
+
+def _signed_documents(docs: DataFrame, like: Likeness) -> DataFrame:
+    """Documents by the signatures of their sets; a task's equal sets are one."""
+
+    def entries(batch: pa.RecordBatch) -> Iterator[tuple]:
+        known: dict[tuple, int] = {}
+        for part in slices(batch):
+            same, keys, ids, needs = [], [], [], []
+            for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)):
+                if i is None or not len(s):
+                    continue
+                hub = known.setdefault(digest(s), i)
+                if hub != i:
+                    same.append((i, hub))
+                    continue
+                keys.append(np.concatenate(signatures(s, like)))
+                ids.append(i)
+                needs.append(min(_least_shared(s, b, like) for b in (0, 1)))
+            size = [len(k) for k in keys]
+            none = np.zeros(0, U)
+            yield np.concatenate(keys) if keys else none, np.repeat(np.array(ids, np.int64), size), np.repeat(np.array(needs, np.int64), size), same
+
+    return _enough_shared(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), entries)
 
-    sorted_ = dealt.repartition("a").sortWithinPartitions("kind", "a", "b")
-    return sorted_.mapInArrow(tidy(run), "kind int, u bigint, v bigint")
 
+def digest(s: np.ndarray) -> tuple[int, int, int]:
+    """Size and two hashes of a set."""
+    return len(s), int(np.bitwise_xor.reduce(mix(s)).view(np.int64)), int(np.sum(mix(s ^ U(0xA5A5)), dtype=U).view(np.int64))
 
-def _rows_of(kind: np.ndarray, u: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x)) for x in (kind, u, v)], ["kind", "u", "v"])
+
+def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
+    """uid, id, n, d1, d2 (digests), s (the ordered set) of the wanted documents; uid stands for id and set."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, seen = None, set()
+        for batch in batches:
+            for part in slices(batch):
+                rows, sets = [], []
+                for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)):
+                    if not len(s):
+                        continue
+                    if i != last:
+                        last, seen = i, set()
+                    key = digest(s)
+                    if key not in seen:  # a repeated row
+                        seen.add(key)
+                        rows.append((i, *key))
+                        sets.append(s)
+                if rows:
+                    i, n, d1, d2 = np.array(rows, np.int64).T
+                    uid = signed(mix(unsigned(i) * U(0x9E3779B97F4A7C15) + mix(unsigned(d1))))
+                    at = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
+                    arrays = [pa.array(np.ascontiguousarray(x)) for x in (uid, i, n, d1, d2)]
+                    yield pa.RecordBatch.from_arrays([*arrays, pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(sets))))], ["uid", "id", "n", "d1", "d2", "s"])
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    rows = rows.join(wanted.hint("merge"), "doc_id", "left_semi")
+    return rows.mapInArrow(tidy(run), "uid bigint, id bigint, n bigint, d1 bigint, d2 bigint, s array<bigint>")
+
+
+def _sets_in(column: pa.Array) -> list[np.ndarray]:
+    at = np.asarray(column.offsets)
+    flat = unsigned(np.asarray(column.values))
+    return [flat[a:b] for a, b in zip(at[:-1].tolist(), at[1:].tolist())]
+
+
+def _by_shingles(sets: DataFrame, like: Likeness) -> DataFrame:
+    """Of sets (uid, n, s): those of whose shingles so few are in no other set that a link is possible.
+
+    Every other shingle (by its lowest bit) is asked about: what of them stands alone counts against the set."""
+
+    def entries(batch: pa.RecordBatch) -> Iterator[tuple]:
+        for at in range(0, batch.num_rows, 256):
+            part = batch.slice(at, 256)
+            asked = [s[(s & U(1)) == 1] for s in _sets_in(part.column("s"))]
+            n = np.asarray(part.column("n"))
+            size = np.array([len(a) for a in asked])
+            needs = size - (n - -(-like.num * n // like.den))
+            ids = np.asarray(part.column("uid"))
+            # a set none of whose shingles are asked about has no key, but needs none
+            lone = np.flatnonzero(size == 0)
+            yield np.concatenate([*asked, np.zeros(0, U)]), np.repeat(ids, size), np.repeat(needs, size), []
+            if len(lone):
+                yield np.zeros(0, U), ids[lone], np.zeros(len(lone), np.int64), []
+
+    return _ids(_enough_shared(sets.select("uid", "n", "s"), entries), "uid")
+
+
+def _prefixes(sets: DataFrame, like: Likeness) -> DataFrame:
+    """h, uid, id, n, rest, score of the shingles in each set's prefix that are in other sets too.
+
+    The global order is by number of sets, the rarest first (ties by hash), so those of one set alone, which lead
+    to nobody, come first.  ``rest`` counts a set's shingles from this one on: two sets that link have in their
+    first common shingle a rest each of at least their least intersection.  ``score`` is how common a set's
+    shingles are on average: high in the middle of a group of near copies."""
+    rows = sets.select("uid", F.explode("s").alias("h"))
+    common = rows.groupBy("h").agg(F.count("*").alias("df")).where("df > 1")
+    per = rows.join(common.hint("merge"), "h").groupBy("uid").agg(F.sort_array(F.collect_list(F.struct("df", "h"))).alias("e"), F.sum("df").alias("score"))
+    per = per.join(sets.select("uid", "id", "n").hint("merge"), "uid")
+    least = F.ceil(F.col("n") * like.num / F.lit(like.den))
+    per = per.withColumn("size", F.size("e")).where(F.col("size") >= least)
+    per = per.withColumn("e", F.slice("e", F.lit(1), F.greatest(F.col("size") - least + 1, F.lit(0)).cast("int")))
+    per = per.select("uid", "id", "n", "size", (F.col("score") / F.col("n")).alias("score"), F.posexplode("e").alias("at", "x"))
+    return per.select(F.col("x.h").alias("h"), "uid", "id", "n", (F.col("size") - F.col("at")).cast("long").alias("rest"), "score")
+
+
+def _can_link(like: Likeness, n: Column, rest: Column, n2: Column, rest2: Column) -> Column:
+    return F.least(rest, rest2) >= F.ceil((n + n2) * like.num / F.lit(like.num + like.den))
 
 
 class PrefixTree:
@@ -292,59 +395,33 @@ class PrefixTree:
         return out
 
 
-def _sets_of(docs: DataFrame, wanted: DataFrame, like: Likeness) -> DataFrame:
-    """Of the wanted ids: id, s (the ordered set as bytes), n (its size), sigs, e0 and e1 (parts without
-    signature, in its band and the next), f0 and f1 (fingerprints)."""
-    names = ["id", "s", "n", "sigs", "e0", "e1", "f0", "f1"]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in slices(batch):
-                full = [(i, s) for i, s in zip(part.column("doc_id").to_pylist(), shingle_sets(part.column("text"), like.size)) if len(s)]
-                f = [fingerprints(s, like) for _, s in full]
-                dealt = [signatures(s, like) for _, s in full]
-                g = [signed(np.concatenate(x)) for x in dealt]
-                unsent = [[_parts_of(len(s), b, like) - len(x[b]) for (_, s), x in zip(full, dealt)] for b in (0, 1)]
-                at = np.concatenate([[0], np.cumsum([len(x) for x in g])]).astype(np.int32)
-                sigs = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(g) if g else np.zeros(0, np.int64)))
-                arrays = [pa.array([i for i, _ in full], pa.int64()), pa.array([s.tobytes() for _, s in full], pa.binary()), pa.array([len(s) for _, s in full], pa.int64()), sigs, *(pa.array(x, pa.int64()) for x in unsent)]
-                yield pa.RecordBatch.from_arrays([*arrays, *(pa.array([x[j] for x in f], pa.binary()) for j in (0, 1))], names)
-
-    # dealt as the table of sets is, so a task writes one bucket
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartition(buckets(docs.sparkSession), "doc_id")
-    rows = rows.join(wanted.withColumnRenamed("id", "doc_id").hint("merge"), "doc_id", "left_semi")
-    return rows.mapInArrow(tidy(run), "id bigint, s binary, n bigint, sigs array<bigint>, e0 bigint, e1 bigint, f0 binary, f1 binary")
-
-
 def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
-    """The pairs (u, hub v) that are similar: a hub probes the tree of its candidates, block by block."""
+    """Ids (u, v) of the pairs of sets (u, hub v) that are similar: a hub probes the tree of its candidates, block by block."""
     salts = 64
-    members = pairs.join(sets.select(F.col("id").alias("u"), "s").hint("merge"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "u", "s")
-    hubs = members.select("v", "salt").distinct().join(sets.select(F.col("id").alias("v"), "s").hint("merge"), "v").select("v", "salt", F.lit(0).alias("kind"), F.col("v").alias("u"), "s")
+    members = pairs.join(sets.select(F.col("uid").alias("u"), "id", "s").hint("merge"), "u").select("v", F.pmod(F.xxhash64("u"), F.lit(salts)).alias("salt"), F.lit(1).alias("kind"), "id", "s")
+    hubs = members.select("v", "salt").distinct().join(sets.select(F.col("uid").alias("v"), "id", "s").hint("merge"), "v").select("v", "salt", F.lit(0).alias("kind"), "id", "s")
     rows = members.unionByName(hubs).repartition("v", "salt").sortWithinPartitions("v", "salt", "kind")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, probes, ids, sets_, found = None, [], [], [], []
+        key, probe, hub, ids, sets_, found = None, None, None, [], [], []
 
         def answer() -> None:
             if ids:
                 tree = PrefixTree(sets_)
-                for probe in probes:
-                    found.extend((ids[k], key[0]) for k in tree.similar(probe, like))
+                found.extend((ids[k], hub) for k in tree.similar(probe, like))
                 ids.clear()
                 sets_.clear()
 
         for batch in batches:
-            for v, salt, kind, u, s in zip(*(batch.column(c).to_pylist() for c in ("v", "salt", "kind", "u", "s"))):
+            for v, salt, kind, i, s in zip(*(batch.column(c).to_pylist() for c in ("v", "salt", "kind", "id")), _sets_in(batch.column("s"))):
                 if (v, salt) != key:
                     answer()
-                    key, probes = (v, salt), []
-                s = np.frombuffer(s, np.uint64)
+                    key = v, salt
                 if kind == 0:
-                    probes.append(s)
+                    probe, hub = s.copy(), i
                 else:
-                    ids.append(u)
-                    sets_.append(s)
+                    ids.append(i)
+                    sets_.append(s.copy())
                     if len(ids) >= BLOCK:
                         answer()
             if found:
@@ -357,172 +434,108 @@ def _linked_stars(pairs: DataFrame, sets: DataFrame, like: Likeness) -> DataFram
     return rows.mapInArrow(tidy(run), "u bigint, v bigint")
 
 
-def _named(rows: DataFrame, labels: DataFrame) -> DataFrame:
-    """``rows`` (id, ...) with the component of each id."""
-    named = rows.join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
-    return named.withColumn("component", F.coalesce("component", "id"))
-
+def _open_rows(prefixes: DataFrame, labels: DataFrame, score: Column) -> DataFrame:
+    """``prefixes`` with their component, of the shingles that sets of several components have; with the hub of
+    each (uid, n, rest, component), the one of the highest score, and the number of rows."""
+    named = prefixes.join(labels.withColumnRenamed("node", "id").hint("merge"), "id", "left")
+    named = named.withColumn("component", F.coalesce("component", "id"))
+    groups = named.groupBy("h").agg(
+        F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("holders"),
+        F.max(F.struct(score.alias("score"), "uid", "component", "n", "rest")).alias("hub"),
+    )
+    return named.join(groups.where("low < high").drop("low", "high").hint("merge"), "h")
 
-def _open_rows(rows: DataFrame) -> DataFrame:
-    """sig, id, component, holders of every signature that sets of several components hold; ``rows``: id,
-    component, sig."""
-    open_ = rows.groupBy("sig").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("holders")).where("a < b")
-    return keep(rows.join(open_.select("sig", "holders").hint("merge"), "sig"), "open-signatures")
 
+def _nearest_hubs(rows: DataFrame, like: Likeness) -> DataFrame:
+    """u, v: for each set the hub of another component that it meets most often, if they can link."""
+    hub = lambda c: F.col(f"hub.{c}")
+    met = rows.where((F.col("component") != hub("component")) & _can_link(like, F.col("n"), F.col("rest"), hub("n"), hub("rest")))
+    met = met.groupBy(F.col("uid").alias("u"), hub("uid").alias("v")).agg(F.count("*").alias("met"), F.max("hub.score").alias("score"))
+    return met.groupBy("u").agg(F.max(F.struct("met", "score", "v")).alias("m")).select("u", F.col("m.v").alias("v"))
 
-def _few_holders(rows: DataFrame, sets: DataFrame, like: Likeness) -> DataFrame:
-    """Candidates (u, v) of different components among signatures of ``FEW`` holders at most: pairs that
-    share as many signatures as linked sets of their sizes have parts in common, or more."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, ids, comps, found = None, [], [], []
 
-        def answer() -> None:
-            found.extend((max(i, j), min(i, j)) for k, i in enumerate(ids) for j, c in zip(ids[:k], comps) if c != comps[k] and i != j)
-
-        for batch in batches:
-            for sig, i, c in zip(*(batch.column(x).to_pylist() for x in ("sig", "id", "component"))):
-                if sig != key:
-                    answer()
-                    key, ids, comps = sig, [], []
-                ids.append(i)
-                comps.append(c)
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
-                found.clear()
-        answer()
-        if found:
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v"])
+def _left_over(rows: DataFrame, like: Likeness) -> DataFrame:
+    """u, v: all pairs of sets of different components that can link by a shingle they have in common.
 
-    pairs = rows.select("sig", "id", "component").repartition("sig").sortWithinPartitions("sig").mapInArrow(tidy(run), "u bigint, v bigint")
-    pairs = pairs.groupBy("u", "v").agg(F.count("*").alias("shared"))
-    for x in "uv":
-        size = sets.groupBy(F.col("id").alias(x)).agg(*(F.max(c).alias(f"{x}{c}") for c in ("n", "e0", "e1")))
-        pairs = pairs.join(size.hint("merge"), x)
-    first, parts, _ = _bands(like.num, like.den)
-    edges = F.array(*(F.lit(int(e)) for e in first))
-    bands = F.array(*map(F.lit, parts))
-    band = lambda c: F.size(F.filter(edges, lambda e: e <= F.col(c)))
-    pairs = pairs.withColumns({"ub": band("un"), "vb": band("vn")}).withColumn("b", F.greatest("ub", "vb"))
-    pairs = pairs.where(F.col("b") - F.least("ub", "vb") <= 1)
-    unsent = [F.when(F.col(f"{x}b") == F.col("b"), F.col(f"{x}e0")).otherwise(F.col(f"{x}e1")) for x in "uv"]
-    together = F.col("un") + F.col("vn")
-    differ = together - 2 * F.floor((together * like.num + (like.num + like.den - 1)) / (like.num + like.den))
-    return pairs.where(F.col("shared") >= F.element_at(bands, F.col("b")) - differ - F.greatest(*unsent)).select("u", "v")
-
-
-def _many_holders(rows: DataFrame, sets: DataFrame, like: Likeness, best: bool) -> DataFrame:
-    """Candidates (u, v) of different components among signatures of more holders.
-
-    Sets meet family by family (a family: what such signatures connect), in blocks and pairs of blocks, by
-    their fingerprints; pairs whose fingerprints differ in more bytes than linked sets can have members
-    apart are out.  With ``best``, each set names only the nearest one of all other components."""
-    stars = rows.groupBy("sig").agg(F.min("id").alias("v"))
-    families = components(rows.join(stars.hint("merge"), "sig").select(F.col("id").alias("u"), "v"))
-    rows = rows.groupBy("id").agg(F.min("component").alias("component"))
-    rows = rows.join(families.select(F.col("node").alias("id"), F.col("component").alias("family")).hint("merge"), "id")
-    size = rows.groupBy("family").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    rows = rows.join(size.hint("merge"), "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-    rows = rows.join(sets.select("id", "n", "f0", "f1").hint("merge"), "id")
+    A shingle's sets meet in blocks of ``GROUP``, and pairs of blocks where they are more."""
+    blocks = F.ceil(F.col("holders") / GROUP).cast("int")
+    rows = rows.select("h", "uid", "component", "n", "rest", blocks.alias("blocks"), F.pmod(F.xxhash64("uid"), blocks).cast("int").alias("block"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select(F.xxhash64("family", F.least("block", "other"), F.greatest("block", "other")).alias("g"), "block", "id", "component", "n", "f0", "f1")
-    rows = rows.repartition("g").sortWithinPartitions("g", "block")
+    rows = rows.select("h", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "uid", "component", "n", "rest")
+    rows = rows.repartition("h", "low", "high").sortWithinPartitions("h", "low", "high")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        first, parts, _ = _bands(like.num, like.den)
-        key, members, found = None, [], []
+        held: list[np.ndarray] = []
+        now = None
+        out: set[tuple[int, int]] = set()
 
         def answer() -> None:
-            if len(members) < 2:
+            uid, comp, n, rest, block, low, high = np.concatenate(held, axis=1)
+            names, which, size = np.unique(comp, return_inverse=True, return_counts=True)
+            if len(names) < 2:
                 return
-            block, ids, comps, n = (np.array([m[j] for m in members]) for j in range(4))
-            both = block[0] != block[-1]  # pairs inside a block are met where it stands alone
-            band = np.searchsorted(first, n, "right") - 1
-            for b in np.unique(band):
-                # the larger of two sets is of band b, the smaller of band b or of the one before
-                here, below = np.flatnonzero(band == b), np.flatnonzero(band == b - 1)
-                group = np.concatenate([here, below])
-                prints = np.frombuffer(b"".join([members[k][4] for k in here] + [members[k][5] for k in below]), np.uint8).reshape(len(group), -1)
-                for k in range(len(here)):
-                    others = np.arange(0 if best else k + 1, len(group))
-                    at = group[others]
-                    use = comps[at] != comps[here[k]]
-                    if both:
-                        use &= block[at] != block[here[k]]
-                    others, at = others[use], at[use]
-                    if not len(at):
-                        continue
-                    apart = np.count_nonzero(prints[others] != prints[k], axis=1)
-                    both_n = n[at] + n[here[k]]
-                    near = apart <= both_n + 2 * (-like.num * both_n // (like.num + like.den))
-                    at, apart = at[near], apart[near]
-                    mine = int(ids[here[k]])
-                    if best and len(at):
-                        nearest = np.lexsort((ids[at], apart))[0]
-                        found.append((mine, int(ids[at[nearest]]), int(apart[nearest])))
-                    elif not best:
-                        found.extend((max(mine, x), min(mine, x), 0) for x in ids[at].tolist() if x != mine)
+            order = np.argsort(size[which] * -1, kind="stable")  # those of the largest component first
+            uid, comp, n, rest, block = (x[order] for x in (uid, comp, n, rest, block))
+            apart = low[0] != high[0]  # pairs inside a block are met where it stands alone
+            for k in range(int(size.max()), len(uid)):
+                need = -(-like.num * (n[:k] + n[k]) // (like.num + like.den))
+                fits = (np.minimum(rest[:k], rest[k]) >= need) & (comp[:k] != comp[k])
+                if apart:
+                    fits &= block[:k] != block[k]
+                out.update((max(x, y), min(x, y)) for x in uid[:k][fits].tolist() for y in [int(uid[k])])
 
         def give() -> Iterator[pa.RecordBatch]:
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["u", "v", "apart"])
-                found.clear()
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*out)], ["u", "v"])
+                out.clear()
 
         for batch in batches:
-            for g, *m in zip(*(batch.column(x).to_pylist() for x in ("g", "block", "id", "component", "n", "f0", "f1"))):
-                if g != key:
-                    answer()
-                    yield from give()
-                    key, members = g, []
-                members.append(m)
-        answer()
+            columns = np.array([np.asarray(batch.column(c)).astype(np.int64) for c in ("h", "uid", "component", "n", "rest", "block", "low", "high")])
+            keys = columns[[0, 6, 7]]
+            cuts = np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(axis=0)) + 1
+            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), columns.shape[1]]):
+                if a == b:
+                    continue
+                key = tuple(keys[:, a].tolist())
+                if key != now:
+                    if held:
+                        answer()
+                    now, held = key, []
+                held.append(columns[1:, a:b])
+            if len(out) > HELD:
+                yield from give()
+        if held:
+            answer()
         yield from give()
 
-    found = rows.mapInArrow(tidy(run), "u bigint, v bigint, apart bigint")
-    if best:
-        return found.groupBy("u").agg(F.min(F.struct("apart", "v")).alias("m")).select("u", F.col("m.v").alias("v")).where("u <> v")
-    return found.select("u", "v").distinct()
+    return rows.mapInArrow(tidy(run), "u bigint, v bigint").distinct()
 
 
 def link_classes(docs: DataFrame, like: Likeness = Likeness()) -> DataFrame:
     """node, component of every document that links with another one."""
-    pairs = keep(_stars(_dealt(docs, like)).groupBy("kind", "u", "v").agg(F.count("*").alias("shared")), "pairs")
-    equal = pairs.where(F.col("kind") == SAME).select("u", "v")
-    need = pairs.where(F.col("kind") == NEED).groupBy("u").agg(F.min("v").alias("need"))
-    pairs = pairs.where(F.col("kind") == CANDIDATE)
-    # a set whose signatures are its own, but for fewer than a link takes, is out
-    wanted = pairs.groupBy("u").agg(F.sum("shared").alias("shared")).join(need, "u").where("shared >= need").select(F.col("u").alias("id"))
-    wanted = keep(wanted, "wanted")
-    pairs = pairs.where("u <> v")
-    for x in "uv":
-        pairs = pairs.join(wanted.select(F.col("id").alias(x)).hint("merge"), x, "left_semi")
-    # first every set meets the hub it shares most with; what that leaves apart meets below
-    nearest = pairs.groupBy("u").agg(F.max(F.struct("shared", F.negative("v").alias("minus"))).alias("m")).select("u", (-F.col("m.minus")).alias("v"))
-    sets, table = keep_dealt(_sets_of(docs, wanted, like), "sets", "id")
-    labels = components(equal.unionByName(_linked_stars(nearest, sets, like)))
-    rows, moved = None, True
-    for best in [True] * NEAREST_ROUNDS + [False]:
-        if moved:
-            # merging closes signatures and opens none, so a round starts from those that the one before left open
-            if rows is None:
-                rows = _named(sets.select("id", "sigs"), labels).select("id", "component", F.explode("sigs").alias("sig"))
-            else:
-                rows = _named(rows.select("id", "sig"), labels)
-            rows = _open_rows(rows)
-        elif best:
-            continue
-        moved = False
-        many = rows.where(F.col("holders") > FEW)
-        if best and many.isEmpty():
-            continue
-        more = _many_holders(many, sets, like, best)
-        if not best:
-            more = more.unionByName(_few_holders(rows.where(F.col("holders") <= FEW), sets, like)).distinct()
-        found = keep(_linked_stars(keep(more, "left-over"), sets, like), "late-links")
-        moved = not found.isEmpty()
-        if moved:
-            labels = components(labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(found))
-    docs.sparkSession.sql(f"DROP TABLE {table}")  # its entry; the labels are written by now
+    dealt = keep(_signed_documents(docs, like), "shared-signatures")
+    sets = keep(_sets_of(docs, _ids(dealt, "doc_id"), like), "wanted-sets")
+    # equal sets are linked to the one of least id, which alone goes on
+    first = sets.groupBy("d1", "d2", "n").agg(F.min(F.struct("id", "uid")).alias("first"))
+    equal = sets.select("id", "d1", "d2", "n").join(first.hint("merge"), ["d1", "d2", "n"]).select(F.col("id").alias("u"), F.col("first.id").alias("v"))
+    equal = equal.unionByName(dealt.where(F.col("kind") == SAME).select(F.col("a").alias("u"), F.col("b").alias("v")))
+    single = sets.select("uid", "id", "n", "s").join(first.select("first.uid").hint("merge"), "uid", "left_semi")
+    likely, table = keep_dealt(single.join(_by_shingles(single, like).hint("merge"), "uid", "left_semi"), "sets", "uid")
+    prefixes = keep(_prefixes(likely, like), "prefixes")
+    links = keep(equal.where("u <> v"), "links")
+    forget(dealt, sets)
+    labels = components(links)
+    for score in (F.col("score"), F.xxhash64("uid").cast("double"), None):
+        rows = keep(_open_rows(prefixes, labels, F.col("score") if score is None else score), "open-prefixes")
+        candidates = _left_over(rows, like) if score is None else _nearest_hubs(rows, like)
+        found = keep(_linked_stars(candidates, likely, like), "found")
+        more = not found.isEmpty()
+        if more:
+            links = keep(labels.select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(found).where("u <> v"), "links")
+            labels = components(links)
+        forget(rows, found)
+    forget(prefixes)
+    forget_dealt(likely, table)
     return labels
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -27,7 +28,24 @@ def keep(df: DataFrame, label: str) -> DataFrame:
     """``df`` written once and read again: its lineage ends here and no later job computes it anew."""
     path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.kept_at = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def forget(*tables: DataFrame, shuffles: bool = True) -> None:
+    """Deletes tables of ``keep`` that nothing reads any more.  Shuffle files of finished jobs go with the next
+    collection of the driver's garbage, which is asked for here (with ``shuffles``)."""
+    for t in tables:
+        _delete(t.sparkSession, t.kept_at)
+    if shuffles:
+        gc.collect()
+        tables[0].sparkSession._jvm.System.gc()
 
 
 def keep_dealt(df: DataFrame, label: str, column: str) -> tuple[DataFrame, str]:
@@ -39,5 +57,12 @@ def keep_dealt(df: DataFrame, label: str, column: str) -> tuple[DataFrame, str]:
     return spark.table(name), name
 
 
+def forget_dealt(df: DataFrame, name: str) -> None:
+    """Drops the table of ``keep_dealt`` and its files."""
+    spark = df.sparkSession
+    spark.sql(f"DROP TABLE {name}")
+    _delete(spark, f"{shared_dir(spark)}/{name}")
+
+
 def buckets(spark: SparkSession) -> int:
     return min(100_000, int(spark.conf.get("spark.sql.shuffle.partitions")))
