@@ -190,33 +190,47 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, held = None, []
+        sums: list[tuple[np.ndarray, ...]] = []
 
         def rows_of(kind: int, a: np.ndarray, b: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(np.ascontiguousarray(x)) for x in (signed(a), b, n))], ["kind", "a", "b", "n"])
 
-        def answer() -> Iterator[pa.RecordBatch]:
+        def summed() -> tuple[np.ndarray, ...]:
+            ids, needs, n = (np.concatenate(x) for x in zip(*sums))
+            one, at, which = np.unique(ids, return_index=True, return_inverse=True)
+            return one, needs[at], np.bincount(which, weights=n, minlength=len(one)).astype(np.int64)
+
+        def answer() -> None:
             key, ids, needs = (np.concatenate(x) for x in zip(*held))
             order = np.argsort(key, kind="stable")
             key, ids, needs = key[order], ids[order], needs[order]
             new = np.concatenate([[True], key[1:] != key[:-1]])
             shared = (~new | np.append(~new[1:], False)) & (needs >= 0)
             if shared.any():
-                yield rows_of(COUNT, *counted(ids[shared], needs[shared]))
+                sums.append(counted(ids[shared], needs[shared]))
 
         for batch in batches:
             kinds, blocks = (np.asarray(batch.column(c)) for c in ("kind", "block"))
             for i in range(batch.num_rows):
                 key, *rest = (np.frombuffer(batch.column(f"c{j}")[i].as_buffer(), U if j == 0 else np.int64) for j in range(3))
-                if kinds[i] != ENTRY:
-                    yield rows_of(int(kinds[i]), key, *rest)
-                    continue
-                if blocks[i] != now:
-                    if held:
-                        yield from answer()
-                    now, held = blocks[i], []
-                held.append((key.copy(), *(x.copy() for x in rest)))
+                if kinds[i] == SAME:
+                    yield rows_of(SAME, key, *rest)
+                elif kinds[i] == COUNT:
+                    sums.append((key.copy(), *(x.copy() for x in rest)))
+                else:
+                    if blocks[i] != now:
+                        if held:
+                            answer()
+                        now, held = blocks[i], []
+                    held.append((key.copy(), *(x.copy() for x in rest)))
+                if len(sums) > 256:  # an id's counts of all blocks of the task are one row, as far as they are held together
+                    sums = [summed()]
+                    if len(sums[0][0]) > HELD:
+                        yield rows_of(COUNT, *sums.pop())
         if held:
-            yield from answer()
+            answer()
+        if sums:
+            yield rows_of(COUNT, *summed())
 
     dealt = rows.mapInArrow(tidy(deal), PACKED).repartition("block").sortWithinPartitions("block")
     return dealt.mapInArrow(tidy(gather), "kind int, a bigint, b bigint, n bigint")
