@@ -41,7 +41,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .kernel import mix, signed, slices, tidy, U, unsigned, Words
+from .kernel import mix, packed, PACKED, signed, slices, tidy, U, unsigned, Words
 from .workspace import buckets, forget, forget_dealt, keep, keep_dealt
 
 BLOCK = 128
@@ -127,21 +127,6 @@ def set_sizes(docs: DataFrame, size: int) -> DataFrame:
 ENTRY, COUNT, SAME = 0, 1, 2
 
 
-def _packed(kind: int, parts: int, key: np.ndarray, *columns: np.ndarray) -> pa.RecordBatch:
-    """Rows in ascending order of ``key``, packed by range of the key: one row for each range that has some."""
-    block = ((key >> U(32)) * U(parts)) >> U(32)
-    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
-    ends = np.append(edge, len(key))
-    arrays = [pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32))]
-    for c in (key, *columns):
-        offsets = pa.array((ends * c.itemsize).astype(np.int32))
-        arrays.append(pa.Array.from_buffers(pa.binary(), len(edge), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(c))]))
-    return pa.RecordBatch.from_arrays(arrays, ["kind", "block", *(f"c{j}" for j in range(len(columns) + 1))])
-
-
-PACKED = "kind int, block int, c0 binary, c1 binary, c2 binary"
-
-
 def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator[tuple]]) -> DataFrame:
     """kind, a, b, n: ids that share as many of their keys as they need (COUNT, id, -, -), and equal sets (SAME, id, id, -).
 
@@ -166,19 +151,19 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
             new = np.concatenate([[True], key[1:] != key[:-1]])
             shared = ~new | np.append(~new[1:], False)
             if shared.any():
-                yield _packed(COUNT, parts, *counted(ids[shared], needs[shared]))
-            yield _packed(ENTRY, parts, key[new], ids[new], np.where(shared[new], -1, needs[new]))
+                yield packed(COUNT, parts, *counted(ids[shared], needs[shared]))
+            yield packed(ENTRY, parts, key[new], ids[new], np.where(shared[new], -1, needs[new]))
 
         for batch in batches:
             for key, ids, needs, same in entries(batch):
                 if same:
                     u, v = np.array(same, np.int64).T
                     order = np.argsort(u.view(U))
-                    yield _packed(SAME, parts, u.view(U)[order], v[order], v[order])
+                    yield packed(SAME, parts, u.view(U)[order], v[order], v[order])
                 free = needs <= 0
                 if free.any():  # these need no partner
                     one = np.unique(ids[free]).view(U)
-                    yield _packed(COUNT, parts, one, np.zeros(len(one), np.int64), np.zeros(len(one), np.int64))
+                    yield packed(COUNT, parts, one, np.zeros(len(one), np.int64), np.zeros(len(one), np.int64))
                 if len(key):
                     held.append((key, ids, np.maximum(needs, 0)))
                     n += len(key)

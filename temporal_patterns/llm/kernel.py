@@ -185,6 +185,22 @@ def sliding_argmin(values: np.ndarray, width: int) -> np.ndarray:
     return (v & U(0xFFFFFF)).astype(np.int64)
 
 
+#: Type of what ``packed`` makes of a key and two columns.
+PACKED = "kind int, block int, c0 binary, c1 binary, c2 binary"
+
+
+def packed(kind: int, parts: int, key: np.ndarray, *columns: np.ndarray) -> pa.RecordBatch:
+    """Rows in ascending order of ``key``, packed by range of the key: one row for each range that has some."""
+    block = ((key >> U(32)) * U(parts)) >> U(32)
+    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+    ends = np.append(edge, len(key))
+    arrays = [pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32))]
+    for c in (key, *columns):
+        offsets = pa.array((ends * c.itemsize).astype(np.int32))
+        arrays.append(pa.Array.from_buffers(pa.binary(), len(edge), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(c))]))
+    return pa.RecordBatch.from_arrays(arrays, ["kind", "block", *(f"c{j}" for j in range(len(columns) + 1))])
+
+
 class Memory(dict):
     """Results of a pure function by argument, in two generations of bounded size: what was not
     asked for during the last generation is forgotten (and computed again when asked for)."""

@@ -1,13 +1,17 @@
 """Substring deduplication by lines.
 
-Units are the lines of a text.  A unit is normalised (A-Z to lower case, runs of blanks to one,
-trimmed), its 128-bit digest is grouped over the whole corpus, the occurrence of least rank
-(doc_id, then byte offset) stays and every other one is removed with its line break; the removed
-spans are returned as offsets in the original bytes.  Units of under ``min_words`` words (5) are
-left alone: such lines repeat by chance.
+Units are the lines of a text; a longer line is cut into pieces at places that its words choose: a gap
+between two words is a cut if a hash of the two is the least among the gaps up to ``REACH`` before and after, in the same
+line.  So a passage that stands in the middle of different lines has the same pieces in all of them, but
+for the first and the last, and no piece of a line has fewer than ``REACH`` + 1 words.
 
-A task first settles its own repeats: every occurrence but its earliest is removed for certain,
-so a line that a third of all documents hold sends one row per task to the shuffle.
+A unit is normalised (A-Z to lower case, blanks between words to one, trimmed), its 128-bit digest is grouped
+over the whole corpus, the occurrence of least rank (doc_id, then byte offset) stays, and others are repeats.
+Repeats that follow one another in a text, with ``min_words`` words together (25) or more, are removed with the blanks after them;
+the removed spans are returned as offsets in the original bytes.  Shorter ones are left alone: such lines
+(licences, notices, captions) repeat in documents that have nothing else in common.
+
+A task first settles its own repeats, so a line that a third of all documents hold sends one row per task.
 
 Defined cases: null, empty and blank texts have no units; repeated rows (same id, same text) are
 one document and keep the same lines; a null id ranks first; an empty table gives no rows.
@@ -19,14 +23,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import _BASES, mix, slices, tidy, U, Words
+from .kernel import _BASES, mix, signed, slices, tidy, U, Words
 from .spans import cut, doc_key, text_key
+from .workspace import buckets
 
-MIN_WORDS = 5
+MIN_WORDS = 25
+REACH = 3
 HELD = 400_000
+_NAMES = ["d1", "d2", "k", "th", "start", "length", "words"]
 
 
 def _power_sums(h: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
@@ -38,66 +45,167 @@ def _power_sums(h: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([[U(0)], np.cumsum(h * power[: len(h)], dtype=np.uint64)]), inverse
 
 
-def line_units(texts: pa.Array, min_words: int) -> tuple[np.ndarray, ...]:
-    """Row, first byte in the row, bytes (with the line break), and two digests of each unit."""
+def _cuts(w: Words, h: np.ndarray) -> np.ndarray:
+    """Whether a unit ends after each word."""
+    breaks = np.cumsum(w.data == 10)
+    line_end = np.append((breaks[w.start[1:]] != breaks[w.start[:-1]]) | (w.row[1:] != w.row[:-1]), True)
+    gap = mix(h * U(_BASES[0]) + mix(np.append(h[1:], U(0)))) | U(1)
+    gap[line_end] = 0
+    least = ~line_end
+    for far in range(1, REACH + 1):
+        least[far:] &= gap[far:] < gap[:-far]
+        least[:far] &= False
+        least[:-far] &= gap[:-far] <= gap[far:]
+    return line_end | least
+
+
+def line_units(texts: pa.Array) -> tuple[np.ndarray, ...]:
+    """Two digests, row, first byte in the row, bytes (up to the next unit), and words of each unit."""
     w = Words(texts, lower=True)
     none = np.zeros(0, np.int64)
     if not len(w.start):
-        return none, none, none, none.view(np.uint64), none.view(np.uint64)
-    breaks = np.flatnonzero(w.data == 10) + 1
-    starts = np.union1d(breaks, w.offsets[:-1])
-    starts = starts[starts < len(w.data)]
-    ends = np.append(starts[1:], len(w.data))
-    first, last = np.searchsorted(w.start, starts), np.searchsorted(w.start, ends)
-    long = last - first >= max(min_words, 1)
-    starts, ends, first, last = starts[long], ends[long], first[long], last[long]
-    row = np.searchsorted(w.offsets, starts, "right") - 1
+        return none.view(U), none.view(U), none, none, none, none
     h = w.hashes()
+    last = np.flatnonzero(_cuts(w, h))
+    first = np.append(0, last[:-1] + 1)
+    row = w.row[first]
+    starts = w.start[first]
+    ends = np.append(starts[1:], len(w.data))
+    final = np.append(row[1:] != row[:-1], True)
+    ends[final] = w.offsets[row[final] + 1]
     digests = []
     for base in _BASES:
         sums, inverse = _power_sums(mix(h ^ U(base)), base)
-        digests.append(mix((sums[last] - sums[first]) * inverse[first] + (last - first).astype(np.uint64)))
-    return row, starts - w.offsets[row], ends - starts, digests[0], digests[1]
-
-
-def _settle(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
-    """Of equal units all but the earliest are marked ``sure``."""
-    d1, d2, k, th, start, length = (np.concatenate([p[i] for p in parts]) for i in range(6))
-    order = np.lexsort((start, th, k, d2, d1))
-    d1, d2, k, th, start, length = (x[order] for x in (d1, d2, k, th, start, length))
-    same = np.concatenate([[False], (d1[1:] == d1[:-1]) & (d2[1:] == d2[:-1])])
-    lead = np.maximum.accumulate(np.where(same, 0, np.arange(len(d1))))
-    again = same & (k == k[lead]) & (th == th[lead]) & (start == start[lead])  # repeated rows
-    keep = ~again
-    arrays = [d1.view(np.int64), d2.view(np.int64), k, th, start, length, same]
-    return pa.RecordBatch.from_arrays([pa.array(a[keep]) for a in arrays], ["d1", "d2", "k", "th", "start", "length", "sure"])
-
-
-def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """k, th, start, length of every unit of which an earlier occurrence stays."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digests.append(mix((sums[last + 1] - sums[first]) * inverse[first] + (last + 1 - first).astype(U)))
+    return digests[0], digests[1], row, starts - w.offsets[row], ends - starts, last + 1 - first
+
+
+def _in_order(parts: list[tuple[np.ndarray, ...]]) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """Columns (d1, d2, k, th, start, ...) in order, each row once; whether a row is the first of its unit, and whether others are."""
+    columns = [np.concatenate(x) for x in zip(*parts)]
+    order = np.lexsort(tuple(reversed(columns[:5])))
+    columns = [x[order] for x in columns]
+    same = np.concatenate([[False], (columns[0][1:] == columns[0][:-1]) & (columns[1][1:] == columns[1][:-1])])
+    again = same.copy()  # repeated rows
+    for x in columns[2:5]:
+        again[1:] &= x[1:] == x[:-1]
+    columns, same = [x[~again] for x in columns], same[~again]
+    return columns, ~same, same | np.append(same[1:], False)
+
+
+def _per_document(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
+    """Rows k, th, and lists of start, length, words, first (1: this occurrence stays)."""
+    columns = [np.concatenate(x) for x in zip(*parts)]
+    order = np.lexsort((columns[2], columns[1], columns[0]))
+    k, th, *lists = (x[order] for x in columns)
+    at = np.flatnonzero(np.concatenate([[True], (k[1:] != k[:-1]) | (th[1:] != th[:-1])]))
+    offsets = pa.array(np.append(at, len(k)).astype(np.int32))
+    arrays = [pa.ListArray.from_arrays(offsets, pa.array(x.astype(np.int32))) for x in lists]
+    return pa.RecordBatch.from_arrays([pa.array(k[at]), pa.array(th[at]), *arrays], ["k", "th", "start", "length", "words", "first"])
+
+
+def _repeats(docs: DataFrame) -> DataFrame:
+    """k, th, and lists of start, length, words, first of units that stand more than once."""
+    blocks = 4 * buckets(docs.sparkSession)
+    lists = "start array<int>, length array<int>, words array<int>, first array<int>"
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, ...]] = []
         n = 0
+
+        def settle() -> Iterator[pa.RecordBatch]:
+            columns, first, shared = _in_order(held)
+            block = ((columns[0] >> U(32)) * U(blocks) >> U(32)).astype(np.int32)
+            # what is not the first here is a repeat for certain; the first goes on and may have others elsewhere
+            gone = ~first
+            if gone.any():
+                out = _per_document([(*(x[gone] for x in columns[2:]), np.zeros(int(gone.sum()), np.int32))])
+                whole = [pa.array(np.full(out.num_rows, -1, np.int32)), pa.nulls(out.num_rows, pa.binary()), *out.columns]
+                yield pa.RecordBatch.from_arrays(whole, ["block", "units", *out.schema.names])
+            table = np.stack([signed(columns[0]), signed(columns[1]), *columns[2:], shared.astype(np.int64)], axis=1)[first]
+            block = block[first]
+            at = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+            offsets = pa.array((np.append(at, len(block)) * table.shape[1] * 8).astype(np.int32))
+            units = pa.Array.from_buffers(pa.binary(), len(at), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(table))])
+            nulls = [pa.nulls(len(at), t) for t in (pa.int64(), pa.int64(), *[pa.list_(pa.int32())] * 4)]
+            yield pa.RecordBatch.from_arrays([pa.array(block[at]), units, *nulls], ["block", "units", "k", "th", "start", "length", "words", "first"])
+
         for batch in batches:
             for part in slices(batch):
-                row, start, length, d1, d2 = line_units(part.column("text"), min_words)
+                d1, d2, row, start, length, words = line_units(part.column("text"))
                 k, th = (np.asarray(part.column(c), np.int64)[row] for c in ("k", "th"))
-                held.append((d1, d2, k, th, start, length))
+                held.append((d1, d2, k, th, start, length, words))
                 n += len(row)
                 if n >= HELD:
-                    yield _settle(held)
+                    yield from settle()
                     held, n = [], 0
         if n:
-            yield _settle(held)
+            yield from settle()
+
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held, found, n = None, [], [], 0
+
+        def answer() -> int:
+            tables = [np.frombuffer(x, np.int64).reshape(-1, 8) for x in held]
+            (*columns, elsewhere), first, shared = _in_order([(t[:, 0].view(U), t[:, 1].view(U), *t.T[2:]) for t in (np.asfortranarray(t) for t in tables)])
+            shared |= elsewhere > 0
+            found.append((*(x[shared] for x in columns[2:]), first[shared].astype(np.int32)))
+            return int(shared.sum())
+
+        for batch in batches:
+            blocks_ = np.asarray(batch.column("block"))
+            done = blocks_ < 0
+            if done.any():
+                yield batch.filter(pa.array(done)).select(["k", "th", "start", "length", "words", "first"])
+            for i in np.flatnonzero(~done).tolist():
+                if blocks_[i] != now:
+                    if held:
+                        n += answer()
+                    now, held = blocks_[i], []
+                    if n >= HELD:
+                        yield _per_document(found)
+                        found, n = [], 0
+                held.append(batch.column("units")[i].as_py())
+        if held:
+            n += answer()
+        if n:
+            yield _per_document(found)
 
-    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(run), "d1 bigint, d2 bigint, k bigint, th bigint, start bigint, length bigint, sure boolean")
-    at = F.struct("k", "th", "start")
-    same = Window.partitionBy("d1", "d2")
-    ranked = units.withColumn("least", F.min(at).over(same))
-    return ranked.where(F.col("sure") | (at != F.col("least"))).select("k", "th", "start", "length")
+    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(deal), f"block int, units binary, k bigint, th bigint, {lists}")
+    # settled repeats (block -1) need no partner: they stay apart by their document
+    dealt = units.repartition("block", F.coalesce("k", F.lit(0))).sortWithinPartitions("block")
+    return dealt.mapInArrow(tidy(gather), f"k bigint, th bigint, {lists}")
+
+
+def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """k, th, starts, lengths of the runs to be removed, and n_repeated: bytes of all runs of units that stand
+    elsewhere too, those that stay included; of documents that have any."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def runs(start: np.ndarray, length: np.ndarray, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            new = np.flatnonzero(np.concatenate([[True], start[1:] != (start + length)[:-1]]))
+            fits = np.add.reduceat(words, new) >= min_words
+            return start[new][fits], np.add.reduceat(length, new)[fits]
+
+        for batch in batches:
+            k, th = (batch.column(c).to_pylist() for c in ("k", "th"))
+            rows = []
+            for i, unit in enumerate(batch.column("units")):
+                lists = [np.concatenate([np.asarray(part[c].values) for part in unit]).astype(np.int64) for c in ("start", "length", "words", "first")]
+                start, length, words, first = (x[np.argsort(lists[0], kind="stable")] for x in lists)
+                whole = runs(start, length, words)[1]
+                if len(whole):
+                    gone = first == 0
+                    starts, lengths = runs(start[gone], length[gone], words[gone]) if gone.any() else (start[:0], length[:0])
+                    rows.append((k[i], th[i], starts.tolist(), lengths.tolist(), int(whole.sum())))
+            if rows:
+                kinds = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64()]
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), kinds)], ["k", "th", "starts", "lengths", "n_repeated"])
+
+    per = _repeats(docs).groupBy("k", "th").agg(F.collect_list(F.struct("start", "length", "words", "first")).alias("units"))
+    return per.mapInArrow(tidy(run), "k bigint, th bigint, starts array<bigint>, lengths array<bigint>, n_repeated bigint")
 
 
 def drop_repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS, with_text: bool = True) -> DataFrame:
-    """Every row of ``docs`` without its repeated units (see ``spans.cut`` for the columns)."""
-    return cut(docs, repeated_lines(docs, min_words), with_text)
+    """Every row of ``docs`` without its repeated runs of units (see ``spans.cut`` for the columns), and n_repeated."""
+    return cut(docs, repeated_runs(docs, min_words), with_text, ("n_repeated",))

@@ -38,28 +38,35 @@ def cover(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return start[new], end[last]
 
 
-def cut(docs: DataFrame, spans: DataFrame, with_text: bool = True) -> DataFrame:
+def gathered(spans: DataFrame) -> DataFrame:
+    """One row for each document of spans (k, th, start, length): k, th, and arrays of starts and lengths."""
+    return spans.groupBy("k", "th").agg(F.collect_list("start").alias("starts"), F.collect_list("length").alias("lengths"))
+
+
+def cut(docs: DataFrame, per_doc: DataFrame, with_text: bool = True, also: tuple[str, ...] = ()) -> DataFrame:
     """Every row of ``docs`` without the bytes of its spans.
 
-    ``spans`` has k, th (of ``doc_key``, ``text_key``), start, length in bytes; a document's spans
-    are as many as its length allows.  Added: n_bytes, n_removed, n_spans (long), kept_sha256, spans
+    ``per_doc`` has a row for each document with spans: k, th (of ``doc_key``, ``text_key``), starts, lengths
+    (arrays, in bytes; as many as the text's length allows), and numbers named in ``also`` (0 for other documents).  Added: these, n_bytes, n_removed, n_spans (long), kept_sha256, spans
     (array of start, length in the original bytes); ``text`` is what remains, and n_chars its length
     where ``docs`` has that column.  Spans that end inside a character lose the character's rest in
     ``text`` alone.
     """
     own = ["n_bytes", "n_removed", "n_spans", "kept_sha256", "spans"]
-    docs = docs.drop(*own)
+    docs = docs.drop(*own, *also)
     names = docs.columns
-    per_doc = spans.groupBy(F.col("k").alias("__k"), F.col("th").alias("__th")).agg(F.collect_list("start").alias("__start"), F.collect_list("length").alias("__length"))
-    joined = docs.withColumns({"__k": doc_key(), "__th": text_key()}).join(per_doc, ["__k", "__th"], "left").select(*names, "__start", "__length")
+    # the caller's columns travel as one struct, so their names can't clash
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in names)).alias("row"), doc_key().alias("k"), text_key().alias("th"))
+    joined = keyed.join(per_doc, ["k", "th"], "left").select("row", "starts", "lengths", *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in also))
     kept_names = names if with_text else [c for c in names if c != "text"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for at in range(0, whole.num_rows, 512):
-                batch = whole.slice(at, 512)
-                texts = batch.column("text").to_pylist()
-                starts, lengths = batch.column("__start").to_pylist(), batch.column("__length").to_pylist()
+                part = whole.slice(at, 512)
+                batch = dict(zip(names, part.column("row").flatten()))
+                texts = batch["text"].to_pylist()
+                starts, lengths = part.column("starts").to_pylist(), part.column("lengths").to_pylist()
                 rows: list[list] = [[] for _ in own]
                 out = []
                 for text, s, n in zip(texts, starts, lengths):
@@ -78,11 +85,11 @@ def cut(docs: DataFrame, spans: DataFrame, with_text: bool = True) -> DataFrame:
                     if c == "text":
                         columns.append(pa.array(out, pa.string()))
                     elif c == "n_chars":
-                        columns.append(pa.array([len(t) if s else m for t, s, m in zip(out, starts, batch.column(c).to_pylist())], pa.int64()))
+                        columns.append(pa.array([len(t) if s else m for t, s, m in zip(out, starts, batch[c].to_pylist())], pa.int64()))
                     else:
-                        columns.append(batch.column(c))
+                        columns.append(batch[c])
                 kinds = [pa.int64()] * 3 + [pa.string(), pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64())]))]
-                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(v, k) for v, k in zip(rows, kinds))], [*kept_names, *own])
+                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(v, k) for v, k in zip(rows, kinds)), *(part.column(c) for c in also)], [*kept_names, *own, *also])
 
     kinds = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in docs.schema if f.name in kept_names)
-    return joined.mapInArrow(tidy(run), f"{kinds}n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string, spans array<struct<start: bigint, length: bigint>>")
+    return joined.mapInArrow(tidy(run), f"{kinds}n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string, spans array<struct<start: bigint, length: bigint>>{''.join(f', `{c}` bigint' for c in also)}")

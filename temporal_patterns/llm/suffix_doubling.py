@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .kernel import buffer, mix, RollingHash, signed, slices, sliding_argmin, tidy, U
-from .spans import cut, doc_key, text_key
+from .spans import cut, doc_key, gathered, text_key
 from .workspace import keep
 
 HELD = 200_000
@@ -255,5 +255,5 @@ def repeated_starts(docs: DataFrame, d: Doubling = Doubling()) -> DataFrame:
 def drop_repeated_bytes(docs: DataFrame, d: Doubling = Doubling(), with_text: bool = True) -> DataFrame:
     """Every row of ``docs`` without its repeated bytes (see ``spans.cut`` for the columns)."""
     spans = repeated_starts(docs, d).select("k", "th", "start", (F.col("starts") + (d.length - 1)).alias("length"))
-    return cut(docs, spans, with_text)
+    return cut(docs, gathered(spans), with_text)
 

@@ -117,29 +117,58 @@ def test_token_counts(spark, sf, docs):
     assert (got.over_limit == (got.n_tokens > 512)).all()
 
 
-def brute_lines(rows, least=5):
-    """doc_id -> what is left, by the earliest occurrence of each normalised line."""
-    first = {}
-    units = []
+def brute_lines(rows, least=25):
+    """doc_id -> what is left, by the earliest occurrence of each normalised unit and the runs of all others."""
+    import pyarrow as pa
+
+    from temporal_patterns.llm.line_dedup import line_units
+
+    first, units = {}, defaultdict(list)
     for i, text in sorted(rows):
-        at = 0
         raw = text.encode()
-        for line in raw.split(b"\n"):
-            size = len(line) + (at + len(line) < len(raw))
-            words = re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), line))
-            if len(words) >= least:
-                key = b" ".join(words)
-                first.setdefault(key, (i, at))
-                units.append((i, at, size, first[key] != (i, at)))
-            at += size
+        _, _, _, start, length, _ = line_units(pa.array([text]))
+        for a, n in zip(start.tolist(), length.tolist()):
+            words = re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), raw[a : a + n]))
+            key = b" ".join(words)
+            first.setdefault(key, (i, a))
+            units[i].append((a, a + n, len(words), first[key] != (i, a)))
+        assert sum(n for _, _, n, _ in units[i]) == len(WORD.findall(text))
     out = {}
     for i, text in rows:
-        raw = text.encode()
-        gone = [(a, n) for j, a, n, x in units if j == i and x]
-        out[i] = b"".join(raw[a:b] for a, b in zip([0] + [a + n for a, n in gone], [a for a, _ in gone] + [len(raw)]))
+        raw, rest, at, run = text.encode(), b"", 0, []
+        for a, b, n, repeat in [*units[i], (len(text.encode()), None, 0, False)]:
+            if repeat and (not run or run[-1][1] == a):
+                run.append((a, b, n))
+                continue
+            if sum(x[2] for x in run) >= least:
+                rest += raw[at : run[0][0]]
+                at = run[-1][1]
+            run = [(a, b, n)] if repeat else []
+        out[i] = rest + raw[at:]
     return out
 
 
+def test_passages_inside_lines(spark):
+    import random
+
+    from temporal_patterns.llm.line_dedup import drop_repeated_lines
+
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 7)))
+    some = lambda n: " ".join(word() for _ in range(n))
+    passages, stock = [some(55) for _ in range(30)], [some(9) for _ in range(4)]
+    rows = []
+    for i in range(300):
+        parts = [some(rng.randrange(20, 60)), passages[i % 30] if i < 120 else some(40), some(rng.randrange(20, 60)), "\n" + rng.choice(stock)]
+        rows.append((i, " ".join(parts)))
+    got = {r.doc_id: r for r in drop_repeated_lines(spark.createDataFrame(rows, "doc_id long, text string").repartition(7)).collect()}
+    assert all(got[i].n_removed > 100 for i in range(30, 120))  # the first holder keeps its passage
+    assert all(got[i].n_repeated > 100 for i in range(120)) and not any(got[i].n_removed for i in range(30))
+    assert not any(got[i].n_removed or got[i].n_repeated for i in range(120, 300))
+    for i, rest in brute_lines(rows).items():
+        assert got[i].text.encode() == rest
+
+
 def test_line_dedup(spark, sf, docs):
     got = by_id(Q.op5_line_dedup(spark, sf("0.001")).toPandas())
     for i, rest in brute_lines([(i, t or "") for i, t in zip(docs.doc_id, docs.text)]).items():
