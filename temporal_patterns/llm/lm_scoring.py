@@ -6,18 +6,22 @@ log p_background - log p_target (the difference of the two cross-entropies, in n
 the more the document is like the target.
 
 Tokens are words with A-Z in lower case, known by 64-bit hashes.  Every word and every pair of
-neighbours is modelled, whatever the size of the corpus: nothing is cut by count or share.  The counts
-are tables, summed in each task before the shuffle and joined with the pairs of each document (each
-once a document, with its number); no task and no driver holds a model.
+neighbours is modelled, whatever the size of the corpus: nothing is cut by count or share.
+
+Documents lie in chunks of about ``CHUNK`` bytes, by hash of their id, written once.  A chunk counts its own words
+and pairs and sends each of them once; where the counts of all chunks meet, those that several chunks have get the
+totals sent back, while what only one chunk has needs no answer.  So no task and no driver holds a model, a document's tokens
+never travel, and a word that all documents hold sends one entry for each chunk.  A chunk with its answers then
+scores its documents.
 
 Defined cases: null and blank texts have no tokens and score 0; without trusted rows the target
 is the background and every score is 0; an empty table gives no rows; repeated rows (same id, same
-text) each count and get the same scores.
+text) each count and get the same scores; rows of one id lie in one chunk.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -25,15 +29,17 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import mix, signed, slices, tidy, U, Words
-from .spans import doc_key, text_key
-from .workspace import keep
+from .kernel import mix, packed, PACKED, slices, tidy, U, Words
+from .spans import text_key
+from .workspace import buckets, collect_garbage, keep, keep_dealt
 
 PAIR_WEIGHT = 0.6
-HELD = 1_500_000
+CHUNK = 1 << 23
 #: Stands for the word before a text's first one.
 START = U(0x5DEECE66D)
 _TURN = U(0x9E3779B97F4A7C15)
+_PAIR, _WORD, _TRUSTED, _SUMS = range(4)
+_ANSWER = "chunk bigint, kind int, id bigint, c0 binary, c1 binary, c2 binary"
 
 
 def _pairs(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -44,39 +50,6 @@ def _pairs(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return mix(before * _TURN + mix(word)), before, word
 
 
-def _summed(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
-    key, before, word, n = (np.concatenate(x) for x in zip(*parts))
-    key, at, group = np.unique(key, return_index=True, return_inverse=True)
-    return key, before[at], word[at], np.bincount(group, weights=n, minlength=len(key)).astype(np.int64)
-
-
-def pair_counts(docs: DataFrame) -> DataFrame:
-    """key, before, word, n of all pairs, summed in each task as far as they are held together."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, ...]] = []
-        size = 0
-
-        def give(sums: tuple[np.ndarray, ...]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([*(pa.array(signed(x)) for x in sums[:3]), pa.array(sums[3])], ["key", "before", "word", "n"])
-
-        for batch in batches:
-            for part in slices(batch):
-                key, before, word = _pairs(Words(part.column("text"), lower=True))
-                held.append(_summed([(key, before, word, np.ones(len(key), np.int64))]))
-                size += len(held[-1][0])
-                if size > HELD:
-                    held = [_summed(held)]
-                    size = len(held[0][0])
-                    if size > HELD // 2:
-                        yield give(held[0])
-                        held, size = [], 0
-        if size:
-            yield give(_summed(held))
-
-    return docs.select("text").mapInArrow(tidy(run), "key bigint, before bigint, word bigint, n bigint")
-
-
 def trusted_ids(labels: DataFrame) -> DataFrame:
     """doc_id of all trusted documents."""
     return labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0) & F.col("doc_id").isNotNull()).select("doc_id").distinct()
@@ -84,65 +57,168 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class Model:
-    """key, background, target (-log p of the word after the one before), first, of every pair of the documents."""
-
-    losses: DataFrame
-
-
-def fit(docs: DataFrame, labels: DataFrame) -> Model:
-    trusted = docs.select("doc_id", "text").join(trusted_ids(labels), "doc_id", "left_semi")
-    none = F.lit(0).cast("long")
-    rows = pair_counts(docs).select("key", "before", "word", F.col("n").alias("b"), none.alias("t"))
-    rows = rows.unionByName(pair_counts(trusted).select("key", "before", "word", none.alias("b"), F.col("n").alias("t")))
-    pairs = keep(rows.groupBy("key").agg(F.min("before").alias("before"), F.min("word").alias("word"), F.sum("b").alias("b"), F.sum("t").alias("t")), "pair-counts")
-    words = keep(pairs.groupBy("word").agg(F.sum("b").alias("wb"), F.sum("t").alias("wt")), "word-counts")
-    size, total, target = words.agg(F.count("*"), F.coalesce(F.sum("wb"), F.lit(0)), F.coalesce(F.sum("wt"), F.lit(0))).first()
-    t, wt, ht = ("t", "wt", "ht") if target else ("b", "wb", "hb")
-    heads = words.select(F.col("word").alias("before"), F.col("wb").alias("hb"), F.col("wt").alias("ht"))
-    all_three = pairs.join(words, "word").join(heads, "before", "left")
-    first = F.col("before") == F.lit(int(signed(np.array([START]))[0]))
-
-    def loss(pair: str, word: str, head: str, n: int) -> Column:
-        p = (F.col(word) + 1) / F.lit(float(n + size + 1))
-        return -F.log(F.when(first, p).otherwise((1 - PAIR_WEIGHT) * p + PAIR_WEIGHT * F.col(pair) / F.greatest(F.col(head), F.lit(1))))
-
-    return Model(keep(all_three.select("key", loss("b", "wb", "hb", total).alias("background"), loss(t, wt, ht, target or total).alias("target"), first.alias("first")), "losses"))
-
-
-def _document_pairs(docs: DataFrame) -> DataFrame:
-    """uid, key, n of the pairs of each document."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+    """Chunks of documents (chunk, id, row), what they are told (``_ANSWER``), and the number of different words, of all words and of trusted ones."""
+
+    chunks: DataFrame
+    answers: DataFrame
+    columns: tuple[str, ...]
+    words: int
+    total: int
+    target: int
+
+
+class _Counts:
+    """Tokens and counts of a chunk: of its ``kind`` of keys (ascending) all occurrences and those of trusted documents."""
+
+    def __init__(self, rows: pa.Table, told: pa.Table):
+        kinds = np.asarray(told.column("kind"))
+        trusted = np.asarray(told.column("id").fill_null(0))[kinds == _TRUSTED]
+        ids = rows.column("id")
+        known = np.isin(np.asarray(ids.fill_null(0)), trusted) & ~np.asarray(ids.is_null())
+        parts, self.n = [], []
+        at = 0
+        for batch in pa.table({"text": rows.column("text")}).combine_chunks().to_batches():
             for part in slices(batch):
                 w = Words(part.column("text"), lower=True)
-                key = _pairs(w)[0]
-                order = np.lexsort((key, w.row))
-                key, row = key[order], w.row[order]
-                starts = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (row[1:] != row[:-1])])[: len(key)])
-                n = np.diff(np.append(starts, len(key)))
-                uid = np.asarray(part.column("uid"))[row[starts]]
-                yield pa.RecordBatch.from_arrays([pa.array(uid), pa.array(signed(key[starts])), pa.array(n.astype(np.int32))], ["uid", "key", "n"])
-
-    return docs.select(_uid().alias("uid"), "text").mapInArrow(tidy(run), "uid bigint, key bigint, n int")
-
+                parts.append((*_pairs(w), w.row + at))
+                self.n.append(w.count)
+                at += part.num_rows
+        none = np.zeros(0, U)
+        key, before, word, self.row = (np.concatenate(x) for x in zip(*parts)) if parts else (none, none, none, none.view(np.int64))
+        self.n = np.concatenate(self.n) if self.n else np.zeros(0, np.int64)
+        weight = known[self.row].astype(float)
+
+        def counted(x: np.ndarray) -> tuple[np.ndarray, ...]:
+            one, first, which = np.unique(x, return_index=True, return_inverse=True)
+            b, t = np.bincount(which, minlength=len(one)), np.bincount(which, weights=weight, minlength=len(one))
+            return one, b.astype(np.int64), t.astype(np.int64), first, which
+
+        self.keys = {}
+        self.keys[_PAIR] = counted(key)
+        self.keys[_WORD] = counted(word)
+        first, self.which = self.keys[_PAIR][3:]
+        self.before, self.word = before[first], word[first]
+        # the totals of what other chunks have as well
+        for i in np.flatnonzero(kinds < _TRUSTED).tolist():
+            k, b, t = (np.frombuffer(told.column(f"c{j}")[i].as_buffer(), U if j == 0 else np.int64) for j in range(3))
+            one, all_b, all_t = self.keys[int(kinds[i])][:3]
+            place = np.searchsorted(one, k)
+            all_b[place], all_t[place] = b, t
+
+    def of(self, kind: int, keys: np.ndarray, target: bool) -> np.ndarray:
+        """Totals of keys; of those that the chunk hasn't, 0."""
+        one, b, t = self.keys[kind][:3]
+        if not len(one):
+            return np.zeros(len(keys), np.int64)
+        place = np.minimum(np.searchsorted(one, keys), len(one) - 1)
+        return np.where(one[place] == keys, (t if target else b)[place], 0)
+
+
+def _chunk(id_: Column, n: int) -> Column:
+    return F.pmod(F.xxhash64(id_), F.lit(n))
 
-def _uid() -> Column:
-    return F.xxhash64(doc_key(), text_key())
 
-
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """Every row of ``docs``, all of which the model was fitted on, with n_tokens, target_entropy,
-    background_entropy and score added (nats a token; such columns are replaced)."""
+def fit(docs: DataFrame, labels: DataFrame) -> Model:
+    """Counts of all words and pairs of all documents, for those of ``labels`` apart."""
+    spark = docs.sparkSession
+    bytes_ = docs.select(F.sum(F.octet_length("text")).alias("n")).first().n or 0
+    n = max(1, -(-bytes_ // CHUNK))
+    id_ = F.col("doc_id").cast("long")
+    rows = docs.select(_chunk(F.coalesce(id_, text_key()), n).alias("chunk"), id_.alias("id"), "text", F.struct(*(F.col(f"`{c}`") for c in docs.columns if c != "text")).alias("row"))
+    chunks, _ = keep_dealt(rows.repartition(buckets(spark), "chunk"), "chunks", "chunk")
+    nothing = [F.lit(None).cast("binary").alias(f"c{j}") for j in range(3)]
+    trusted = keep(trusted_ids(labels).select(_chunk(F.col("doc_id").cast("long"), n).alias("chunk"), F.lit(_TRUSTED).alias("kind"), F.col("doc_id").cast("long").alias("id"), *nothing), "trusted")
+    parts = 4 * buckets(spark)
+
+    def count(left: pa.Table, right: pa.Table) -> pa.Table:
+        c = _Counts(left, right)
+        out = []
+        for kind, (keys, b, t, *_) in c.keys.items():
+            if len(keys):
+                batch = packed(kind, parts, keys, b, t)
+                out.append(pa.Table.from_batches([batch.append_column("chunk", pa.array(np.full(batch.num_rows, left.column("chunk")[0].as_py(), np.int64)))]))
+        return pa.concat_tables(out) if out else pa.table({})
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+        sums = np.zeros(3, np.int64)
+
+        def answer() -> Iterator[pa.RecordBatch]:
+            key, b, t = (np.concatenate([np.frombuffer(h[j], U if j == 0 else np.int64) for h in held]) for j in range(3))
+            chunk = np.repeat(np.array([h[3] for h in held], np.int64), [len(h[0]) // 8 for h in held])
+            order = np.argsort(key, kind="stable")
+            key, b, t, chunk = key[order], b[order], t[order], chunk[order]
+            new = np.concatenate([[True], key[1:] != key[:-1]])
+            at = np.flatnonzero(new)
+            all_b, all_t = np.add.reduceat(b, at), np.add.reduceat(t, at)
+            if now[0] == _WORD:
+                sums[:] += np.array([len(at), all_b.sum(), all_t.sum()])
+            group = np.cumsum(new) - 1
+            shared = np.flatnonzero(~new | np.append(~new[1:], False))
+            if not len(shared):
+                return
+            by = shared[np.argsort(chunk[shared], kind="stable")]
+            edge = np.flatnonzero(np.concatenate([[True], chunk[by][1:] != chunk[by][:-1]]))
+            ends = pa.array((np.append(edge, len(by)) * 8).astype(np.int32)).buffers()[1]
+            columns = [pa.Array.from_buffers(pa.binary(), len(edge), [None, ends, pa.py_buffer(np.ascontiguousarray(x))]) for x in (key[by], all_b[group[by]], all_t[group[by]])]
+            yield pa.RecordBatch.from_arrays([pa.array(chunk[by][edge]), pa.array(np.full(len(edge), now[0], np.int32)), pa.nulls(len(edge), pa.int64()), *columns], names)
+
+        names = ["chunk", "kind", "id", "c0", "c1", "c2"]
+        for batch in batches:
+            for kind, block, chunk, *columns in zip(*(batch.column(c).to_pylist() for c in ("kind", "block", "chunk", "c0", "c1", "c2"))):
+                if (kind, block) != now:
+                    if held:
+                        yield from answer()
+                    now, held = (kind, block), []
+                held.append((*columns, chunk))
+        if held:
+            yield from answer()
+        yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int64()), pa.array([_SUMS], pa.int32()), pa.nulls(1, pa.int64()), pa.array([sums.tobytes()], pa.binary()), *[pa.nulls(1, pa.binary())] * 2], names)
+
+    sent = chunks.groupBy("chunk").cogroup(trusted.groupBy("chunk")).applyInArrow(_with_rows(count), PACKED + ", chunk bigint")
+    dealt = sent.repartition("kind", "block").sortWithinPartitions("kind", "block")
+    answers = keep(dealt.mapInArrow(tidy(meet), _ANSWER), "answers")
+    collect_garbage(spark)
+    sums = np.zeros(3, np.int64)
+    for r in answers.where(F.col("kind") == _SUMS).select("c0").toLocalIterator():  # a row for each task
+        sums += np.frombuffer(bytes(r.c0), np.int64)
+    return Model(chunks, answers.where(F.col("kind") < _SUMS).unionByName(trusted), tuple(docs.columns), *map(int, sums))
+
+
+def _with_rows(fn: Callable) -> Callable:
+    """``fn`` for chunks that have documents; labels may name ids that no document has."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        return fn(left, right) if left.num_rows else pa.table({})
+
+    return run
+
+
+def score(model: Model) -> DataFrame:
+    """Every row of the documents that the model was fitted on, with n_tokens, target_entropy, background_entropy and
+    score added (nats a token; such columns are replaced)."""
     own = ["n_tokens", "target_entropy", "background_entropy", "score"]
-    docs = docs.drop(*own)
-    known = F.when(F.col("background").isNull(), F.raise_error(F.lit("a text isn't among those of the model"))).otherwise(F.col("background"))
-    rows = _document_pairs(docs).join(model.losses, "key", "left")
-    sums = rows.groupBy(F.col("uid").alias("__uid")).agg(
-        F.sum(F.col("n") * known).alias("__b"), F.sum(F.col("n") * F.col("target")).alias("__t"), F.sum("n").alias("__n"), F.sum(F.when(F.col("first"), F.col("n")).otherwise(0)).alias("__copies")
-    )
-    joined = docs.withColumn("__uid", _uid()).join(sums, "__uid", "left")
-    n = F.coalesce(F.col("__n"), F.lit(0))
-    b, t = (F.coalesce(F.col(c) / F.col("__n"), F.lit(0.0)) for c in ("__b", "__t"))
-    tokens = F.coalesce(F.floor(n / F.col("__copies")), F.lit(0)).cast("long")
-    return joined.select(*docs.columns, tokens.alias("n_tokens"), t.alias("target_entropy"), b.alias("background_entropy"), (t - b).alias("score"))
+    fields = {f.name: f.dataType for f in model.chunks.schema["row"].dataType}
+    fields["text"] = model.chunks.schema["text"].dataType
+    kept = [c for c in model.columns if c not in own]
+    kinds = ", ".join(f"`{c}` {fields[c].simpleString()}" for c in kept)
+    schema = f"{kinds}, n_tokens bigint, target_entropy double, background_entropy double, score double"
+    size, total, target = model.words, model.total, model.target
+
+    def give(left: pa.Table, right: pa.Table) -> pa.Table:
+        c = _Counts(left, right)
+        first = c.before == START
+        weights = []
+        for trusted in (False, bool(target)):
+            p = (c.of(_WORD, c.word, trusted) + 1) / ((target if trusted else total) + size + 1)
+            heads = np.maximum(c.of(_WORD, c.before, trusted), 1)
+            weights.append(-np.log(np.where(first, p, (1 - PAIR_WEIGHT) * p + PAIR_WEIGHT * c.of(_PAIR, c.keys[_PAIR][0], trusted) / heads)))
+        n = np.maximum(c.n, 1)
+        b, t = (np.bincount(c.row, weights=w[c.which], minlength=left.num_rows) / n for w in weights)
+        row = left.column("row").combine_chunks()
+        row = row.chunk(0) if isinstance(row, pa.ChunkedArray) else row
+        columns = dict(zip([f.name for f in row.type], row.flatten()))
+        columns["text"] = left.column("text")
+        return pa.table([*(columns[x] for x in kept), pa.array(c.n.astype(np.int64)), pa.array(t), pa.array(b), pa.array(t - b)], [*kept, *own])
+
+    return model.chunks.groupBy("chunk").cogroup(model.answers.groupBy("chunk")).applyInArrow(_with_rows(give), schema)

@@ -48,8 +48,7 @@ def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = (_read(spark, sf_dir, t) for t in ("documents", "labels"))
-    model = lm_scoring.fit(docs, labels)
-    return lm_scoring.score(docs.select("doc_id", "text"), model).drop("text")
+    return lm_scoring.score(lm_scoring.fit(docs.select("doc_id", "text"), labels)).drop("text")
 
 
 def op9_repeated_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -44,8 +44,13 @@ def forget(*tables: DataFrame, shuffles: bool = True) -> None:
     for t in tables:
         _delete(t.sparkSession, t.kept_at)
     if shuffles:
-        gc.collect()
-        tables[0].sparkSession._jvm.System.gc()
+        collect_garbage(tables[0].sparkSession)
+
+
+def collect_garbage(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of plans that the driver no longer holds."""
+    gc.collect()
+    spark._jvm.System.gc()
 
 
 def keep_dealt(df: DataFrame, label: str, column: str) -> tuple[DataFrame, str]:

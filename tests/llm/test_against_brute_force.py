@@ -277,7 +277,7 @@ def test_lm_scores_follow_their_definition(spark):
     texts = ["a b a b c", "a b c", "b b b a c d", "", None, "c a B"]
     docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
     labels = spark.createDataFrame([(0, 1, 0), (1, 1, 0), (2, 0, 0), (5, 1, 1)], "doc_id long, quality int, toxic int")
-    got = by_id(L.score(docs, L.fit(docs, labels)).toPandas())
+    got = by_id(L.score(L.fit(docs, labels)).toPandas())
     tokens = [WORD.findall((t or "").lower()) for t in texts]
     vocab = sorted({w for t in tokens for w in t})
     v = len(vocab) + 1

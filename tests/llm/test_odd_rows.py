@@ -28,7 +28,7 @@ OPERATORS = {
     "tokens": lambda d, lab: token_counts.count_documents(d, public_tokenizers.path("byte_bpe_50k.json")),
     "lines": lambda d, lab: line_dedup.drop_repeated_lines(d),
     "bpe": lambda d, lab: byte_bpe.encode_documents(d, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN),
-    "lm": lambda d, lab: lm_scoring.score(d, lm_scoring.fit(d, lab)),
+    "lm": lambda d, lab: lm_scoring.score(lm_scoring.fit(d, lab)),
     "bytes": lambda d, lab: suffix_doubling.drop_repeated_bytes(d),
 }
 

@@ -31,7 +31,7 @@ def test_lm_scores_do_not_depend_on_rarity(spark):
     filler = [(i, " ".join(["x", "y"] * 1000)) for i in range(2, 202)]
     docs = spark.createDataFrame([(0, "rare bird"), (1, "odd fish"), *filler], "doc_id long, text string")
     labels = spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int")
-    got = {r.doc_id: r for r in lm_scoring.score(docs, lm_scoring.fit(docs, labels)).where("doc_id < 2").collect()}
+    got = {r.doc_id: r for r in lm_scoring.score(lm_scoring.fit(docs, labels)).where("doc_id < 2").collect()}
     total, v = 400_004, 7
     p = 2 / (total + v)
     want = -(np.log(p) + np.log(0.4 * p + 0.6)) / 2
