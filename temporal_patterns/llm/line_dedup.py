@@ -33,7 +33,6 @@ from .workspace import buckets
 MIN_WORDS = 25
 REACH = 3
 HELD = 400_000
-_NAMES = ["d1", "d2", "k", "th", "start", "length", "words"]
 
 
 def _power_sums(h: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
@@ -93,21 +92,42 @@ def _in_order(parts: list[tuple[np.ndarray, ...]]) -> tuple[list[np.ndarray], np
     return columns, ~same, same | np.append(same[1:], False)
 
 
-def _per_document(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
-    """Rows k, th, and lists of start, length, words, first (1: this occurrence stays)."""
-    columns = [np.concatenate(x) for x in zip(*parts)]
-    order = np.lexsort((columns[2], columns[1], columns[0]))
-    k, th, *lists = (x[order] for x in columns)
-    at = np.flatnonzero(np.concatenate([[True], (k[1:] != k[:-1]) | (th[1:] != th[:-1])]))
-    offsets = pa.array(np.append(at, len(k)).astype(np.int32))
-    arrays = [pa.ListArray.from_arrays(offsets, pa.array(x.astype(np.int32))) for x in lists]
-    return pa.RecordBatch.from_arrays([pa.array(k[at]), pa.array(th[at]), *arrays], ["k", "th", "start", "length", "words", "first"])
+def _to_documents(blocks: int, parts: list[tuple[np.ndarray, ...]]) -> tuple[pa.Array, pa.Array]:
+    """Rows k, th, start, length, words, first (1: this occurrence stays), packed by block of the document."""
+    table = np.stack([np.concatenate(x).astype(np.int64) for x in zip(*parts)], axis=1)
+    return _by_block((mix(mix(table[:, 0].view(U).copy()) ^ table[:, 1].view(U)) % U(blocks)).astype(np.int32), table)
+
+
+def _by_block(block: np.ndarray, table: np.ndarray) -> tuple[pa.Array, pa.Array]:
+    order = np.argsort(block, kind="stable")
+    block, table = block[order], np.ascontiguousarray(table[order])
+    at = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+    ends = pa.array((np.append(at, len(block)) * table.shape[1] * 8).astype(np.int32))
+    return pa.array(block[at]), pa.Array.from_buffers(pa.binary(), len(at), [None, ends.buffers()[1], pa.py_buffer(table)])
 
 
-def _repeats(docs: DataFrame) -> DataFrame:
-    """k, th, and lists of start, length, words, first of units that stand more than once."""
+def _tables(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[np.ndarray]:
+    """What lies in each block, of rows (block, units) in order of block."""
+    now, held = None, []
+    for batch in batches:
+        for block, units in zip(batch.column("block").to_pylist(), batch.column("units")):
+            if block != now:
+                if held:
+                    yield np.concatenate(held)
+                now, held = block, []
+            held.append(np.frombuffer(units.as_buffer(), np.int64).reshape(-1, width).copy())
+    if held:
+        yield np.concatenate(held)
+
+
+def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """k, th, starts, lengths of the runs to be removed, and n_repeated: bytes of all runs of units that stand
+    elsewhere too, those that stay included; of documents that have any."""
     blocks = 4 * buckets(docs.sparkSession)
-    lists = "start array<int>, length array<int>, words array<int>, first array<int>"
+    names = ["kind", "block", "units"]
+
+    def rows_of(kind: int, packed: tuple[pa.Array, pa.Array]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(packed[0]), kind, np.int32)), *packed], names)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, ...]] = []
@@ -115,20 +135,12 @@ def _repeats(docs: DataFrame) -> DataFrame:
 
         def settle() -> Iterator[pa.RecordBatch]:
             columns, first, shared = _in_order(held)
-            block = ((columns[0] >> U(32)) * U(blocks) >> U(32)).astype(np.int32)
             # what is not the first here is a repeat for certain; the first goes on and may have others elsewhere
             gone = ~first
             if gone.any():
-                out = _per_document([(*(x[gone] for x in columns[2:]), np.zeros(int(gone.sum()), np.int32))])
-                whole = [pa.array(np.full(out.num_rows, -1, np.int32)), pa.nulls(out.num_rows, pa.binary()), *out.columns]
-                yield pa.RecordBatch.from_arrays(whole, ["block", "units", *out.schema.names])
-            table = np.stack([signed(columns[0]), signed(columns[1]), *columns[2:], shared.astype(np.int64)], axis=1)[first]
-            block = block[first]
-            at = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
-            offsets = pa.array((np.append(at, len(block)) * table.shape[1] * 8).astype(np.int32))
-            units = pa.Array.from_buffers(pa.binary(), len(at), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(table))])
-            nulls = [pa.nulls(len(at), t) for t in (pa.int64(), pa.int64(), *[pa.list_(pa.int32())] * 4)]
-            yield pa.RecordBatch.from_arrays([pa.array(block[at]), units, *nulls], ["block", "units", "k", "th", "start", "length", "words", "first"])
+                yield rows_of(1, _to_documents(blocks, [(*(x[gone] for x in columns[2:]), np.zeros(int(gone.sum()), np.int64))]))
+            block = ((columns[0] >> U(32)) * U(blocks) >> U(32)).astype(np.int32)
+            yield rows_of(0, _by_block(block[first], np.stack([signed(columns[0]), signed(columns[1]), *columns[2:], shared.astype(np.int64)], axis=1)[first]))
 
         for batch in batches:
             for part in slices(batch):
@@ -142,68 +154,64 @@ def _repeats(docs: DataFrame) -> DataFrame:
         if n:
             yield from settle()
 
-    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, held, found, n = None, [], [], 0
-
-        def answer() -> int:
-            tables = [np.frombuffer(x, np.int64).reshape(-1, 8) for x in held]
-            (*columns, elsewhere), first, shared = _in_order([(t[:, 0].view(U), t[:, 1].view(U), *t.T[2:]) for t in (np.asfortranarray(t) for t in tables)])
+    def both(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Open units (kind 0, which come first) meet; repeats that a task knew of (kind 1) pass."""
+        rest: list[pa.RecordBatch] = []
+
+        def open_ones() -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                last = int(np.count_nonzero(np.asarray(batch.column("kind")) == 0))
+                yield batch.slice(0, last)
+                if last < batch.num_rows:
+                    rest.append(batch.slice(last))
+                    return
+
+        for batch in meet(open_ones()):
+            yield batch.select(["block", "units"])
+        for batch in (*rest, *batches):
+            yield batch.select(["block", "units"])
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found, n = [], 0
+        for t in _tables(batches, 8):
+            t = np.asfortranarray(t)
+            # the earliest of all stays; whether a task had others of it is known by its mark
+            columns = [t[:, 0].view(U), t[:, 1].view(U), *t.T[2:]]
+            (*columns, elsewhere), first, shared = _in_order([tuple(columns)])
             shared |= elsewhere > 0
-            found.append((*(x[shared] for x in columns[2:]), first[shared].astype(np.int32)))
-            return int(shared.sum())
-
-        for batch in batches:
-            blocks_ = np.asarray(batch.column("block"))
-            done = blocks_ < 0
-            if done.any():
-                yield batch.filter(pa.array(done)).select(["k", "th", "start", "length", "words", "first"])
-            for i in np.flatnonzero(~done).tolist():
-                if blocks_[i] != now:
-                    if held:
-                        n += answer()
-                    now, held = blocks_[i], []
-                    if n >= HELD:
-                        yield _per_document(found)
-                        found, n = [], 0
-                held.append(batch.column("units")[i].as_py())
-        if held:
-            n += answer()
+            found.append((*(x[shared] for x in columns[2:]), first[shared].astype(np.int64)))
+            n += len(found[-1][0])
+            if n >= HELD:
+                yield rows_of(1, _to_documents(blocks, found))
+                found, n = [], 0
         if n:
-            yield _per_document(found)
-
-    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(deal), f"block int, units binary, k bigint, th bigint, {lists}")
-    # settled repeats (block -1) need no partner: they stay apart by their document
-    dealt = units.repartition("block", F.coalesce("k", F.lit(0))).sortWithinPartitions("block")
-    return dealt.mapInArrow(tidy(gather), f"k bigint, th bigint, {lists}")
-
-
-def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """k, th, starts, lengths of the runs to be removed, and n_repeated: bytes of all runs of units that stand
-    elsewhere too, those that stay included; of documents that have any."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def runs(start: np.ndarray, length: np.ndarray, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-            new = np.flatnonzero(np.concatenate([[True], start[1:] != (start + length)[:-1]]))
-            fits = np.add.reduceat(words, new) >= min_words
-            return start[new][fits], np.add.reduceat(length, new)[fits]
-
-        for batch in batches:
-            k, th = (batch.column(c).to_pylist() for c in ("k", "th"))
+            yield rows_of(1, _to_documents(blocks, found))
+
+    def runs(start: np.ndarray, length: np.ndarray, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        new = np.flatnonzero(np.concatenate([[True], start[1:] != (start + length)[:-1]]))
+        fits = np.add.reduceat(words, new) >= min_words
+        return start[new][fits], np.add.reduceat(length, new)[fits]
+
+    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64()]
+        for t in _tables(batches, 6):
+            t = t[np.lexsort((t[:, 2], t[:, 1], t[:, 0]))]
+            at = np.flatnonzero(np.concatenate([[True], (t[1:, :2] != t[:-1, :2]).any(axis=1)]))
             rows = []
-            for i, unit in enumerate(batch.column("units")):
-                lists = [np.concatenate([np.asarray(part[c].values) for part in unit]).astype(np.int64) for c in ("start", "length", "words", "first")]
-                start, length, words, first = (x[np.argsort(lists[0], kind="stable")] for x in lists)
+            for a, b in zip(at.tolist(), np.append(at[1:], len(t)).tolist()):
+                start, length, words, first = t[a:b, 2:].T
                 whole = runs(start, length, words)[1]
                 if len(whole):
                     gone = first == 0
                     starts, lengths = runs(start[gone], length[gone], words[gone]) if gone.any() else (start[:0], length[:0])
-                    rows.append((k[i], th[i], starts.tolist(), lengths.tolist(), int(whole.sum())))
+                    rows.append((int(t[a, 0]), int(t[a, 1]), starts.tolist(), lengths.tolist(), int(whole.sum())))
             if rows:
-                kinds = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64()]
-                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), kinds)], ["k", "th", "starts", "lengths", "n_repeated"])
+                yield pa.RecordBatch.from_arrays([pa.array(x, kind) for x, kind in zip(zip(*rows), kinds)], ["k", "th", "starts", "lengths", "n_repeated"])
 
-    per = _repeats(docs).groupBy("k", "th").agg(F.collect_list(F.struct("start", "length", "words", "first")).alias("units"))
-    return per.mapInArrow(tidy(run), "k bigint, th bigint, starts array<bigint>, lengths array<bigint>, n_repeated bigint")
+    units = docs.select(doc_key().alias("k"), text_key().alias("th"), "text").mapInArrow(tidy(deal), "kind int, block int, units binary")
+    met = units.repartition("kind", "block").sortWithinPartitions("kind", "block").mapInArrow(tidy(both), "block int, units binary")
+    repeats = met.repartition("block").sortWithinPartitions("block")
+    return repeats.mapInArrow(tidy(judge), "k bigint, th bigint, starts array<bigint>, lengths array<bigint>, n_repeated bigint")
 
 
 def drop_repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS, with_text: bool = True) -> DataFrame:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import mix, packed, PACKED, slices, tidy, U, Words
+from .kernel import mix, PACKED, slices, tidy, U, Words
 from .spans import text_key
 from .workspace import buckets, collect_garbage, keep, keep_dealt
 
@@ -42,12 +42,13 @@ _PAIR, _WORD, _TRUSTED, _SUMS = range(4)
 _ANSWER = "chunk bigint, kind int, id bigint, c0 binary, c1 binary, c2 binary"
 
 
-def _pairs(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """A key of each word and the word before it in its text, and both."""
-    word = w.hashes()
+def _pairs(w: Words, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """A key of each word and the word before it in its text, and both; keys have ``bits`` + 48 bits."""
+    cut = ~U((1 << (16 - bits)) - 1)
+    word = w.hashes() & cut
     before = np.concatenate([[START], word[:-1]])[: len(word)]
     before[w.of[:-1][w.count > 0]] = START
-    return mix(before * _TURN + mix(word)), before, word
+    return mix(before * _TURN + mix(word)) & cut, before, word
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -65,12 +66,13 @@ class Model:
     words: int
     total: int
     target: int
+    bits: int
 
 
 class _Counts:
     """Tokens and counts of a chunk: of its ``kind`` of keys (ascending) all occurrences and those of trusted documents."""
 
-    def __init__(self, rows: pa.Table, told: pa.Table):
+    def __init__(self, rows: pa.Table, told: pa.Table, bits: int):
         kinds = np.asarray(told.column("kind"))
         trusted = np.asarray(told.column("id").fill_null(0))[kinds == _TRUSTED]
         ids = rows.column("id")
@@ -80,7 +82,7 @@ class _Counts:
         for batch in pa.table({"text": rows.column("text")}).combine_chunks().to_batches():
             for part in slices(batch):
                 w = Words(part.column("text"), lower=True)
-                parts.append((*_pairs(w), w.row + at))
+                parts.append((*_pairs(w, bits), w.row + at))
                 self.n.append(w.count)
                 at += part.num_rows
         none = np.zeros(0, U)
@@ -114,6 +116,33 @@ class _Counts:
         return np.where(one[place] == keys, (t if target else b)[place], 0)
 
 
+def _sent(kind: int, bits: int, keys: np.ndarray, b: np.ndarray, t: np.ndarray) -> pa.RecordBatch:
+    """A chunk's counts by block (the upper bits of the key): the 48 bits of each key that follow, b and t in a byte
+    each, and (place, b, t) of those that need more."""
+    block = keys >> U(64 - bits) if bits else np.zeros(len(keys), U)
+    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+    short = (keys << U(bits)) >> U(16)
+    low = np.ascontiguousarray(short.view(np.uint8).reshape(-1, 8)[:, :6])
+    counts = np.minimum(np.stack([b, t], axis=1), 255).astype(np.uint8)
+    ends = np.append(edge, len(keys))
+    far = np.flatnonzero(np.maximum(b, t) >= 255)
+    places = np.searchsorted(far, ends)
+    start = ends[np.searchsorted(ends, far, "right") - 1]
+    large = np.stack([far - start, b[far], t[far]], axis=1).astype(np.int64)
+    cut = lambda x, at: pa.Array.from_buffers(pa.binary(), len(edge), [None, pa.array(at.astype(np.int32)).buffers()[1], pa.py_buffer(np.ascontiguousarray(x).tobytes())])
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32)), cut(low, ends * 6), cut(counts, ends * 2), cut(large, places * 24)], ["kind", "block", "c0", "c1", "c2"])
+
+
+def _received(bits: int, block: int, c0: bytes, c1: bytes, c2: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    low = np.zeros((len(c0) // 6, 8), np.uint8)
+    low[:, :6] = np.frombuffer(c0, np.uint8).reshape(-1, 6)
+    keys = (low.view(U)[:, 0] << U(16 - bits)) | U(block << (64 - bits) if bits else 0)
+    b, t = np.frombuffer(c1, np.uint8).reshape(-1, 2).astype(np.int64).T.copy()
+    large = np.frombuffer(c2, np.int64).reshape(-1, 3)
+    b[large[:, 0]], t[large[:, 0]] = large[:, 1], large[:, 2]
+    return keys, b, t
+
+
 def _chunk(id_: Column, n: int) -> Column:
     return F.pmod(F.xxhash64(id_), F.lit(n))
 
@@ -126,16 +155,17 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     id_ = F.col("doc_id").cast("long")
     rows = docs.select(_chunk(F.coalesce(id_, text_key()), n).alias("chunk"), id_.alias("id"), "text", F.struct(*(F.col(f"`{c}`") for c in docs.columns if c != "text")).alias("row"))
     chunks, _ = keep_dealt(rows.repartition(buckets(spark), "chunk"), "chunks", "chunk")
+    collect_garbage(spark)
     nothing = [F.lit(None).cast("binary").alias(f"c{j}") for j in range(3)]
     trusted = keep(trusted_ids(labels).select(_chunk(F.col("doc_id").cast("long"), n).alias("chunk"), F.lit(_TRUSTED).alias("kind"), F.col("doc_id").cast("long").alias("id"), *nothing), "trusted")
-    parts = 4 * buckets(spark)
+    bits = min(16, (4 * buckets(spark) - 1).bit_length())
 
     def count(left: pa.Table, right: pa.Table) -> pa.Table:
-        c = _Counts(left, right)
+        c = _Counts(left, right, bits)
         out = []
         for kind, (keys, b, t, *_) in c.keys.items():
             if len(keys):
-                batch = packed(kind, parts, keys, b, t)
+                batch = _sent(kind, bits, keys, b, t)
                 out.append(pa.Table.from_batches([batch.append_column("chunk", pa.array(np.full(batch.num_rows, left.column("chunk")[0].as_py(), np.int64)))]))
         return pa.concat_tables(out) if out else pa.table({})
 
@@ -144,8 +174,8 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
         sums = np.zeros(3, np.int64)
 
         def answer() -> Iterator[pa.RecordBatch]:
-            key, b, t = (np.concatenate([np.frombuffer(h[j], U if j == 0 else np.int64) for h in held]) for j in range(3))
-            chunk = np.repeat(np.array([h[3] for h in held], np.int64), [len(h[0]) // 8 for h in held])
+            key, b, t = (np.concatenate(x) for x in zip(*(_received(bits, now[1], *h[:3]) for h in held)))
+            chunk = np.repeat(np.array([h[3] for h in held], np.int64), [len(h[0]) // 6 for h in held])
             order = np.argsort(key, kind="stable")
             key, b, t, chunk = key[order], b[order], t[order], chunk[order]
             new = np.concatenate([[True], key[1:] != key[:-1]])
@@ -182,7 +212,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     sums = np.zeros(3, np.int64)
     for r in answers.where(F.col("kind") == _SUMS).select("c0").toLocalIterator():  # a row for each task
         sums += np.frombuffer(bytes(r.c0), np.int64)
-    return Model(chunks, answers.where(F.col("kind") < _SUMS).unionByName(trusted), tuple(docs.columns), *map(int, sums))
+    return Model(chunks, answers.where(F.col("kind") < _SUMS).unionByName(trusted), tuple(docs.columns), *map(int, sums), bits)
 
 
 def _with_rows(fn: Callable) -> Callable:
@@ -203,10 +233,10 @@ def score(model: Model) -> DataFrame:
     kept = [c for c in model.columns if c not in own]
     kinds = ", ".join(f"`{c}` {fields[c].simpleString()}" for c in kept)
     schema = f"{kinds}, n_tokens bigint, target_entropy double, background_entropy double, score double"
-    size, total, target = model.words, model.total, model.target
+    size, total, target, bits = model.words, model.total, model.target, model.bits
 
     def give(left: pa.Table, right: pa.Table) -> pa.Table:
-        c = _Counts(left, right)
+        c = _Counts(left, right, bits)
         first = c.before == START
         weights = []
         for trusted in (False, bool(target)):
