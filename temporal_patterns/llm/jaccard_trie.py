@@ -128,17 +128,24 @@ ENTRY, COUNT, SAME = 0, 1, 2
 
 
 def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator[tuple]]) -> DataFrame:
-    """kind, a, b, n: ids that share as many of their keys as they need (COUNT, id, -, -), and equal sets (SAME, id, id, -).
+    """kind, a, b: ids that share as many of their keys as they need (COUNT, id, 0), and equal sets (SAME, id, id).
 
     ``entries`` gives of each slice of rows: keys, their ids, what each id needs at least (as an array beside the
     keys), and pairs of equal ones.  A task first settles its own repeats - a key that it has twice is shared for
     certain and goes on as one row - so a key that a third of all rows hold sends one row per task.  Rows travel
-    packed by range of the key."""
+    packed by range of the key, counts by range of the id."""
     parts = 4 * buckets(rows.sparkSession)
 
-    def counted(ids: np.ndarray, needs: np.ndarray) -> tuple[np.ndarray, ...]:
-        one, at, n = np.unique(ids, return_index=True, return_counts=True)
-        return one.view(U), needs[at], n
+    def counted(ids: np.ndarray, needs: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        """What is known of each id, packed."""
+        key, ids, needs, n = summed(mix(ids.view(U)), ids, needs, n)
+        return packed(COUNT, parts, key, np.stack([ids, needs], axis=1), n)
+
+    def summed(key: np.ndarray, ids: np.ndarray, needs: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, ...]:
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        at = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        return key[at], ids[order][at], np.minimum.reduceat(needs[order], at), np.add.reduceat(n[order], at)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, ...]] = []
@@ -151,7 +158,7 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
             new = np.concatenate([[True], key[1:] != key[:-1]])
             shared = ~new | np.append(~new[1:], False)
             if shared.any():
-                yield packed(COUNT, parts, *counted(ids[shared], needs[shared]))
+                yield counted(ids[shared], needs[shared], np.ones(int(shared.sum()), np.int64))
             yield packed(ENTRY, parts, key[new], ids[new], np.where(shared[new], -1, needs[new]))
 
         for batch in batches:
@@ -162,8 +169,8 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
                     yield packed(SAME, parts, u.view(U)[order], v[order], v[order])
                 free = needs <= 0
                 if free.any():  # these need no partner
-                    one = np.unique(ids[free]).view(U)
-                    yield packed(COUNT, parts, one, np.zeros(len(one), np.int64), np.zeros(len(one), np.int64))
+                    none = np.zeros(int(free.sum()), np.int64)
+                    yield counted(ids[free], none, none)
                 if len(key):
                     held.append((key, ids, np.maximum(needs, 0)))
                     n += len(key)
@@ -173,58 +180,73 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
         if n:
             yield from settle()
 
-    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def entries_of(batches: Iterator[pa.RecordBatch], kind: int, passed: list[pa.RecordBatch]) -> Iterator[list[list[bytes]]]:
+        """Columns of what lies in each block, of that kind; other rows go to ``passed``."""
         now, held = None, []
-        sums: list[tuple[np.ndarray, ...]] = []
+        for batch in batches:
+            kinds = np.asarray(batch.column("kind"))
+            if (kinds != kind).any():
+                passed.append(batch.filter(pa.array(kinds != kind)))
+            for block, *columns in zip(*(batch.filter(pa.array(kinds == kind)).column(c).to_pylist() for c in ("block", "c0", "c1", "c2"))):
+                if block != now:
+                    if held:
+                        yield list(zip(*held))
+                    now, held = block, []
+                held.append(columns)
+        if held:
+            yield list(zip(*held))
 
-        def rows_of(kind: int, a: np.ndarray, b: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(np.ascontiguousarray(x)) for x in (signed(a), b, n))], ["kind", "a", "b", "n"])
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        passed: list[pa.RecordBatch] = []
+        found, size = [], 0
 
-        def summed() -> tuple[np.ndarray, ...]:
-            ids, needs, n = (np.concatenate(x) for x in zip(*sums))
-            one, at, which = np.unique(ids, return_index=True, return_inverse=True)
-            return one, needs[at], np.bincount(which, weights=n, minlength=len(one)).astype(np.int64)
+        def give() -> pa.RecordBatch:
+            ids, needs = (np.concatenate(x) for x in zip(*found))
+            return counted(ids, needs, np.ones(len(ids), np.int64))
 
-        def answer() -> None:
-            key, ids, needs = (np.concatenate(x) for x in zip(*held))
+        for block in entries_of(batches, ENTRY, passed):
+            key, ids, needs = (np.frombuffer(b"".join(c), kind) for c, kind in zip(block, (U, np.int64, np.int64)))
             order = np.argsort(key, kind="stable")
             key, ids, needs = key[order], ids[order], needs[order]
             new = np.concatenate([[True], key[1:] != key[:-1]])
             shared = (~new | np.append(~new[1:], False)) & (needs >= 0)
             if shared.any():
-                sums.append(counted(ids[shared], needs[shared]))
+                found.append((ids[shared], needs[shared]))
+                size += len(found[-1][0])
+            if size > HELD:
+                yield give()
+                found, size = [], 0
+            while passed:
+                yield passed.pop()
+        if found:
+            yield give()
+        yield from passed
 
-        for batch in batches:
-            kinds, blocks = (np.asarray(batch.column(c)) for c in ("kind", "block"))
-            for i in range(batch.num_rows):
-                key, *rest = (np.frombuffer(batch.column(f"c{j}")[i].as_buffer(), U if j == 0 else np.int64) for j in range(3))
-                if kinds[i] == SAME:
-                    yield rows_of(SAME, key, *rest)
-                elif kinds[i] == COUNT:
-                    sums.append((key.copy(), *(x.copy() for x in rest)))
-                else:
-                    if blocks[i] != now:
-                        if held:
-                            answer()
-                        now, held = blocks[i], []
-                    held.append((key.copy(), *(x.copy() for x in rest)))
-                if len(sums) > 256:  # an id's counts of all blocks of the task are one row, as far as they are held together
-                    sums = [summed()]
-                    if len(sums[0][0]) > HELD:
-                        yield rows_of(COUNT, *sums.pop())
-        if held:
-            answer()
-        if sums:
-            yield rows_of(COUNT, *summed())
+    def decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        passed: list[pa.RecordBatch] = []
+
+        def pairs() -> Iterator[pa.RecordBatch]:
+            while passed:
+                for u, v in zip(*(passed[-1].column(c).to_pylist() for c in ("c0", "c1"))):
+                    u, v = np.frombuffer(u, np.int64), np.frombuffer(v, np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(u), SAME, np.int32)), pa.array(u), pa.array(v)], ["kind", "a", "b"])
+                passed.pop()
+
+        for block in entries_of(batches, COUNT, passed):
+            key, what, n = (np.frombuffer(b"".join(c), kind) for c, kind in zip(block, (U, np.int64, np.int64)))
+            _, ids, needs, n = summed(key, *np.ascontiguousarray(what.reshape(-1, 2).T), n)
+            ids = ids[n >= needs]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), COUNT, np.int32)), pa.array(np.ascontiguousarray(ids)), pa.array(np.zeros(len(ids), np.int64))], ["kind", "a", "b"])
+            yield from pairs()
+        yield from pairs()
 
-    dealt = rows.mapInArrow(tidy(deal), PACKED).repartition("block").sortWithinPartitions("block")
-    return dealt.mapInArrow(tidy(gather), "kind int, a bigint, b bigint, n bigint")
+    dealt = rows.mapInArrow(tidy(deal), PACKED).repartition("block").sortWithinPartitions("block").mapInArrow(tidy(gather), PACKED)
+    return dealt.repartition("block").sortWithinPartitions("block").mapInArrow(tidy(decide), "kind int, a bigint, b bigint")
 
 
 def _ids(found: DataFrame, name: str) -> DataFrame:
     """Of ``_enough_shared``: the ids that share enough, as a column of that name."""
-    sums = found.where(F.col("kind") == COUNT).groupBy(F.col("a").alias(name)).agg(F.min("b").alias("need"), F.sum("n").alias("n"))
-    return sums.where("n >= need").select(name)
+    return found.where(F.col("kind") == COUNT).select(F.col("a").alias(name))
 
 
 def _signed_documents(docs: DataFrame, like: Likeness) -> DataFrame:

@@ -196,7 +196,7 @@ def packed(kind: int, parts: int, key: np.ndarray, *columns: np.ndarray) -> pa.R
     ends = np.append(edge, len(key))
     arrays = [pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32))]
     for c in (key, *columns):
-        offsets = pa.array((ends * c.itemsize).astype(np.int32))
+        offsets = pa.array((ends * (c.itemsize * (c.shape[1] if c.ndim > 1 else 1))).astype(np.int32))
         arrays.append(pa.Array.from_buffers(pa.binary(), len(edge), [None, offsets.buffers()[1], pa.py_buffer(np.ascontiguousarray(c))]))
     return pa.RecordBatch.from_arrays(arrays, ["kind", "block", *(f"c{j}" for j in range(len(columns) + 1))])
 

@@ -48,7 +48,9 @@ def forget(*tables: DataFrame, shuffles: bool = True) -> None:
 
 
 def collect_garbage(spark: SparkSession) -> None:
-    """Lets Spark delete the shuffle files of plans that the driver no longer holds."""
+    """Lets Spark delete the shuffle files of plans that the driver no longer holds; the last one run is held
+    until another one ends."""
+    spark.range(1).count()
     gc.collect()
     spark._jvm.System.gc()
 
