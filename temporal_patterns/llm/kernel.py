@@ -9,6 +9,7 @@ worker's memory is bounded by the longest text, never by the Arrow batch.
 from __future__ import annotations
 
 import ctypes
+import gc
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -209,6 +210,10 @@ class Memory(dict):
         super().__init__()
         self.compute, self.size, self.longest, self.old = compute, size, longest, {}
 
+    def forget(self) -> None:
+        self.clear()
+        self.old = {}
+
     def __missing__(self, key):
         value = self.old.get(key)
         if value is None:
@@ -229,6 +234,9 @@ def tidy(fn: Callable) -> Callable:
         try:
             yield from fn(batches)
         finally:
+            for which in [w for w, (power, _) in _POWERS.items() if len(power) > 2 * CHUNK]:
+                del _POWERS[which]  # grown for a long text
+            gc.collect()
             pa.default_memory_pool().release_unused()
             try:
                 ctypes.CDLL(None).malloc_trim(0)

@@ -191,6 +191,7 @@ def count_documents(docs: DataFrame, path: str, limit: int = 512, with_prefixes:
                 if with_prefixes:
                     arrays.append(pa.array([p.tolist() for p in prefixes], pa.list_(pa.int32())))
                 yield pa.RecordBatch.from_arrays([*part.columns, *arrays], [*part.schema.names, *own])
+        c.totals.forget()  # a waiting worker holds the tables alone
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
     return docs.mapInArrow(tidy(run), f"{kinds}, n_bytes bigint, n_tokens bigint, over_limit boolean{', prefix_tokens array<int>' if with_prefixes else ''}")
