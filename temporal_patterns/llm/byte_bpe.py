@@ -23,7 +23,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .kernel import Memory, slices, tidy
+from .kernel import KEPT, Memory, slices, tidy
 
 
 def hash_bytes(data: bytes) -> int:
@@ -160,6 +160,9 @@ def codec(path: str, pattern: str) -> Codec:
     return Codec(path, pattern)
 
 
+KEPT[__name__] = codec.cache_clear
+
+
 def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool = True) -> DataFrame:
     """Every row of ``docs`` with ``token_ids`` (binary, little-endian u32; if ``with_ids``), ``n_tokens``,
     ``ids_sha256`` and ``decoded_sha256`` added; columns of these names are replaced."""

@@ -46,7 +46,7 @@ from .workspace import buckets, forget, forget_dealt, keep, keep_dealt
 
 BLOCK = 128
 GROUP = 4096
-HELD = 600_000
+HELD = 400_000
 STRIDE = 64
 
 
@@ -180,21 +180,22 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
         if n:
             yield from settle()
 
-    def entries_of(batches: Iterator[pa.RecordBatch], kind: int, passed: list[pa.RecordBatch]) -> Iterator[list[list[bytes]]]:
+    def entries_of(batches: Iterator[pa.RecordBatch], kind: int, passed: list[pa.RecordBatch]) -> Iterator[list[bytes]]:
         """Columns of what lies in each block, of that kind; other rows go to ``passed``."""
         now, held = None, []
         for batch in batches:
-            kinds = np.asarray(batch.column("kind"))
+            kinds, blocks = (np.asarray(batch.column(c)) for c in ("kind", "block"))
+            columns = [batch.column(f"c{j}") for j in range(3)]
             if (kinds != kind).any():
                 passed.append(batch.filter(pa.array(kinds != kind)))
-            for block, *columns in zip(*(batch.filter(pa.array(kinds == kind)).column(c).to_pylist() for c in ("block", "c0", "c1", "c2"))):
-                if block != now:
+            for i in np.flatnonzero(kinds == kind).tolist():
+                if blocks[i] != now:
                     if held:
-                        yield list(zip(*held))
-                    now, held = block, []
-                held.append(columns)
+                        yield [b"".join(c) for c in zip(*held)]
+                    now, held = blocks[i], []
+                held.append([c[i].as_py() for c in columns])
         if held:
-            yield list(zip(*held))
+            yield [b"".join(c) for c in zip(*held)]
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         passed: list[pa.RecordBatch] = []
@@ -205,7 +206,7 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
             return counted(ids, needs, np.ones(len(ids), np.int64))
 
         for block in entries_of(batches, ENTRY, passed):
-            key, ids, needs = (np.frombuffer(b"".join(c), kind) for c, kind in zip(block, (U, np.int64, np.int64)))
+            key, ids, needs = (np.frombuffer(c, kind) for c, kind in zip(block, (U, np.int64, np.int64)))
             order = np.argsort(key, kind="stable")
             key, ids, needs = key[order], ids[order], needs[order]
             new = np.concatenate([[True], key[1:] != key[:-1]])
@@ -233,7 +234,7 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
                 passed.pop()
 
         for block in entries_of(batches, COUNT, passed):
-            key, what, n = (np.frombuffer(b"".join(c), kind) for c, kind in zip(block, (U, np.int64, np.int64)))
+            key, what, n = (np.frombuffer(c, kind) for c, kind in zip(block, (U, np.int64, np.int64)))
             _, ids, needs, n = summed(key, *np.ascontiguousarray(what.reshape(-1, 2).T), n)
             ids = ids[n >= needs]
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), COUNT, np.int32)), pa.array(np.ascontiguousarray(ids)), pa.array(np.zeros(len(ids), np.int64))], ["kind", "a", "b"])

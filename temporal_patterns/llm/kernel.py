@@ -227,10 +227,18 @@ class Memory(dict):
         return value
 
 
+#: What modules keep in a worker between its tasks, and how to drop it.
+KEPT: dict[str, Callable[[], None]] = {}
+
+
 def tidy(fn: Callable) -> Callable:
-    """``fn`` over record batches; at its end the worker, which may wait for long, gives free memory back."""
+    """``fn`` over record batches.  A worker that another operator used before drops that one's tables; at the end, as it
+    may wait for long, it gives free memory back."""
 
     def run(batches):
+        for module, drop in KEPT.items():
+            if module != fn.__module__:
+                drop()
         try:
             yield from fn(batches)
         finally:

@@ -195,12 +195,13 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
 
         names = ["chunk", "kind", "id", "c0", "c1", "c2"]
         for batch in batches:
-            for kind, block, chunk, *columns in zip(*(batch.column(c).to_pylist() for c in ("kind", "block", "chunk", "c0", "c1", "c2"))):
+            binaries = [batch.column(f"c{j}") for j in range(3)]
+            for i, (kind, block, chunk) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("kind", "block", "chunk")))):
                 if (kind, block) != now:
                     if held:
                         yield from answer()
                     now, held = (kind, block), []
-                held.append((*columns, chunk))
+                held.append((*(c[i].as_py() for c in binaries), chunk))
         if held:
             yield from answer()
         yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int64()), pa.array([_SUMS], pa.int32()), pa.nulls(1, pa.int64()), pa.array([sums.tobytes()], pa.binary()), *[pa.nulls(1, pa.binary())] * 2], names)

@@ -99,18 +99,22 @@ def base_columns(texts: pa.Array) -> list[np.ndarray]:
     ]
 
 
-def bucket_counts(docs: DataFrame, gram: int = GRAM) -> np.ndarray:
-    """Counts of all n-grams of all texts: each task sums its own, the driver gets BUCKETS rows."""
+def bucket_counts(docs: DataFrame, gram: int = GRAM, ids: np.ndarray | None = None) -> np.ndarray:
+    """Counts of all n-grams of all texts (or of those with one of a bounded list of ids): each task sums its own,
+    the driver gets BUCKETS rows."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, np.int64)
         for batch in batches:
+            if ids is not None:
+                batch = batch.filter(pa.array(np.isin(np.asarray(batch.column("doc_id").fill_null(-(1 << 62))), ids)))
             for part in slices(batch):
                 total += np.bincount(hashed_grams(*buffer(part.column("text")), gram)[0], minlength=BUCKETS)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["bucket", "n"])
 
-    rows = docs.select("text").mapInArrow(tidy(count), "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n"))
+    rows = docs.select("text") if ids is None else docs.select("doc_id", "text")
+    rows = rows.mapInArrow(tidy(count), "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n"))
     out = np.zeros(BUCKETS, np.int64)
     table = rows.toArrow()
     out[np.asarray(table.column("bucket"))] = np.asarray(table.column("n"))
@@ -124,17 +128,6 @@ def target_ids(labels: DataFrame, limit: int = TARGET_LIMIT) -> np.ndarray:
     return np.sort(np.array([r[0] for r in picked.collect()], np.int64))
 
 
-def only_ids(docs: DataFrame, ids: np.ndarray) -> DataFrame:
-    """Rows of ``docs`` whose id is among a bounded list of ids."""
-
-    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            col = batch.column("doc_id").fill_null(-(1 << 62))
-            yield batch.filter(pa.array(np.isin(np.asarray(col), ids)))
-
-    return docs.select("doc_id", "text").mapInArrow(tidy(pick), "doc_id bigint, text string")
-
-
 def log_ratios(target: np.ndarray, raw: np.ndarray) -> np.ndarray:
     """log(target / raw) per bucket, both with one added to every count."""
     if not target.sum():
@@ -171,6 +164,6 @@ def score_documents(docs: DataFrame, ratios: np.ndarray, gram: int = GRAM, thres
 def assess(docs: DataFrame, labels: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD, target_limit: int = TARGET_LIMIT) -> DataFrame:
     """Fit both multinomials (the raw one on all of ``docs``) and judge every document."""
     raw = bucket_counts(docs, gram)
-    target = bucket_counts(only_ids(docs, target_ids(labels, target_limit)), gram)
+    target = bucket_counts(docs, gram, target_ids(labels, target_limit))
     return score_documents(docs, log_ratios(target, raw), gram, threshold)
 

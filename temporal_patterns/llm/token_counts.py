@@ -22,7 +22,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .kernel import Memory, slices, tidy
+from .kernel import KEPT, Memory, slices, tidy
 
 PAIRS_REMEMBERED = 1_000_000
 #: Fixed value: the splitting pattern of the byte-level pre-tokenizer.
@@ -171,6 +171,9 @@ def counter(path: str) -> PrefixCounter:
     return PrefixCounter(path)
 
 
+KEPT[__name__] = counter.cache_clear
+
+
 def count_documents(docs: DataFrame, path: str, limit: int = 512, with_prefixes: bool = False) -> DataFrame:
     """Every row of ``docs`` with ``n_bytes``, ``n_tokens`` and ``over_limit`` (and, if asked,
     ``prefix_tokens``: the counts of all character prefixes) added; such columns are replaced."""
