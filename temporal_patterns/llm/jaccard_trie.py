@@ -139,7 +139,7 @@ def _enough_shared(rows: DataFrame, entries: Callable[[pa.RecordBatch], Iterator
     def counted(ids: np.ndarray, needs: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
         """What is known of each id, packed."""
         key, ids, needs, n = summed(mix(ids.view(U)), ids, needs, n)
-        return packed(COUNT, parts, key, np.stack([ids, needs], axis=1), n)
+        return packed(COUNT, parts // 4, key, np.stack([ids, needs], axis=1), n)
 
     def summed(key: np.ndarray, ids: np.ndarray, needs: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, ...]:
         order = np.argsort(key, kind="stable")

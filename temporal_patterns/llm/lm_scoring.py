@@ -39,6 +39,7 @@ CHUNK = 1 << 23
 START = U(0x5DEECE66D)
 _TURN = U(0x9E3779B97F4A7C15)
 _PAIR, _WORD, _TRUSTED, _SUMS = range(4)
+#: ``id`` is the document of a trusted one, else the block.
 _ANSWER = "chunk bigint, kind int, id bigint, c0 binary, c1 binary, c2 binary"
 
 
@@ -102,7 +103,7 @@ class _Counts:
         self.before, self.word = before[first], word[first]
         # the totals of what other chunks have as well
         for i in np.flatnonzero(kinds < _TRUSTED).tolist():
-            k, b, t = (np.frombuffer(told.column(f"c{j}")[i].as_buffer(), U if j == 0 else np.int64) for j in range(3))
+            k, b, t = _received(bits, told.column("id")[i].as_py(), *(told.column(f"c{j}")[i].as_py() for j in range(3)))
             one, all_b, all_t = self.keys[int(kinds[i])][:3]
             place = np.searchsorted(one, k)
             all_b[place], all_t[place] = b, t
@@ -116,21 +117,25 @@ class _Counts:
         return np.where(one[place] == keys, (t if target else b)[place], 0)
 
 
-def _sent(kind: int, bits: int, keys: np.ndarray, b: np.ndarray, t: np.ndarray) -> pa.RecordBatch:
-    """A chunk's counts by block (the upper bits of the key): the 48 bits of each key that follow, b and t in a byte
+def _slim(bits: int, edge: np.ndarray, keys: np.ndarray, b: np.ndarray, t: np.ndarray) -> list[pa.Array]:
+    """Counts of keys of one block each, cut at ``edge``: the 48 bits of each key that follow the block, b and t in a byte
     each, and (place, b, t) of those that need more."""
-    block = keys >> U(64 - bits) if bits else np.zeros(len(keys), U)
-    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
     short = (keys << U(bits)) >> U(16)
     low = np.ascontiguousarray(short.view(np.uint8).reshape(-1, 8)[:, :6])
     counts = np.minimum(np.stack([b, t], axis=1), 255).astype(np.uint8)
     ends = np.append(edge, len(keys))
     far = np.flatnonzero(np.maximum(b, t) >= 255)
-    places = np.searchsorted(far, ends)
     start = ends[np.searchsorted(ends, far, "right") - 1]
     large = np.stack([far - start, b[far], t[far]], axis=1).astype(np.int64)
     cut = lambda x, at: pa.Array.from_buffers(pa.binary(), len(edge), [None, pa.array(at.astype(np.int32)).buffers()[1], pa.py_buffer(np.ascontiguousarray(x).tobytes())])
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32)), cut(low, ends * 6), cut(counts, ends * 2), cut(large, places * 24)], ["kind", "block", "c0", "c1", "c2"])
+    return [cut(low, ends * 6), cut(counts, ends * 2), cut(large, np.searchsorted(far, ends) * 24)]
+
+
+def _sent(kind: int, bits: int, keys: np.ndarray, b: np.ndarray, t: np.ndarray) -> pa.RecordBatch:
+    """A chunk's counts (keys ascending) by block, the upper bits of the key."""
+    block = keys >> U(64 - bits) if bits else np.zeros(len(keys), U)
+    edge = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]]))
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(edge), kind, np.int32)), pa.array(block[edge].astype(np.int32)), *_slim(bits, edge, keys, b, t)], ["kind", "block", "c0", "c1", "c2"])
 
 
 def _received(bits: int, block: int, c0: bytes, c1: bytes, c2: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -189,9 +194,8 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
                 return
             by = shared[np.argsort(chunk[shared], kind="stable")]
             edge = np.flatnonzero(np.concatenate([[True], chunk[by][1:] != chunk[by][:-1]]))
-            ends = pa.array((np.append(edge, len(by)) * 8).astype(np.int32)).buffers()[1]
-            columns = [pa.Array.from_buffers(pa.binary(), len(edge), [None, ends, pa.py_buffer(np.ascontiguousarray(x))]) for x in (key[by], all_b[group[by]], all_t[group[by]])]
-            yield pa.RecordBatch.from_arrays([pa.array(chunk[by][edge]), pa.array(np.full(len(edge), now[0], np.int32)), pa.nulls(len(edge), pa.int64()), *columns], names)
+            columns = _slim(bits, edge, key[by], all_b[group[by]], all_t[group[by]])
+            yield pa.RecordBatch.from_arrays([pa.array(chunk[by][edge]), pa.array(np.full(len(edge), now[0], np.int32)), pa.array(np.full(len(edge), now[1], np.int64)), *columns], names)
 
         names = ["chunk", "kind", "id", "c0", "c1", "c2"]
         for batch in batches:
