@@ -1,14 +1,20 @@
 """The nine two-edge rules as relational queries: comparisons of activity, windows, islands.
 
 These are the baselines: no automaton runs.  ``solve`` works on matches with packed activity; the rules of
-``SIMPLE`` need one expression a match.
+``SIMPLE`` need one expression a match.  Which form a rule has, and its arguments, follow from its moves, never from
+its name: a rule that equals none of the library's has no form.
 """
 
 from __future__ import annotations
 
+import re
+from collections.abc import Callable
+from functools import partial
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import library
 from ..functions.automaton import TimedRule
 from ..functions.pattern import Pattern
 from ..sources.graphs import TemporalGraph, packed
@@ -16,20 +22,26 @@ from .matching import match
 
 _JOINT = lambda: F.array_intersect("ts1", "ts2")
 
-#: Rules that are comparisons of first, last or the arrays.
-SIMPLE: dict[str, object] = {
-    "exists_before": lambda: F.col("f1") < F.col("l2"),
-    "exists_not_after": lambda: F.col("f1") <= F.col("l2"),
-    "first_strictly_before": lambda: F.col("f1") < F.col("f2"),
-    "first_in_order": lambda: F.col("f1") <= F.col("f2"),
-    "always_together": lambda: F.col("ts1") == F.col("ts2"),
-    "never_together": lambda: ~F.arrays_overlap("ts1", "ts2"),
-    "contained": lambda: F.size(F.array_except("ts1", "ts2")) == 0,
-    "all_before": lambda: F.col("l1") < F.col("f2"),
-}
+#: Rules that are comparisons of first, last or the arrays, with their condition.
+SIMPLE: list[tuple[TimedRule, Callable[[], Column]]] = [
+    (library.exists_before(), lambda: F.col("f1") < F.col("l2")),
+    (library.exists_not_after(), lambda: F.col("f1") <= F.col("l2")),
+    (library.first_strictly_before(2), lambda: F.col("f1") < F.col("f2")),
+    (library.first_in_order(2), lambda: F.col("f1") <= F.col("f2")),
+    (library.always_together(), lambda: F.col("ts1") == F.col("ts2")),
+    (library.never_together(), lambda: ~F.arrays_overlap("ts1", "ts2")),
+    (library.contained(1, 2), lambda: F.size(F.array_except("ts1", "ts2")) == 0),
+    (library.contained(2, 1), lambda: F.size(F.array_except("ts2", "ts1")) == 0),
+    (library.all_before(), lambda: F.col("l1") < F.col("f2")),
+]
+
+
+def comparison(rule: TimedRule) -> Callable[[], Column] | None:
+    """The condition that says the same as the rule, if it is one of ``SIMPLE``."""
+    return next((condition for known, condition in SIMPLE if known == rule), None)
 
 
-def _alternation(rows: DataFrame, names: list[str], bound: int | None) -> DataFrame:
+def _alternation(rows: DataFrame, names: list[str], bound: float | None) -> DataFrame:
     """By windows: times of both edges in one line, tagged; tags alternate from y1, and a reply is in time."""
     tagged = [rows.select(*names, F.explode(f"ts{i}").alias("x")).select(*names, F.col("x.t").alias("t"), F.lit(i).alias("tag")) for i in (1, 2)]
     along = Window.partitionBy(*names).orderBy("t", "tag")
@@ -48,22 +60,31 @@ def _islands(rows: DataFrame, names: list[str], points: int) -> DataFrame:
     return islands.groupBy(*names, "island").agg(F.count("*").alias("n")).where(F.col("n") >= points).select(names).distinct()
 
 
-def solve(g: TemporalGraph, pattern: Pattern, rule: TimedRule, argument: int | None = None) -> DataFrame:
-    """Accepted matches (x.., e1, e2).  ``argument``: the bound of a timed alternation, the points of a joint stretch."""
+def form(rule: TimedRule) -> Callable[[DataFrame, list[str]], DataFrame] | None:
+    """What turns matches with packed activity into the accepted ones; None if the rule has no relational form."""
+    condition = comparison(rule)
+    if condition is not None:
+        return lambda rows, names: rows.where(condition()).select(names)
+    if rule == library.round_robin(2):
+        return partial(_alternation, bound=None)
+    for text in {x for mv in rule.moves for x in re.findall(r"\d+(?:\.\d+)?", str(mv.guard))}:
+        bound = float(text) if "." in text else int(text)
+        if any(rule == library.timed_alternation(bound, "reply", restart) for restart in ("first", "every")):
+            return partial(_alternation, bound=bound)
+    if rule.m == 2 and rule.states > 1 and rule == library.together_for(rule.states - 1, "points"):
+        return partial(_islands, points=rule.states - 1)
+    return None
+
+
+def solve(g: TemporalGraph, pattern: Pattern, rule: TimedRule) -> DataFrame:
+    """Accepted matches (x.., e1, e2)."""
     if pattern.m != 2:
         raise ValueError("relational forms are for two edges")
-    names = [*pattern.nodes, "e1", "e2"]
-    rows = match(packed(g, ranked=rule.name == "together_for"), pattern, g.nodes)
-    if rule.name in SIMPLE:
-        condition: Column = SIMPLE[rule.name]()
-        return rows.where(condition).select(names)
-    if rule.name == "round_robin":
-        return _alternation(rows, names, None)
-    if rule.name == "timed_alternation":
-        return _alternation(rows, names, argument)
-    if rule.name == "together_for":
-        return _islands(rows, names, argument)
-    raise ValueError(f"no relational form of {rule.name}")
+    found = form(rule)
+    if found is None:
+        raise ValueError(f"no relational form of {rule.name}")
+    ranks = getattr(found, "func", None) is _islands
+    return found(match(packed(g, ranked=ranks), pattern, g.nodes), [*pattern.nodes, "e1", "e2"])
 
 
 def conciseness(rule: TimedRule, sql: str) -> dict[str, int]:

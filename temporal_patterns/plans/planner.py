@@ -25,7 +25,7 @@ class Choice:
 def choose(pattern: Pattern, rule: TimedRule, structural_density: float | None = None) -> Choice:
     """Staged for what has a usable order and isn't a short cycle on a sparse graph; a plain relational query
     for rules that are one; on-demand otherwise."""
-    if pattern.m == 2 and rule.name in relational.SIMPLE:
+    if pattern.m == 2 and relational.comparison(rule) is not None:
         return Choice("relational", "the rule is a comparison of activity arrays")
     if rule.empty_letter() == "general":
         return Choice("full", "empty letters move the rule")

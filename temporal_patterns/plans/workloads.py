@@ -37,7 +37,7 @@ def ends(df: DataFrame, pattern: pt.Pattern) -> DataFrame:
 def answer(spark: SparkSession, sf_dir: str, graph: str, shape: str, label: str, strategy: str) -> DataFrame:
     g, pattern = gr.GRAPHS[graph](spark, sf_dir), PATTERNS[shape]
     if strategy == "relational":
-        return ends(relational.solve(g, pattern, rule_of(label, pattern.m), 3), pattern)
+        return ends(relational.solve(g, pattern, rule_of(label, pattern.m)), pattern)
     return ends(find(g, pattern, rule_of(label, pattern.m), strategy), pattern)
 
 

@@ -49,7 +49,7 @@ def packed(g: TemporalGraph, ranked: bool = False) -> DataFrame:
     activity.  ``ranked``: ts holds (t, r) with the rank in the graph's domain, else (t, 0)."""
     act = g.active
     if ranked:
-        act = act.join(F.broadcast(domain(g)), "t")  # timepoints, not rows: checked to be few
+        act = act.join(domain(g), "t")  # Spark broadcasts it if its size at run time allows
     else:
         act = act.withColumn("r", F.lit(0).cast("long"))
     per = act.groupBy("eid").agg(F.array_sort(F.collect_set(F.struct("t", "r"))).alias("ts"), F.min("t").alias("first"), F.max("t").alias("last"))

@@ -2,8 +2,8 @@
 
 Each micro-batch is a time slab: its activity is stored under the batch's id (a replayed batch writes the
 same place again), new matches come from delta joins and catch up from the history, live matches advance by
-the slab's letters, and those without a living run are dropped.  The live table is written per batch, so a
-restart goes on from the last one.  Activity at or before the last slab's end is late: letters must come in
+the slab's letters, and those without a living run are dropped.  The live table and the slab's end are written per batch,
+so a new matcher at the same path goes on from the last one.  Activity at or before the last slab's end is late: letters must come in
 order, so it goes to a table of its own.
 """
 
@@ -30,7 +30,15 @@ class OnlineMatcher:
             raise ValueError("online matching needs a rule that ignores empty letters")
         self.spark, self.pattern = spark, pattern
         self.path = path or f"{scratch(spark)}/online-{id(self)}"
-        self.ends: dict[int, int] = {}
+        self.ends: dict[int, int] = self._stored_ends()
+
+    def _stored_ends(self) -> dict[int, int]:
+        """The slabs that an earlier matcher has finished at this path, with their ends: a row each."""
+        at = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/ends")
+        if not at.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(at):
+            return {}
+        rows = self.spark.read.schema("batch long, end long").option("recursiveFileLookup", True).parquet(f"{self.path}/ends")
+        return {r.batch: r.end for r in rows.collect()}
 
     def _read(self, name: str, ids: list[int]) -> DataFrame | None:
         return self.spark.read.parquet(*(f"{self.path}/{name}/{i}" for i in ids)) if ids else None
@@ -57,6 +65,9 @@ class OnlineMatcher:
             live = live.withColumn("acc", self.fold.run(word(m, low=F.lit(low + 1), high=until), F.col("acc")))
             out = out.unionByName(live.select(*keys, "acc"))
         out.where(self.fold.alive(F.col("acc"))).write.mode("overwrite").parquet(f"{self.path}/live/{batch_id}")
+        # written last: a slab counts as done once its live table is whole
+        end = self.spark.range(1).select(F.lit(batch_id).cast("long").alias("batch"), F.lit(self.ends[batch_id]).cast("long").alias("end"))
+        end.write.mode("overwrite").parquet(f"{self.path}/ends/{batch_id}")
 
     def results(self) -> DataFrame:
         """Matches accepted as of the last slab."""

@@ -1,5 +1,6 @@
 """Strategies against each other and against brute force; worked examples; stores; registered queries."""
 
+import dataclasses
 import itertools
 import random
 
@@ -124,12 +125,38 @@ def test_measures(spark, sf):
 def test_relational_forms_and_choice(spark, sf):
     g = gr.handoff_cohort(spark, sf("0.01"))
     for rule in lib.NINE.values():
-        assert metrics.difference(relational.solve(g, pt.path(2), rule, 3), strategies.solve_full(g, pt.path(2), rule)) == 0
+        assert metrics.difference(relational.solve(g, pt.path(2), rule), strategies.solve_full(g, pt.path(2), rule)) == 0
     assert planner.choose(pt.path(3), lib.round_robin(3)).strategy == "staged"
     assert planner.choose(pt.cycle(3), lib.round_robin(3), 0.01).strategy == "ondemand"
     assert planner.choose(pt.path(2), lib.never_together()).strategy == "relational"
 
 
+def test_relational_forms_take_their_arguments_from_the_rule(spark, sf):
+    g = gr.handoff_cohort(spark, sf("0.001"))
+    rules = [lib.contained(2, 1), lib.timed_alternation(5), lib.timed_alternation(2.5), lib.timed_alternation(4, restart="every"), lib.together_for(2, "points")]
+    for rule in rules:
+        want = strategies.solve_full(g, pt.path(2), rule)
+        assert metrics.difference(planner.find(g, pt.path(2), rule, "relational"), want) == 0
+        assert metrics.difference(planner.find(g, pt.path(2), rule), want) == 0
+    impostor = dataclasses.replace(lib.answered_within(3), name="contained")
+    assert planner.choose(pt.path(2), impostor).strategy != "relational"
+    for rule in (impostor, lib.timed_alternation(3, guard="both"), lib.together_for(2)):
+        with pytest.raises(ValueError):
+            planner.find(g, pt.path(2), rule, "relational")
+
+
+def test_a_new_online_matcher_goes_on(spark, tmp_path):
+    slabs = [[(1, 2, 1), (2, 3, 2)], [(2, 3, 4), (4, 5, 4)], [(3, 4, 5), (1, 2, 7)]]
+    frames = [spark.createDataFrame(s, "src long, dst long, t long") for s in slabs]
+    whole = OnlineMatcher(spark, pt.path(2), lib.first_in_order(2), f"{tmp_path}/whole")
+    for i, f in enumerate(frames):
+        whole.batch(f, i)
+        OnlineMatcher(spark, pt.path(2), lib.first_in_order(2), f"{tmp_path}/parts").batch(f, i)
+    last = OnlineMatcher(spark, pt.path(2), lib.first_in_order(2), f"{tmp_path}/parts")
+    assert last.ends == whole.ends
+    assert last.results().count() > 0 and metrics.difference(last.results(), whole.results()) == 0
+
+
 @pytest.mark.parametrize("name", sorted(workloads.ORACLES)[::4])
 def test_queries_equal_their_sql(spark, sf, name):
     con = duckdb.connect()
