@@ -256,16 +256,20 @@ def extract(pages: DataFrame, threshold: float = THRESHOLD, min_pages: int = MIN
     """Every row of ``pages`` with ``text`` and ``n_chars`` added (such columns are replaced)."""
     pages = pages.drop("text", "n_chars")
     low = style_tree(pages).where((F.col("importance") < threshold) & (F.col("pages") >= min_pages))
-    low = keep(low.groupBy("host").agg(F.collect_set("path").alias("__removed")), "style-tree")
-    low = low.select(F.col("host").alias("__host"), "__removed", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("__salt"))
+    low = keep(low.groupBy("host").agg(F.collect_set("path").alias("removed")), "style-tree")
+    low = low.select("host", "removed", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     names = pages.columns
-    salted = pages.withColumns({"__host": host(), "__salt": F.pmod(F.xxhash64("html"), F.lit(SALTS)).cast("int")})
-    joined = salted.join(low, ["__host", "__salt"], "left").select(*names, "__removed")
+    # the caller's columns travel in a struct, out of the way of those made here
+    salted = pages.select(F.struct(*(F.col(f"`{c}`") for c in names)).alias("row"), host().alias("host"), F.pmod(F.xxhash64("html"), F.lit(SALTS)).cast("int").alias("salt"))
+    removed = "removed"
+    while removed in map(str.lower, names):
+        removed += "_"
+    joined = salted.join(low, ["host", "salt"], "left").select(*(F.col("row")[c].alias(c) for c in names), F.col("removed").alias(removed))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in _pages(whole):
-                texts = [main_text(p, set(r or ())) for p, r in zip(batch.column("html").to_pylist(), batch.column("__removed").to_pylist())]
+                texts = [main_text(p, set(r or ())) for p, r in zip(batch.column("html").to_pylist(), batch.column(removed).to_pylist())]
                 yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [*names, "text", "n_chars"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.schema)

@@ -2,7 +2,8 @@
 
 Each source's documents are laid end to end and packed into blocks of ``block`` words.  Every
 output shard draws how many blocks it takes of each source: the whole part of its expectation,
-the rest by multinomial draws.  A source's slots are numbered through all shards and mapped
+the rest by multinomial draws (plain multinomial counts have the same mean, but leave a source of a few
+hundred blocks several percent off its target).  A source's slots are numbered through all shards and mapped
 through a pseudorandom permutation of its block numbers (swap-or-not, keyed by source and pass), so
 that a pass takes every block once; slots and blocks meet in a join by block number.
 
@@ -26,10 +27,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .spans import doc_key, text_key
-from .workspace import keep
+from .workspace import buckets as partitions, keep
 
 BUCKET = 2048
 ROUNDS = 20
+RUN = 1024
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -122,8 +124,11 @@ def drawn_blocks(blocks: DataFrame, recipe: Recipe) -> DataFrame:
     counts = per.join(extra, ["shard", "sid"], "left").withColumn("count", F.col("whole") + F.coalesce("extra", F.lit(0)))
     through = Window.partitionBy("sid").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
     counts = counts.withColumn("base", F.coalesce(F.sum("count").over(through), F.lit(0)))
-    slots = counts.where("count > 0").select("shard", "sid", "n", F.explode(F.sequence(F.col("base"), F.col("base") + F.col("count") - 1)).alias("slot"))
-    slots = slots.where(F.col("slot") < F.col("n") * recipe.ceiling)
+    # slots are made where their run is dealt to, so that few shards don't mean few tasks
+    counts = counts.withColumn("end", F.least(F.col("base") + F.col("count"), F.col("n") * recipe.ceiling)).where("base < end")
+    runs = counts.select("shard", "sid", "n", "end", F.explode(F.sequence(F.col("base"), F.col("end") - 1, F.lit(RUN).cast("long"))).alias("run"))
+    runs = runs.repartition(partitions(counts.sparkSession), "sid", "run")
+    slots = runs.select("shard", "sid", "n", F.explode(F.sequence(F.col("run"), F.least(F.col("run") + RUN, F.col("end")) - 1)).alias("slot"))
     lap, place = F.floor(F.col("slot") / F.col("n")).cast("long"), F.pmod("slot", "n")
     return slots.select("shard", "slot", "sid", permuted(place, F.col("n"), F.lit(recipe.seed), F.col("sid"), lap).alias("block"))
 
@@ -161,18 +166,19 @@ def mixed_texts(docs: DataFrame, recipe: Recipe = Recipe()) -> DataFrame:
     are taken, with those words (the text as it was, if all are); n_chars follows, where it exists."""
     _, pieces, _ = mixed_pieces(docs, recipe)
     same = Window.partitionBy("k", "th").orderBy("sid", "bucket", "rn")
-    per = pieces.groupBy("k", "th", "sid", "bucket", "rn").agg(F.first("size").alias("__size"), F.sort_array(F.collect_list(F.struct("word", "words", "times"))).alias("__parts"))
-    per = per.withColumn("__copy", F.row_number().over(same)).select(F.col("k").alias("__k"), F.col("th").alias("__th"), "__copy", "__size", "__parts")
-    names = docs.columns
-    keyed = docs.withColumns({"__k": doc_key(), "__th": text_key()})
-    keyed = keyed.withColumn("__copy", F.row_number().over(Window.partitionBy("__k", "__th").orderBy(F.lit(0))))
-    rows = keyed.join(per.hint("merge"), ["__k", "__th", "__copy"])
-    rows = rows.withColumn("__lap", F.explode(F.sequence(F.lit(1), F.lit(recipe.ceiling))))
-    rows = rows.withColumn("__parts", F.filter("__parts", lambda p: p["times"] >= F.col("__lap"))).where(F.size("__parts") > 0)
-    words = F.regexp_extract_all("text", F.lit(f"({WORD})"), F.lit(1))
-    some = F.array_join(F.flatten(F.transform("__parts", lambda p: F.slice(words, (p["word"] + 1).cast("int"), p["words"].cast("int")))), " ")
-    whole = F.aggregate("__parts", F.lit(0).cast("long"), lambda a, p: a + p["words"]) == F.col("__size")
-    rows = rows.withColumn("text", F.when(whole, F.col("text")).otherwise(some))
-    if "n_chars" in names:
-        rows = rows.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return rows.select(names)
+    per = pieces.groupBy("k", "th", "sid", "bucket", "rn").agg(F.first("size").alias("size"), F.sort_array(F.collect_list(F.struct("word", "words", "times"))).alias("parts"))
+    per = per.withColumn("copy", F.row_number().over(same)).select("k", "th", "copy", "size", "parts")
+    # the caller's columns travel in a struct, out of the way of those made here
+    keyed = docs.select(doc_key().alias("k"), text_key().alias("th"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"))
+    keyed = keyed.withColumn("copy", F.row_number().over(Window.partitionBy("k", "th").orderBy(F.lit(0))))
+    rows = keyed.join(per.hint("merge"), ["k", "th", "copy"])
+    rows = rows.withColumn("lap", F.explode(F.sequence(F.lit(1), F.lit(recipe.ceiling))))
+    rows = rows.withColumn("parts", F.filter("parts", lambda p: p["times"] >= F.col("lap"))).where(F.size("parts") > 0)
+    words = F.regexp_extract_all("row.text", F.lit(f"({WORD})"), F.lit(1))
+    some = F.array_join(F.flatten(F.transform("parts", lambda p: F.slice(words, (p["word"] + 1).cast("int"), p["words"].cast("int")))), " ")
+    whole = F.aggregate("parts", F.lit(0).cast("long"), lambda a, p: a + p["words"]) == F.col("size")
+    rows = rows.withColumn("mixed", F.when(whole, F.col("row.text")).otherwise(some))
+    made = {"text": F.col("mixed")}
+    if "n_chars" in docs.columns:
+        made["n_chars"] = F.length("mixed").cast(docs.schema["n_chars"].dataType)
+    return rows.select(*(made.get(c, F.col("row")[c]).alias(c) for c in docs.columns))

@@ -55,6 +55,22 @@ def test_pages(spark):
     assert html_tree.extract(pages.limit(0)).count() == 0
 
 
+def test_pages_keep_columns_with_the_names_used_inside(spark):
+    pages = spark.createDataFrame([(i, "http://a/x", f"<p>text {i}") for i in range(3)], "page_id long, url string, html string")
+    names = ["removed", "Removed_", "__removed", "__host", "host", "salt", "row"]
+    got = html_tree.extract(pages.withColumns({c: F.concat(F.lit(f"{c}-"), "page_id") for c in names})).collect()
+    assert sorted(r.text for r in got) == ["text 0", "text 1", "text 2"]
+    assert all(r[c] == f"{c}-{r.page_id}" for r in got for c in names)
+
+
+def test_mixed_rows_keep_their_columns(docs):
+    got = mixing.mixed_texts(docs)
+    assert got.columns == docs.columns
+    kept = got.collect()
+    assert kept and all(r[c] == c for r in kept for c in CLASHING) and {r.doc_id for r in kept} <= {None, 5, 6}
+    assert mixing.mixed_texts(docs.limit(0)).collect() == []
+
+
 def test_vectors(spark):
     rows = [(0, [1.0, 0.0]), (50, None), (100, [0.0, 0.0]), (1, [1.0, None]), (2, [float("nan"), 1.0]), (3, [2.0, 0.0]), (4, [3.0, 0.0]), (None, [1.0, 1.0]), (5, [0.0, 1.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumns({"v": F.lit(1), "perm": F.lit(2)})
