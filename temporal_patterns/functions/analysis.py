@@ -7,6 +7,7 @@ several clocks) the answer errs to "possible", which only prunes less.
 
 from __future__ import annotations
 
+import functools
 import itertools
 
 from . import formula as fm
@@ -28,6 +29,7 @@ def _grid(trees: list[tuple]) -> list[float]:
     return sorted({0.0, *c, *((a + b) / 2 for a, b in zip(c, c[1:])), *((c[0] / 2, c[-1] + 1) if c else ())})
 
 
+@functools.cache
 def possible(guard: str) -> bool:
     """Whether some clock values satisfy the guard."""
     tree = fm.guard(guard)
@@ -37,7 +39,17 @@ def possible(guard: str) -> bool:
 
 def dead_states(rule: TimedRule) -> frozenset[int]:
     """States from which no accepting state can be reached."""
-    return frozenset(s for s in range(rule.states) if not reachable(rule, s) & rule.accepting)
+    back: dict[int, set[int]] = {}
+    for v in rule.moves:
+        if v.letters and possible(v.guard):
+            back.setdefault(v.target, set()).add(v.source)
+    live, todo = set(), list(rule.accepting)
+    while todo:
+        s = todo.pop()
+        if s not in live:
+            live.add(s)
+            todo += back.get(s, ())
+    return frozenset(range(rule.states)) - live
 
 
 def safe_states(rule: TimedRule) -> frozenset[int]:
@@ -57,6 +69,18 @@ def safe_states(rule: TimedRule) -> frozenset[int]:
         safe -= bad
 
 
+def runs_can_die(rule: TimedRule) -> bool:
+    """Whether a run can come to where no continuation is accepted: early rejection is of use only then."""
+    live = reachable(rule) - dead_states(rule)
+    for s in live:
+        for a in range(1 << rule.m):
+            trees = [fm.guard(v.guard) for v in rule.moves if v.source == s and a in v.letters and v.target in live]
+            names = sorted(set().union(*map(fm.guard_clocks, trees))) if trees else []
+            if not all(any(fm.guard_holds(t, dict(zip(names, v))) for t in trees) for v in itertools.product(_grid(trees), repeat=len(names))):
+                return True
+    return not live
+
+
 def precedes(m: int, i: int, j: int) -> TimedRule:
     """Words in which y_i is first active strictly before y_j (or y_j never is)."""
     bi, bj = 1 << (i - 1), 1 << (j - 1)

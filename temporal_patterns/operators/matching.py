@@ -5,6 +5,8 @@ Rows: e1..em (edge ids), f1..fm and l1..lm (first, last activity), ts1..tsm (act
 
 from __future__ import annotations
 
+import functools
+import operator
 from collections.abc import Iterable
 
 from pyspark.sql import Column, DataFrame
@@ -39,7 +41,7 @@ def side(edges: DataFrame, pattern: Pattern, i: int, nodes: DataFrame | None = N
     return df
 
 
-def _extras(pattern: Pattern, have: Iterable[int], i: int) -> list[Column]:
+def extras(pattern: Pattern, have: Iterable[int], i: int) -> list[Column]:
     out = []
     for j in have:
         if pattern.break_symmetry:
@@ -55,7 +57,7 @@ def extend(partial: DataFrame, right: DataFrame, pattern: Pattern, have: list[in
     if not shared:
         raise ValueError("an edge without a shared node would make a Cartesian product")
     renamed = right.withColumnsRenamed({v: f"__{v}" for v in shared})
-    on = [F.col(v) == F.col(f"__{v}") for v in shared] + _extras(pattern, have, i) + list(conditions)
+    on = [F.col(v) == F.col(f"__{v}") for v in shared] + extras(pattern, have, i) + list(conditions)
     condition = on[0]
     for c in on[1:]:
         condition = condition & c
@@ -74,6 +76,45 @@ def match(edges: DataFrame, pattern: Pattern, nodes: DataFrame | None = None, or
     return out
 
 
+def _subsets(pattern: Pattern) -> list[tuple[int, ...]]:
+    """Sets of edge variables that hang together, each in an order with connected prefixes."""
+    found: dict[frozenset, tuple[int, ...]] = {frozenset([i]): (i,) for i in range(1, pattern.m + 1)}
+    grown = list(found.values())
+    for order in grown:  # the list grows
+        nodes = {v for j in order for v in pattern.edges[j - 1]}
+        for i in range(1, pattern.m + 1):
+            have = frozenset([*order, i])
+            if i not in order and nodes & set(pattern.edges[i - 1]) and have not in found:
+                found[have] = (*order, i)
+                grown.append(found[have])
+    return grown
+
+
+def partials(edges: DataFrame, pattern: Pattern, nodes: DataFrame | None = None, maximal: bool = False) -> DataFrame:
+    """Connected partial matches: x.., e.. (null: unset) and ``have``, the edge variables that are set.
+    ``maximal``: only those that no further edge extends; for reports, not for solving, as a partial match that
+    stops being maximal can still be extended by a later edge."""
+    out = None
+    for order in _subsets(pattern):
+        df, have = side(edges, pattern, order[0], nodes), [order[0]]
+        for i in order[1:]:
+            df = extend(df, side(edges, pattern, i, nodes), pattern, have, i)
+            have.append(i)
+        bound = {v for j in order for v in pattern.edges[j - 1]}
+        if maximal:
+            for i in range(1, pattern.m + 1):
+                shared = [v for v in dict.fromkeys(pattern.edges[i - 1]) if v in bound]
+                if i not in order and shared:
+                    right = side(edges, pattern, i, nodes).select(F.col(f"e{i}"), *(F.col(v).alias(f"__{v}") for v in shared))
+                    on = [F.col(v) == F.col(f"__{v}") for v in shared] + extras(pattern, have, i)
+                    df = df.join(right, functools.reduce(operator.and_, on), "left_anti")
+        unset = F.lit(None).cast("long")
+        shown = [(F.col(v) if v in bound else unset).alias(v) for v in pattern.nodes] + [(F.col(f"e{i}") if i in order else unset).alias(f"e{i}") for i in range(1, pattern.m + 1)]
+        df = df.select(F.lit(",".join(map(str, sorted(order)))).alias("have"), *shown)
+        out = df if out is None else out.unionByName(df)
+    return out
+
+
 def grow_cycle(edges: DataFrame, m: int) -> DataFrame:
     """Cycles of m >= 3 nodes by growing nodes: the last one is drawn from the intersection of two neighbour
     lists, so open paths of m edges never exist.  Rows: x1..xm."""

@@ -1,4 +1,5 @@
-"""The nine two-edge rules as relational queries: comparisons of activity, windows, islands.
+"""Rules as relational queries: the nine of two edges (comparisons of activity, windows, islands), and round robin and
+orders of first activity for any number of edges.
 
 These are the baselines: no automaton runs.  ``solve`` works on matches with packed activity; the rules of
 ``SIMPLE`` need one expression a match.  Which form a rule has, and its arguments, follow from its moves, never from
@@ -9,7 +10,8 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable
-from functools import partial
+from functools import partial, reduce
+from operator import and_
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -41,12 +43,16 @@ def comparison(rule: TimedRule) -> Callable[[], Column] | None:
     return next((condition for known, condition in SIMPLE if known == rule), None)
 
 
-def _alternation(rows: DataFrame, names: list[str], bound: float | None) -> DataFrame:
-    """By windows: times of both edges in one line, tagged; tags alternate from y1, and a reply is in time."""
-    tagged = [rows.select(*names, F.explode(f"ts{i}").alias("x")).select(*names, F.col("x.t").alias("t"), F.lit(i).alias("tag")) for i in (1, 2)]
+def _alternation(rows: DataFrame, names: list[str], bound: float | None, m: int = 2) -> DataFrame:
+    """By windows: times of all edges in one line, tagged; tags go round from y1, and a reply (of two) is in time."""
+
+    def tagged(i: int) -> Column:
+        return F.transform(f"ts{i}", lambda x: F.struct(x["t"].alias("t"), F.lit(i).alias("tag")))
+
+    tags = F.explode(F.concat(*map(tagged, range(1, m + 1))))
     along = Window.partitionBy(*names).orderBy("t", "tag")
-    line = tagged[0].unionByName(tagged[1]).withColumns({"before": F.lag("tag").over(along), "t0": F.lag("t").over(along)})
-    wrong = F.when(F.col("before").isNull(), F.col("tag") != 1).otherwise((F.col("tag") == F.col("before")) | (F.col("t") == F.col("t0")))
+    line = rows.select(*names, tags.alias("x")).select(*names, "x.t", "x.tag").withColumns({"before": F.lag("tag").over(along), "t0": F.lag("t").over(along)})
+    wrong = F.when(F.col("before").isNull(), F.col("tag") != 1).otherwise((F.col("tag") != F.col("before") % m + 1) | (F.col("t") == F.col("t0")))
     if bound is not None:
         wrong = wrong | ((F.col("tag") == 2) & F.col("before").isNotNull() & (F.col("t") - F.col("t0") >= bound))
     return line.groupBy(*names).agg(F.max(wrong.cast("int")).alias("wrong")).where("wrong = 0").select(names)
@@ -65,8 +71,12 @@ def form(rule: TimedRule) -> Callable[[DataFrame, list[str]], DataFrame] | None:
     condition = comparison(rule)
     if condition is not None:
         return lambda rows, names: rows.where(condition()).select(names)
-    if rule == library.round_robin(2):
-        return partial(_alternation, bound=None)
+    if rule == library.round_robin(rule.m):
+        return partial(_alternation, bound=None, m=rule.m)
+    for known, strict in ((library.first_strictly_before, True), (library.first_in_order, False)):
+        if rule == known(rule.m):
+            rises = [F.col(f"f{i}") < F.col(f"f{i + 1}") if strict else F.col(f"f{i}") <= F.col(f"f{i + 1}") for i in range(1, rule.m)]
+            return lambda rows, names: rows.where(reduce(and_, rises)).select(names)
     for text in {x for mv in rule.moves for x in re.findall(r"\d+(?:\.\d+)?", str(mv.guard))}:
         bound = float(text) if "." in text else int(text)
         if any(rule == library.timed_alternation(bound, "reply", restart) for restart in ("first", "every")):
@@ -77,14 +87,14 @@ def form(rule: TimedRule) -> Callable[[DataFrame, list[str]], DataFrame] | None:
 
 
 def solve(g: TemporalGraph, pattern: Pattern, rule: TimedRule) -> DataFrame:
-    """Accepted matches (x.., e1, e2)."""
-    if pattern.m != 2:
-        raise ValueError("relational forms are for two edges")
+    """Accepted matches (x.., e..)."""
+    if pattern.m != rule.m:
+        raise ValueError("the rule is for another number of edges")
     found = form(rule)
     if found is None:
         raise ValueError(f"no relational form of {rule.name}")
     ranks = getattr(found, "func", None) is _islands
-    return found(match(packed(g, ranked=ranks), pattern, g.nodes), [*pattern.nodes, "e1", "e2"])
+    return found(match(packed(g, ranked=ranks), pattern, g.nodes), [*pattern.nodes, *(f"e{i}" for i in range(1, pattern.m + 1))])
 
 
 def conciseness(rule: TimedRule, sql: str) -> dict[str, int]:

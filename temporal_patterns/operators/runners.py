@@ -20,26 +20,39 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import formula as fm
-from ..functions.analysis import dead_states
+from ..functions.analysis import dead_states, safe_states
 from ..functions.automaton import TimedRule
 
 
-def _mask(m: int, time: Column, arrays: list[Column]) -> Column:
-    bits = [F.when(F.array_contains(ts, time), F.lit(1 << i)).otherwise(F.lit(0)) for i, ts in enumerate(arrays)]
-    return functools.reduce(operator.add, bits)
+def _merged(line: Column, m: int) -> Column:
+    """Letters from a sorted array of (t, r, bit): at most ``m`` neighbours share a time, and the last of them
+    gets the sum of their bits."""
+    letter = lambda x, i: F.struct(x["t"].alias("t"), x["r"].alias("r"), functools.reduce(operator.add, [x["bit"], *(F.when(F.get(line, i - k)["t"] == x["t"], F.get(line, i - k)["bit"]).otherwise(0) for k in range(1, m))]).alias("a"))
+    last = lambda i: F.coalesce(F.get(line, i + 1)["t"] != F.get(line, i)["t"], F.lit(True))
+    return F.filter(F.transform(line, lambda x, i: F.when(last(i), letter(x, i))), lambda y: y.isNotNull())
 
 
 def word(m: int, low: Column | None = None, high: Column | None = None, variables: tuple[int, ...] | None = None) -> Column:
     """The sparse word of columns ts1..tsm, at times from ``low`` and before ``high``.  With ``variables``
     only these edges exist yet."""
     use = variables or tuple(range(1, m + 1))
-    arrays = [F.col(f"ts{i}") if i in use else F.array().cast("array<struct<t:bigint,r:bigint>>") for i in range(1, m + 1)]
-    times = F.array_sort(F.array_distinct(F.concat(*[a for i, a in enumerate(arrays, 1) if i in use])))
-    if low is not None:
-        times = F.filter(times, lambda x: x["t"] >= low)
-    if high is not None:
-        times = F.filter(times, lambda x: x["t"] < high)
-    return F.transform(times, lambda x: F.struct(x["t"].alias("t"), x["r"].alias("r"), _mask(m, x, arrays).alias("a")))
+
+    def times(i: int) -> Column:
+        ts = F.col(f"ts{i}")
+        if low is not None:
+            ts = F.filter(ts, lambda x: x["t"] >= low)
+        if high is not None:
+            ts = F.filter(ts, lambda x: x["t"] < high)
+        return F.transform(ts, lambda x: F.struct(x["t"].alias("t"), x["r"].alias("r"), F.lit(1 << (i - 1)).alias("bit")))
+
+    line = F.array_sort(F.concat(*map(times, use)))
+    # the array is bound to a name, or it would be sorted anew for every element
+    return F.element_at(F.transform(F.array(line), lambda bound: _merged(bound, len(use))), 1)
+
+
+def configurations_at(letters: Column, fold: Fold, t: Column) -> Column:
+    """The runs after all letters up to time ``t``."""
+    return fold.run(F.filter(letters, lambda x: x["t"] <= t))
 
 
 def exploded_word(matches: DataFrame, active: DataFrame, m: int) -> DataFrame:
@@ -61,8 +74,11 @@ def dense_word(sparse: Column, domain: Column) -> Column:
 class Fold:
     """A rule compiled to expressions over an accumulator struct (r: last rank, q: configurations)."""
 
-    def __init__(self, rule: TimedRule, encoding: str = "case"):
+    def __init__(self, rule: TimedRule, encoding: str = "case", early: bool = False):
+        """``early``: letters after the one that decides the rule change nothing and are passed over."""
         self.rule = rule
+        self.early = early
+        self.safe = safe_states(rule) if early else frozenset()
         self.kind = rule.empty_letter()
         self.bits = rule.is_clockless and rule.states <= 62
         self.encoding = "table" if encoding == "case" and self.bits and len(rule.by_letter()) > 40 else encoding
@@ -91,7 +107,12 @@ class Fold:
         q = acc["q"]
         if self.kind == "filter":
             q = F.when(x["r"] > acc["r"] + 1, self._idle(q)).otherwise(q)
-        return self._acc(x["r"], self._move_bits(q, x["a"]) if self.bits else self._move(q, x))
+        moved = self._move_bits(q, x["a"]) if self.bits else self._move(q, x)
+        if self.early:
+            now = self._acc(x["r"], q)
+            stays = ~self.alive(now) | self.within(now, self.safe) if self.safe else ~self.alive(now)
+            moved = F.when(stays, q).otherwise(moved)
+        return self._acc(x["r"], moved)
 
     def _move_bits(self, q: Column, a: Column) -> Column:
         targets: dict[tuple[int, int], int] = {}

@@ -11,15 +11,19 @@ All return the pattern's nodes x.. and edges e.. of accepted matches.
 
 from __future__ import annotations
 
+import functools
+import itertools
+import operator
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.analysis import feasible_orders, find_order, must_not_precede, safe_states
 from ..functions.automaton import TimedRule
 from ..functions.pattern import Pattern
-from ..sources.graphs import TemporalGraph, domain, packed
+from ..sources.graphs import TemporalGraph, domain, fresh, packed
 from ..sources.storage import settle
-from .matching import extend, match, match_delta, side
+from .matching import extend, extras, match, match_delta, side
 from .runners import Fold, dense_word, word
 
 
@@ -27,17 +31,17 @@ def result_columns(pattern: Pattern) -> list[str]:
     return [*pattern.nodes, *(f"e{i}" for i in range(1, pattern.m + 1))]
 
 
-def _prepared(g: TemporalGraph, rule: TimedRule) -> tuple[DataFrame, Fold, Column | None]:
+def _prepared(g: TemporalGraph, rule: TimedRule, early: bool = False) -> tuple[DataFrame, Fold, Column | None]:
     """Packed edges, the compiled rule, and the domain's size where the rule needs it."""
-    fold = Fold(rule)
+    fold = Fold(rule, early=early)
     edges = packed(g, ranked=fold.kind == "filter")
     n = F.lit(domain(g).count()).cast("long") if fold.kind == "filter" else None
     return edges, fold, n
 
 
-def verdicts(g: TemporalGraph, pattern: Pattern, rule: TimedRule) -> DataFrame:
+def verdicts(g: TemporalGraph, pattern: Pattern, rule: TimedRule, early: bool = False) -> DataFrame:
     """All matches with ``word`` and ``accepted``."""
-    edges, fold, n = _prepared(g, rule)
+    edges, fold, n = _prepared(g, rule, early)
     rows = match(edges, pattern, g.nodes)
     if fold.kind == "general":
         all_ = domain(g).agg(F.array_sort(F.collect_list(F.struct("t", "r"))).alias("__domain"))  # one row
@@ -47,8 +51,8 @@ def verdicts(g: TemporalGraph, pattern: Pattern, rule: TimedRule) -> DataFrame:
     return rows.withColumn("accepted", fold.accepted(fold.run(F.col("word")), n))
 
 
-def solve_full(g: TemporalGraph, pattern: Pattern, rule: TimedRule) -> DataFrame:
-    return verdicts(g, pattern, rule).where("accepted").select(result_columns(pattern))
+def solve_full(g: TemporalGraph, pattern: Pattern, rule: TimedRule, early: bool = False) -> DataFrame:
+    return verdicts(g, pattern, rule, early).where("accepted").select(result_columns(pattern))
 
 
 def slab_plan(edges: DataFrame, slabs: int) -> list[int]:
@@ -69,10 +73,10 @@ def solve_ondemand(g: TemporalGraph, pattern: Pattern, rule: TimedRule, slabs: i
     live, done, low = None, [], 0
     for high in slab_plan(edges, slabs):
         old, new, both = (edges.where(F.col("first") <= low), edges.where((F.col("first") > low) & (F.col("first") <= high)), edges.where(F.col("first") <= high))
-        fresh = match_delta(old, new, both, pattern, g.nodes, skip).select(*keep)
+        added = match_delta(old, new, both, pattern, g.nodes, skip).select(*keep)
         # letters before the slab are read from the history: that is the catch-up
-        fresh = fresh.withColumn("acc", fold.run(word(m, high=F.lit(low + 1))))
-        rows = fresh if live is None else live.unionByName(fresh)
+        added = added.withColumn("acc", fold.run(word(m, high=F.lit(low + 1))))
+        rows = added if live is None else live.unionByName(added)
         rows = rows.withColumn("acc", fold.run(word(m, low=F.lit(low + 1), high=F.lit(high + 1)), F.col("acc")))
         if early:
             rows = rows.where(fold.alive(F.col("acc")))
@@ -140,6 +144,55 @@ def solve_staged(g: TemporalGraph, pattern: Pattern, rule: TimedRule, order: tup
     return out
 
 
+def _joined(base: DataFrame, right: DataFrame, pattern: Pattern, have: list[int], i: int, most: int) -> DataFrame:
+    """``extend``, or a product where y_i shares no node with the partial match: only while it has ``most`` rows or fewer."""
+    nodes = {v for j in have for v in pattern.edges[j - 1]}
+    conditions = [(F.col(f"f{j}") <= F.col(f"f{i}")) if j < i else (F.col(f"f{j}") < F.col(f"f{i}")) for j in have]
+    if nodes & set(pattern.edges[i - 1]):
+        return extend(base, right, pattern, have, i, conditions)
+    size = base.count() * right.count()
+    if size > most:
+        raise ValueError(f"partial matches without a shared node would make {size} rows; use solve_staged or solve_ondemand")
+    return base.join(right, functools.reduce(operator.and_, conditions + extras(pattern, have, i)))
+
+
+def solve_partial(g: TemporalGraph, pattern: Pattern, rule: TimedRule, slabs: int = 2, most: int = 1_000_000) -> DataFrame:
+    """All live partial matches, of every set of edge variables, connected or not, through slabs of time.
+
+    A match is built once, by its edges in order of (first activity, number); its partial match must have a run
+    that lives just before each further edge comes.  Partial matches that aren't connected grow with products, so this
+    is for graphs small enough for ``most``; the planner never chooses it."""
+    edges, fold, n = _prepared(g, rule)
+    if fold.kind == "general":
+        raise ValueError("empty letters move the rule; use solve_full")
+    m = pattern.m
+    sets = [s for k in range(1, m + 1) for s in itertools.combinations(range(1, m + 1), k)]
+    live: dict[tuple[int, ...], DataFrame] = {}
+    low = 0
+    for high in slab_plan(edges, slabs):
+        new = fresh(edges, low, high)
+        made: dict[tuple[int, ...], DataFrame] = {}
+        for have in sets:
+            ways = []
+            for i in have:  # the latest edge
+                right, rest = side(new, pattern, i, g.nodes), tuple(j for j in have if j != i)
+                if not rest:
+                    ways.append(right.withColumn("acc", fold.start()))
+                for base in (live.get(rest), made.get(rest)):
+                    if base is not None:
+                        rows = _joined(base, right, pattern, list(rest), i, most)
+                        ways.append(rows.where(fold.alive(fold.run(word(m, low=F.lit(low + 1), high=F.col(f"f{i}"), variables=rest), F.col("acc")))))
+            made[have] = functools.reduce(DataFrame.unionByName, ways)
+        for have in sets:
+            rows = made[have] if have not in live else live[have].unionByName(made[have])
+            rows = rows.withColumn("acc", fold.run(word(m, low=F.lit(low + 1), high=F.lit(high + 1), variables=have), F.col("acc")))
+            made[have] = settle(rows.where(fold.alive(F.col("acc"))), "partial")
+        live, low = made, high
+    if not live:
+        return solve_full(g, pattern, rule)
+    return live[sets[-1]].where(fold.accepted(F.col("acc"), n)).select(result_columns(pattern))
+
+
 def run_dataflow(g: TemporalGraph, pattern: Pattern, rule: TimedRule, every: int = 8) -> DataFrame:
     """The rule as a join per timepoint: states and clocks as rows, joined with the moves of their letter.
     The number of jobs grows with the domain; kept as the reference form for small ones."""

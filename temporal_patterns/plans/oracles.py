@@ -35,6 +35,8 @@ SHAPES = {
     "cycle2": (["a.src", "a.dst"], "edg a JOIN edg b ON a.dst = b.src AND b.dst = a.src", 2),
     "cycle3": (["a.src", "a.dst", "b.dst"], "edg a JOIN edg b ON a.dst = b.src JOIN edg c ON b.dst = c.src AND c.dst = a.src", 3),
     "cycle4": (["a.src", "a.dst", "b.dst", "c.dst"], "edg a JOIN edg b ON a.dst = b.src JOIN edg c ON b.dst = c.src JOIN edg d ON c.dst = d.src AND d.dst = a.src", 4),
+    "path4": (["a.src", "a.dst", "b.dst", "c.dst", "d.dst"], "edg a JOIN edg b ON a.dst = b.src JOIN edg c ON b.dst = c.src JOIN edg d ON c.dst = d.src", 4),
+    "out_star3": (["a.src", "a.dst", "b.dst", "c.dst"], "edg a JOIN edg b ON a.src = b.src AND a.eid < b.eid JOIN edg c ON a.src = c.src AND b.eid < c.eid", 3),
     "out_star2": (["a.src", "a.dst", "b.dst"], "edg a JOIN edg b ON a.src = b.src AND a.eid < b.eid", 2),
     "in_star2": (["a.dst", "a.src", "b.src"], "edg a JOIN edg b ON a.dst = b.dst AND a.eid < b.eid", 2),
 }
@@ -73,6 +75,7 @@ def accepted_ctes(activity: str, shape: str, rule: str, argument: int | None = N
         "TA_5": "ts1 = ts2",
         "TA_6": "len(list_intersect(ts1, ts2)) = 0",
         "TA_8": "len(list_intersect(ts1, ts2)) = len(ts1)",
+        "TA_8r": "len(list_intersect(ts1, ts2)) = len(ts2)",
         "all": "true",
     }
     if rule in plain:
@@ -105,7 +108,10 @@ def coarse(activity: str, width: int) -> str:
     return f"SELECT DISTINCT src, dst, (t - 1) // {width} + 1 AS t FROM ({activity})"
 
 
+def mixed(a: str, b: str, s: int) -> str:
+    return f"((({a} * 7919 + {b} * 104729 + {s * 1299709}) % 1000003 * 31337) % 1000003 % 1000)"
+
+
 def complete(n: int, snapshots: int, density: float, temporal: float = 0.5) -> str:
-    mix = lambda a, b, s: f"((({a} * 7919 + {b} * 104729 + {s * 1299709}) % 1000003 * 31337) % 1000003 % 1000)"
     pairs = f"SELECT i % {n} AS src, i // {n} AS dst FROM range({n * n}) r(i)"
-    return f"SELECT src, dst, t FROM ({pairs}), range(1, {snapshots + 1}) s(t) WHERE src <> dst AND {mix('src', 'dst', 1)} < {int(density * 1000)} AND {mix(f'(src * {n} + dst)', 't', 2)} < {int(temporal * 1000)}"
+    return f"SELECT src, dst, t FROM ({pairs}), range(1, {snapshots + 1}) s(t) WHERE src <> dst AND {mixed('src', 'dst', 1)} < {int(density * 1000)} AND {mixed(f'(src * {n} + dst)', 't', 2)} < {int(temporal * 1000)}"

@@ -14,7 +14,7 @@ from ..operators import matching, relational, runners, strategies
 from ..sources import graphs as gr
 from ..sources.storage import scratch
 from ..streaming.online import OnlineMatcher, drain
-from . import oracles as sql
+from . import metrics, oracles as sql
 from .planner import find
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -27,6 +27,8 @@ PATTERNS = {f"{n}{m}": getattr(pt, n)(m) for n in ("path", "cycle", "in_star", "
 def rule_of(label: str, m: int) -> TimedRule:
     if m > 2:
         return {"TA_0": lib.round_robin, "TA_3": lib.first_strictly_before, "TA_4": lib.first_in_order}[label](m)
+    if label == "TA_8r":
+        return lib.contained(2, 1)
     return lib.NINE["TA_1" if label == "TA_0" else label]
 
 
@@ -38,6 +40,8 @@ def answer(spark: SparkSession, sf_dir: str, graph: str, shape: str, label: str,
     g, pattern = gr.GRAPHS[graph](spark, sf_dir), PATTERNS[shape]
     if strategy == "relational":
         return ends(relational.solve(g, pattern, rule_of(label, pattern.m)), pattern)
+    if strategy == "partial":
+        return ends(strategies.solve_partial(g, pattern, rule_of(label, pattern.m)), pattern)
     return ends(find(g, pattern, rule_of(label, pattern.m), strategy), pattern)
 
 
@@ -87,6 +91,39 @@ for _s in ("path3", "cycle3", "cycle4"):  # DuckDB is too slow for the twins of
 _add("handoff", "cycle3", "TA_3", "auto")
 
 
+# three strategies (and, where it has a form, the relational one) side by side on one question
+_THREE = ("full", "ondemand", "staged")
+for _g, _s, _labels in (("rivalry", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "cycle2", ("TA_1",)), ("relay", "cycle2", ("TA_1",)), ("rivalry", "path3", ("TA_0",)), ("rivalry", "cycle3", ("TA_0",)), ("visit", "out_star2", ("TA_1",)), ("visit", "in_star2", ("TA_1",)), ("purchase", "out_star2", ("TA_1",)), ("rivalry", "in_star2", ("TA_7",))):
+    for _label in _labels:
+        for _w in _THREE:
+            _add(_g, _s, _label, _w)
+for _s in ("path3", "cycle3"):
+    _add("rivalry", _s, "TA_0", "relational")
+_add("handoff", "path2", "TA_2", "relational")
+_add("handoff", "path2", "TA_8r", "auto")
+_add("rivalry", "in_star2", "TA_7", "relational")
+for _w in _THREE:  # DuckDB is too slow for twins of whole three-stars in turns
+    _add("visit", "out_star3", "TA_0", _w, False)
+_add("visit", "out_star3", "TA_3", "staged")
+for _s, _label in (("path2", "TA_1"), ("path2", "TA_6"), ("cycle2", "TA_4")):
+    _add("rivalry_year", _s, _label, "partial")
+
+
+# ---- switches of the strategies, one at a time ----------------------------------------------------------
+
+_SWITCHES = {
+    "full_early": lambda g, p, r: strategies.solve_full(g, p, r, early=True),
+    "full_no_early": lambda g, p, r: strategies.solve_full(g, p, r, early=False),
+    "ondemand_no_early": lambda g, p, r: strategies.solve_ondemand(g, p, r, early=False),
+    "ondemand_all_terms": lambda g, p, r: strategies.solve_ondemand(g, p, r, prune_terms=False),
+    "ondemand_one_slab": lambda g, p, r: strategies.solve_ondemand(g, p, r, slabs=1),
+    "staged_unshared": lambda g, p, r: strategies.solve_staged(g, p, r, share=False),
+}
+for _n, _f in _SWITCHES.items():
+    QUERIES[f"switch_{_n}"] = lambda s, d, f=_f: ends(f(gr.handoff(s, d), pt.cycle(3), lib.round_robin(3)), pt.cycle(3))
+    ORACLES[f"switch_{_n}"] = sql.accepted_sql("handoff", "cycle3", "TA_1")
+
+
 # ---- runners, over one question -------------------------------------------------------------------
 
 
@@ -134,7 +171,7 @@ def _sweep(name: str, column: str, values: tuple[int, ...], run: Callable, one_s
     ORACLES[name] = " UNION ALL ".join(f"SELECT CAST({v} AS BIGINT) AS {column}, {one_sql(v)} AS accepted" for v in values)
 
 
-BOUNDS, WIDTHS, DOUBLINGS, CLOCKS, DENSITIES = (0, 1, 2, 4, 8, 16, 1024), (24, 48, 120, 360), (0, 2, 4, 6), (0, 2, 4, 8), (100, 400, 700, 1000)
+BOUNDS, WIDTHS, DOUBLINGS, CLOCKS, DENSITIES = (0, 1, 2, 4, 8, 16, 1024), (1, 4, 12, 24, 48, 120, 360), (0, 2, 4, 6), (0, 2, 4, 8), (100, 400, 700, 1000)
 _COHORT = sql.ACTIVITY["handoff_cohort"]
 _sweep("sweep_bound", "bound", BOUNDS, lambda s, d, v: strategies.solve_staged(gr.handoff_cohort(s, d), pt.path(2), lib.timed_alternation(v)), lambda v: sql.count_sql(_COHORT, "path2", "TA_2", v))
 _sweep("sweep_bound_handoff", "bound", BOUNDS, lambda s, d, v: strategies.solve_staged(gr.handoff(s, d), pt.path(2), lib.timed_alternation(v)), lambda v: sql.count_sql(sql.ACTIVITY["handoff"], "path2", "TA_2", v))
@@ -143,8 +180,11 @@ _sweep("sweep_states", "doublings", DOUBLINGS, lambda s, d, v: strategies.solve_
 _sweep("sweep_states_handoff", "doublings", DOUBLINGS, lambda s, d, v: strategies.solve_full(gr.handoff(s, d), pt.cycle(3), unfold(lib.round_robin(3), v)), lambda v: sql.count_sql(sql.ACTIVITY["handoff"], "cycle3", "TA_1"))
 _sweep("sweep_clocks", "clocks", CLOCKS, lambda s, d, v: strategies.solve_full(gr.handoff_cohort(s, d), pt.cycle(3), with_idle_clocks(lib.round_robin(3), v)), lambda v: sql.count_sql(_COHORT, "cycle3", "TA_1"))
 _sweep("sweep_clocks_handoff", "clocks", CLOCKS, lambda s, d, v: strategies.solve_full(gr.handoff(s, d), pt.cycle(3), with_idle_clocks(lib.round_robin(3), v)), lambda v: sql.count_sql(sql.ACTIVITY["handoff"], "cycle3", "TA_1"))
-for _s in ("path3", "cycle3"):
-    _sweep(f"sweep_density_{_s}", "density", DENSITIES, lambda s, d, v, p=_s: strategies.solve_staged(gr.complete_sample(s, 20, 25, v / 1000), PATTERNS[p], lib.first_in_order(3)), lambda v, p=_s: sql.count_sql(sql.complete(20, 25, v / 1000), p, "TA_4"))
+for _s, _n in (("path3", 20), ("cycle3", 20), ("path4", 10), ("cycle4", 10)):
+    _sweep(f"sweep_density_{_s}", "density", DENSITIES, lambda s, d, v, p=PATTERNS[_s], n=_n: strategies.solve_staged(gr.complete_sample(s, n, 25, v / 1000), p, lib.first_in_order(p.m)), lambda v, p=_s, n=_n: sql.count_sql(sql.complete(n, 25, v / 1000), p, "TA_4"))
+# states of the rule of four edges up to 256, and clocks that nothing reads, on a generated graph of 50 nodes
+_sweep("sweep_states_cycle4", "doublings", (0, 2, 4, 6), lambda s, d, v: strategies.solve_full(gr.complete_sample(s, 50, 25, 0.1, 0.05), pt.cycle(4), unfold(lib.round_robin(4), v)), lambda v: sql.count_sql(sql.complete(50, 25, 0.1, 0.05), "cycle4", "TA_1"))
+_sweep("sweep_clocks_cycle4", "clocks", CLOCKS, lambda s, d, v: strategies.solve_full(gr.complete_sample(s, 50, 25, 0.1, 0.05), pt.cycle(4), with_idle_clocks(lib.round_robin(4), v)), lambda v: sql.count_sql(sql.complete(50, 25, 0.1, 0.05), "cycle4", "TA_1"))
 
 
 # ---- counts, growth, streaming, and plain operators around the methods --------------------------------
@@ -185,6 +225,41 @@ QUERIES["stream_handoff_path2_TA_1"] = streamed
 ORACLES["stream_handoff_path2_TA_1"] = sql.accepted_sql("handoff", "path2", "TA_1")
 
 
+# ---- containers, partial matches and measures ---------------------------------------------------------------
+
+
+def _partials(maximal: bool) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = gr.handoff(spark, sf_dir)
+        return matching.partials(gr.packed(g), pt.path(2), g.nodes, maximal).groupBy("have").agg(F.count("*").alias("n"))
+
+    return query
+
+
+_HANDOFF = sql.graph_ctes(sql.ACTIVITY["handoff"])
+_PAIR = f"SELECT '1,2' AS have, count(*) AS n FROM {sql.SHAPES['path2'][1]}"
+QUERIES["partials_handoff_path2"], QUERIES["maximal_partials_handoff_path2"] = _partials(False), _partials(True)
+ORACLES["partials_handoff_path2"] = f"{_HANDOFF} SELECT '1' AS have, count(*) AS n FROM edg UNION ALL SELECT '2', count(*) FROM edg UNION ALL {_PAIR}"
+ORACLES["maximal_partials_handoff_path2"] = f"SELECT * FROM ({_HANDOFF} SELECT '1' AS have, count(*) AS n FROM edg WHERE dst NOT IN (SELECT src FROM edg) UNION ALL SELECT '2', count(*) FROM edg WHERE src NOT IN (SELECT dst FROM edg) UNION ALL {_PAIR}) WHERE n > 0"
+
+QUERIES["operator_snapshot"] = lambda s, d: gr.snapshot(gr.handoff(s, d), 10).select("src", "dst")
+ORACLES["operator_snapshot"] = f"SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM ({sql.ACTIVITY['handoff']}) WHERE t = 10"
+QUERIES["operator_new_edges"] = lambda s, d: gr.fresh(gr.edge_table(gr.handoff(s, d)), 9, 10).select("src", "dst")
+ORACLES["operator_new_edges"] = f"{_HANDOFF} SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM edg WHERE f = 10"
+QUERIES["operator_snapshots_10"] = lambda s, d: gr.edge_table(gr.to_snapshots(gr.handoff(s, d), 10)).groupBy("first").agg(F.count("*").alias("edges"), F.sum("n_active").alias("active"))
+ORACLES["operator_snapshots_10"] = f"WITH act AS ({sql.ACTIVITY['handoff']}), wide AS (SELECT DISTINCT src, dst, (t - 1) // (SELECT (max(t) + 9) // 10 FROM act) + 1 AS t FROM act), e AS (SELECT min(t) AS first, count(*) AS n FROM wide GROUP BY src, dst) SELECT CAST(first AS BIGINT) AS first, count(*) AS edges, CAST(sum(n) AS BIGINT) AS active FROM e GROUP BY first"
+QUERIES["operator_sample"] = lambda s, d: gr.edge_table(gr.sample_edges(gr.handoff(s, d), 0.25)).select("src", "dst", "n_active")
+ORACLES["operator_sample"] = f"{_HANDOFF} SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst, CAST(len(ts) AS BIGINT) AS n_active FROM edg WHERE {sql.mixed('src', 'dst', 1)} < 250"
+QUERIES["operator_min_stay"] = lambda s, d: gr.edge_table(gr.visit(s, d, 600)).select("src", "dst", "first", "n_active")
+ORACLES["operator_min_stay"] = "SELECT src, dst, CAST(min(t) AS BIGINT) AS first, count(DISTINCT t) AS n_active FROM (SELECT CAST(user_id AS BIGINT) AS src, CAST(json_extract(props, '$.k') AS BIGINT) + 1000000 AS dst, date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) * 2 + hour(ts) // 12 + 1 AS t, floor(epoch(lead(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id))) - floor(epoch(ts)) AS stay FROM events) WHERE coalesce(stay, 600) >= 600 GROUP BY src, dst"
+QUERIES["operator_densities"] = lambda s, d: gr.describe(gr.handoff(s, d)).select(F.round(F.col("structural_density") * 1e6).cast("long").alias("structural_ppm"), F.round(F.col("temporal_density") * 1e6).cast("long").alias("temporal_ppm"))
+ORACLES["operator_densities"] = f"SELECT CAST(round(edges / (nodes * (nodes - 1)) * 1e6) AS BIGINT) AS structural_ppm, CAST(round(active / (edges * snapshots) * 1e6) AS BIGINT) AS temporal_ppm FROM ({sql.stats_sql('handoff')})"
+QUERIES["operator_violations"] = lambda s, d: gr.validate(gr.TemporalGraph((g := gr.handoff(s, d)).nodes.where("vid > 10"), g.edges, g.active.where("t > 2")))
+ORACLES["operator_violations"] = f"{_HANDOFF} SELECT 'dangling end' AS violation, count(*) AS n FROM (SELECT unnest([src, dst]) AS v FROM edg) WHERE v <= 10 UNION ALL SELECT 'never active', count(*) FROM edg WHERE l <= 2"
+QUERIES["measure_selectivity"] = lambda s, d: metrics.counts(gr.handoff(s, d), pt.path(2), lib.round_robin(2)).select("matches", "accepted", "letters")
+ORACLES["measure_selectivity"] = f"{sql.accepted_ctes(sql.ACTIVITY['handoff'], 'path2', 'TA_1')} SELECT (SELECT count(*) FROM pairs) AS matches, (SELECT count(*) FROM accepted) AS accepted, (SELECT count(*) FROM letters) AS letters"
+
+
 def latest_before(spark: SparkSession, sf_dir: str) -> DataFrame:
     """As-of: for each purchase of a user, the time of the latest view before it, by one window."""
     e = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", "event_id", "ts", "event_type")

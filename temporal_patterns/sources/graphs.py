@@ -78,6 +78,12 @@ def coarsen(g: TemporalGraph, width: int) -> TemporalGraph:
     return TemporalGraph(g.nodes, g.edges, g.active.select("eid", t.alias("t")).distinct())
 
 
+def to_snapshots(g: TemporalGraph, count: int) -> TemporalGraph:
+    """The same activity in ``count`` snapshots at most, of equal width."""
+    last = g.active.agg(F.max("t")).first()[0]
+    return g if last is None else coarsen(g, max(1, -(-last // count)))
+
+
 def sample_edges(g: TemporalGraph, density: float, seed: int = 1) -> TemporalGraph:
     """A share of the edges, by an integer mix of their ends that any engine can repeat."""
     kept = g.edges.where(mixed("src", "dst", seed) < int(density * 1000))

@@ -36,7 +36,7 @@ def brute(edges, pattern, rule):
 
 CASES = [
     (pt.path(2), lib.round_robin(2)), (pt.path(2), lib.together_for(1)), (pt.path(2), lib.timed_alternation(2)), (pt.cycle(3), lib.first_in_order(3)),
-    (pt.out_star(2), lib.never_together()), (pt.path(3), lib.first_in_order(3)), (pt.cycle(2), lib.exists_before()), (pt.cycle(3), lib.journey(3)),
+    (pt.out_star(2), lib.never_together()), (pt.path(3), lib.first_in_order(3)), (pt.cycle(2), lib.exists_before()), (pt.cycle(3), lib.journey(3)), (pt.path(3), lib.round_robin(3)),
 ]
 
 
@@ -54,6 +54,10 @@ def test_strategies_agree_with_brute_force(spark, case):
         assert rows(strategies.solve_staged(g, pattern, rule).select(names)) == want
         assert rows(strategies.solve_staged(g, pattern, rule, share=False).select(names)) == want
     assert rows(planner.find(g, pattern, rule).select(names)) == want
+    assert rows(strategies.solve_full(g, pattern, rule, early=True).select(names)) == want
+    assert rows(strategies.solve_partial(g, pattern, rule).select(names)) == want
+    if relational.form(rule) is not None:
+        assert rows(relational.solve(g, pattern, rule).select(names)) == want
     if case < 2:
         assert rows(strategies.run_dataflow(g, pattern, rule).select(names)) == want
 
