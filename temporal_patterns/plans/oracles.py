@@ -37,6 +37,7 @@ SHAPES = {
     "cycle4": (["a.src", "a.dst", "b.dst", "c.dst"], "edg a JOIN edg b ON a.dst = b.src JOIN edg c ON b.dst = c.src JOIN edg d ON c.dst = d.src AND d.dst = a.src", 4),
     "path4": (["a.src", "a.dst", "b.dst", "c.dst", "d.dst"], "edg a JOIN edg b ON a.dst = b.src JOIN edg c ON b.dst = c.src JOIN edg d ON c.dst = d.src", 4),
     "out_star3": (["a.src", "a.dst", "b.dst", "c.dst"], "edg a JOIN edg b ON a.src = b.src AND a.eid < b.eid JOIN edg c ON a.src = c.src AND b.eid < c.eid", 3),
+    "in_star3": (["a.dst", "a.src", "b.src", "c.src"], "edg a JOIN edg b ON a.dst = b.dst AND a.eid < b.eid JOIN edg c ON a.dst = c.dst AND b.eid < c.eid", 3),
     "out_star2": (["a.src", "a.dst", "b.dst"], "edg a JOIN edg b ON a.src = b.src AND a.eid < b.eid", 2),
     "in_star2": (["a.dst", "a.src", "b.src"], "edg a JOIN edg b ON a.dst = b.dst AND a.eid < b.eid", 2),
 }

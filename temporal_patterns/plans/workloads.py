@@ -93,18 +93,15 @@ _add("handoff", "cycle3", "TA_3", "auto")
 
 # three strategies (and, where it has a form, the relational one) side by side on one question
 _THREE = ("full", "ondemand", "staged")
-for _g, _s, _labels in (("rivalry", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "cycle2", ("TA_1",)), ("relay", "cycle2", ("TA_1",)), ("rivalry", "path3", ("TA_0",)), ("rivalry", "cycle3", ("TA_0",)), ("visit", "out_star2", ("TA_1",)), ("visit", "in_star2", ("TA_1",)), ("purchase", "out_star2", ("TA_1",)), ("rivalry", "in_star2", ("TA_7",))):
+for _g, _s, _labels in (("rivalry", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "path2", ("TA_1", "TA_2", "TA_3")), ("handoff", "cycle2", ("TA_1",)), ("relay", "cycle2", ("TA_1",)), ("rivalry_year", "path3", ("TA_0",)), ("rivalry_year", "cycle3", ("TA_0",)), ("rivalry_year", "out_star3", ("TA_0",)), ("rivalry_year", "in_star3", ("TA_0",)), ("visit", "out_star2", ("TA_1",)), ("visit", "in_star2", ("TA_1",)), ("purchase", "out_star2", ("TA_1",)), ("rivalry", "in_star2", ("TA_7",))):
     for _label in _labels:
         for _w in _THREE:
             _add(_g, _s, _label, _w)
 for _s in ("path3", "cycle3"):
-    _add("rivalry", _s, "TA_0", "relational")
+    _add("rivalry_year", _s, "TA_0", "relational")
 _add("handoff", "path2", "TA_2", "relational")
 _add("handoff", "path2", "TA_8r", "auto")
 _add("rivalry", "in_star2", "TA_7", "relational")
-for _w in _THREE:  # DuckDB is too slow for twins of whole three-stars in turns
-    _add("visit", "out_star3", "TA_0", _w, False)
-_add("visit", "out_star3", "TA_3", "staged")
 for _s, _label in (("path2", "TA_1"), ("path2", "TA_6"), ("cycle2", "TA_4")):
     _add("rivalry_year", _s, _label, "partial")
 

@@ -6,6 +6,7 @@ import random
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__
 from temporal_patterns.functions import library as lib, pattern as pt
@@ -67,6 +68,20 @@ def test_a_partial_match_that_stops_being_maximal_is_kept(spark):
     assert strategies.solve_staged(g, pt.path(2), lib.first_in_order(2)).count() == 2
 
 
+def test_products_of_partial_matches_are_bounded(spark):
+    g = gr.from_activity(spark.createDataFrame([(a, a + 1, a) for a in range(1, 7)], "src long, dst long, t long"))
+    assert strategies.solve_partial(g, pt.path(3), lib.first_in_order(3), slabs=1).count() == 4
+    with pytest.raises(ValueError, match="partial matches"):
+        strategies.solve_partial(g, pt.path(3), lib.first_in_order(3), slabs=1, most=3)
+    sets = {r.have: r["count"] for r in matching.partials(gr.packed(g), pt.path(3)).groupBy("have").count().collect()}
+    assert sets == {"1": 6, "2": 6, "3": 6, "1,2": 5, "2,3": 5, "1,2,3": 4}
+    word = [(1, 0, 1), (2, 0, 2), (3, 0, 2)]
+    fold = runners.Fold(lib.round_robin(2))
+    df = spark.createDataFrame([(word,)], "w array<struct<t:bigint,r:bigint,a:int>>")
+    got = df.select(*(runners.configurations_at(F.col("w"), fold, F.lit(t))["q"] for t in (0, 1, 2, 3))).first()
+    assert tuple(got) == (1, 2, 1, 0)
+
+
 def test_running_example(spark):
     g = gr.office_example(spark)
     assert gr.validate(g).count() == 0

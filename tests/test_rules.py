@@ -82,6 +82,8 @@ def test_analysis():
     assert analysis.must_not_precede(lib.never_together()) == set()
     assert analysis.safe_states(lib.exists_before()) == {2} and analysis.safe_states(lib.round_robin(2)) == set()
     assert analysis.find_order(pt.path(3), lib.round_robin(3)) == (1, 2, 3)
+    assert analysis.runs_can_die(lib.round_robin(2)) and analysis.runs_can_die(lib.contained()) and not analysis.runs_can_die(lib.exists_before())
+    assert analysis.dead_states(unfold(lib.round_robin(4), 6)) == set()
     assert analysis.find_order(pt.path(2), lib.exists_before()) is None
 
 
