@@ -9,16 +9,19 @@ order, so it goes to a table of its own.
 
 from __future__ import annotations
 
+import functools
+import operator
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.automaton import TimedRule
 from ..functions.pattern import Pattern
 from ..operators.matching import match_delta
-from ..operators.runners import Fold, word
-from ..operators.strategies import result_columns
+from ..operators.runners import Fold, once, word
+from ..operators.strategies import first_order, result_columns
 from ..sources.graphs import from_activity, packed
-from ..sources.storage import scratch
+from ..sources.storage import scratch, settle
 
 
 class OnlineMatcher:
@@ -53,16 +56,21 @@ class OnlineMatcher:
         self.ends[batch_id] = high or low
         m, names = self.pattern.m, result_columns(self.pattern)
         keys = [*names, *(f"f{i}" for i in range(1, m + 1))]
-        both = packed(from_activity(self._read("active", [*past, batch_id])))
+        both = settle(packed(from_activity(self._read("active", [*past, batch_id]))), "packed")
         old, new = both.where(F.col("first") <= low), both.where(F.col("first") > low)
-        fresh = match_delta(old, new, both, self.pattern)
+        fresh = match_delta(old, new, both, self.pattern, predicates=first_order(self.fold.rule))
         until = F.lit(self.ends[batch_id] + 1)
-        out = fresh.withColumn("acc", self.fold.run(word(m, high=until))).select(*keys, "acc")
+        acc = self.fold.run(word(m, high=until))
+        if self.fold.bits:
+            acc = F.when(once(m), self.fold.run_once()).otherwise(acc)
+        out = fresh.withColumn("acc", acc).select(*keys, "acc")
         if past:
             live = self.spark.read.parquet(f"{self.path}/live/{past[-1]}")
             for i in range(1, m + 1):
-                live = live.join(both.select(F.col("eid").alias(f"e{i}"), F.col("ts").alias(f"ts{i}")), f"e{i}")
-            live = live.withColumn("acc", self.fold.run(word(m, low=F.lit(low + 1), high=until), F.col("acc")))
+                live = live.join(both.where(F.col("last") > low).select(F.col("eid").alias(f"e{i}"), F.col("ts").alias(f"ts{i}")), f"e{i}", "left")
+                live = live.withColumn(f"ts{i}", F.coalesce(f"ts{i}", F.array().cast(both.schema["ts"].dataType)))  # no activity in this slab
+            idle = functools.reduce(operator.and_, [F.size(f"ts{i}") == 0 for i in range(1, m + 1)])
+            live = live.withColumn("acc", F.when(idle, F.col("acc")).otherwise(self.fold.run(word(m, low=F.lit(low + 1), high=until), F.col("acc"))))
             out = out.unionByName(live.select(*keys, "acc"))
         out.where(self.fold.alive(F.col("acc"))).write.mode("overwrite").parquet(f"{self.path}/live/{batch_id}")
         # written last: a slab counts as done once its live table is whole
