@@ -2,6 +2,7 @@
 
 import itertools
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
@@ -9,7 +10,7 @@ import __spark_entry__
 from temporal_patterns.functions import analysis, library as lib, pattern as pt
 from temporal_patterns.functions.automaton import unfold
 from temporal_patterns.operators import matching, runners, strategies
-from temporal_patterns.plans import workloads
+from temporal_patterns.plans import oracles, workloads
 from temporal_patterns.sources import graphs as gr
 
 
@@ -71,3 +72,30 @@ def test_sweeps_are_on_given_tables(spark, sf, name, monkeypatch):
     monkeypatch.setattr(gr, "complete_sample", None)
     rows = __spark_entry__.queries()[name](spark, sf("0.001"))
     assert "Range" not in plan(rows) and rows.agg(F.sum("accepted")).first()[0] > 0
+
+
+@pytest.mark.parametrize("name", ["sweep_density_cycle3", "sweep_density_cycle4", "sweep_density_path3", "sweep_density_path4"])
+def test_density_sweeps_read_the_tables_themselves(spark, sf, name, monkeypatch):
+    monkeypatch.setattr(workloads, "stored", None)
+    text = plan(__spark_entry__.queries()[name](spark, sf("0.001")))
+    assert "l_extendedprice" in text and "o_orderdate" in text
+
+
+def test_the_trade_graph_joins_the_lines_once(spark, tmp_path):
+    con = duckdb.connect()
+    con.execute("create table nations as select i as k, i % 3 as n from range(6) r(i)")
+    day = "case o when 4 then null else timestamp '1995-01-01' + interval (o // 2 * 100) day end"
+    for name, q in {
+        "customer": "select k as c_custkey, cast(case k when 5 then null else n end as int) as c_nationkey from nations",
+        "supplier": "select k as s_suppkey, cast(n as int) as s_nationkey from nations",
+        "orders": f"select o as o_orderkey, o % 6 as o_custkey, {day} as o_orderdate from range(8) r(o)",
+        "lineitem": "select o as l_orderkey, s as l_suppkey, case when o + s = 7 then null else (o * s % 5 - 1) * 1.25 end as l_extendedprice from range(9) r(o), range(6) p(s)",
+    }.items():
+        con.execute(f"copy ({q}) to '{tmp_path}/{name}.parquet' (format parquet)")
+        con.execute(f"create view {name} as select * from '{tmp_path}/{name}.parquet'")
+    for tick in ("rivalry", "rivalry_year"):
+        want = con.execute(f"select distinct * from ({oracles.ACTIVITY[tick]})").fetchall()
+        g = gr.GRAPHS[tick](spark, str(tmp_path))
+        got = g.active.join(g.edges, "eid").select("src", "dst", "t").collect()
+        assert sorted(map(tuple, got), key=str) == sorted(want, key=str) and want
+        assert plan(g.active).count("Relation [l_orderkey") == 1
