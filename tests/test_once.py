@@ -1,6 +1,7 @@
 """What large graphs need: matches decided without words, long cycles in halves, graphs that are made once."""
 
 import itertools
+import random
 
 import duckdb
 import pytest
@@ -99,3 +100,22 @@ def test_the_trade_graph_joins_the_lines_once(spark, tmp_path):
         got = g.active.join(g.edges, "eid").select("src", "dst", "t").collect()
         assert sorted(map(tuple, got), key=str) == sorted(want, key=str) and want
         assert plan(g.active).count("Relation [l_orderkey") == 1
+
+
+def test_ondemand_finds_lasting_matches_from_their_lasting_edges(spark, monkeypatch):
+    rng = random.Random(5)
+    edges = {(a, b): sorted(rng.sample(range(1, 9), rng.randrange(1, 3))) for a in range(1, 7) for b in range(1, 7) if rng.random() < 0.6}
+    g = gr.from_activity(spark.createDataFrame([(*e, t) for e, ts in edges.items() for t in ts], "src long, dst long, t long"))
+    e, low, high = gr.packed(g), 2, 5
+    old, both = e.where(F.col("first") <= low), e.where(F.col("first") <= high)
+    for pattern in (pt.path(3), pt.cycle(4), pt.in_star(2)):
+        names = strategies.result_columns(pattern)
+        last = F.greatest(*(f"l{i}" for i in range(1, pattern.m + 1)))
+        want = matching.match_delta(old, both.where(F.col("first") > low), both, pattern).where(last > high).select(names)
+        got = matching.match_lasting(e, low, high, pattern).select(names)
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and want.count()
+    plans = []
+    monkeypatch.setattr(strategies, "settle", lambda df, label, f=strategies.settle: (plans.append((label, plan(df))), f(df, label))[1])
+    strategies.solve_ondemand(g, pt.path(3), lib.round_robin(3), slabs=2)
+    slab = next(text for label, text in plans if label == "slab")
+    assert any("Filter" in line and "last#" in line and ">" in line for line in slab.splitlines())
