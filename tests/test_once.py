@@ -119,3 +119,19 @@ def test_ondemand_finds_lasting_matches_from_their_lasting_edges(spark, monkeypa
     strategies.solve_ondemand(g, pt.path(3), lib.round_robin(3), slabs=2)
     slab = next(text for label, text in plans if label == "slab")
     assert any("Filter" in line and "last#" in line and ">" in line for line in slab.splitlines())
+
+
+def test_packed_edges_are_made_in_one_pass(spark, sf):
+    for name, table in (("purchase", "l_orderkey"), ("handoff", "event_id"), ("visit", "event_id")):
+        g = gr.GRAPHS[name](spark, sf("0.001"))
+        assert len([x for x in plan(gr.packed(g)).splitlines() if "Relation [" in x and table in x]) == 1
+        apart = gr.packed(gr.TemporalGraph(g.nodes, g.edges, g.active)).select(gr.packed(g).columns)
+        assert sorted(gr.packed(g).collect(), key=str) == sorted(apart.collect(), key=str)
+        assert [(f.name, f.dataType) for f in gr.packed(g).schema] == [(f.name, f.dataType) for f in apart.schema]
+
+
+def test_edges_with_two_labels_keep_their_whole_activity(spark):
+    g = gr.from_activity(spark.createDataFrame([(1, 2, 1, "a"), (1, 2, 2, "b"), (None, 2, 3, None)], "src long, dst long, t long, label string"))
+    assert sorted((r.label, r.first, r.last, r.n_active) for r in gr.packed(g).where("src = 1").collect()) == [("a", 1, 2, 2), ("b", 1, 2, 2)]
+    bare = gr.from_activity(spark.createDataFrame([(1, 2, 1), (None, 2, 3), (2, None, 3)], "src long, dst long, t long"))
+    assert [(r.src, r.dst) for r in gr.packed(bare).collect()] == [(1, 2)]
