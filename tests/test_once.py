@@ -135,3 +135,15 @@ def test_edges_with_two_labels_keep_their_whole_activity(spark):
     assert sorted((r.label, r.first, r.last, r.n_active) for r in gr.packed(g).where("src = 1").collect()) == [("a", 1, 2, 2), ("b", 1, 2, 2)]
     bare = gr.from_activity(spark.createDataFrame([(1, 2, 1), (None, 2, 3), (2, None, 3)], "src long, dst long, t long"))
     assert [(r.src, r.dst) for r in gr.packed(bare).collect()] == [(1, 2)]
+
+
+def test_joins_of_few_edges_keep_their_tasks(spark):
+    g = gr.from_activity(spark.createDataFrame([(a, b, a * b % 7 + 1) for a in range(1, 30) for b in range(40, 44)], "src long, dst long, t long"))
+    e, n = strategies.settle(gr.packed(g), "packed"), int(spark.conf.get("spark.sql.shuffle.partitions"))
+    for limit in ("-1", "10485760"):
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+        try:
+            rows = matching.match(e, pt.in_star(2))
+            assert rows.count() == 4 * 29 * 28 // 2 and rows.rdd.getNumPartitions() == n
+        finally:
+            spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
