@@ -147,3 +147,10 @@ def test_joins_of_few_edges_keep_their_tasks(spark):
             assert rows.count() == 4 * 29 * 28 // 2 and rows.rdd.getNumPartitions() == n
         finally:
             spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_rules_run_on_what_the_comparisons_leave(spark):
+    g = gr.from_activity(spark.createDataFrame([(1, 2, 1), (3, 2, 2), (2, 4, 3)], "src long, dst long, t long"))
+    for pattern, cheap in ((pt.in_star(2), "(e1#"), (pt.path(2), "(f1#")):
+        line = next(x for x in plan(strategies.solve_full(g, pattern, lib.round_robin(2))).splitlines() if "CASE" in x)
+        assert "Join" in line and line.index(cheap) < line.index("CASE")
