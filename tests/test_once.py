@@ -154,3 +154,19 @@ def test_rules_run_on_what_the_comparisons_leave(spark):
     for pattern, cheap in ((pt.in_star(2), "(e1#"), (pt.path(2), "(f1#")):
         line = next(x for x in plan(strategies.solve_full(g, pattern, lib.round_robin(2))).splitlines() if "CASE" in x)
         assert "Join" in line and line.index(cheap) < line.index("CASE")
+
+
+def test_staged_runs_the_rule_once_for_edges_of_equal_activity(spark):
+    rng = random.Random(3)
+    edges = {(a, b): sorted(rng.sample(range(1, 4), rng.randrange(1, 3))) for a in range(1, 15) for b in range(1, 6) if a != b}
+    g = gr.from_activity(spark.createDataFrame([(*e, t) for e, ts in edges.items() for t in ts], "src long, dst long, t long"))
+    whole = gr.packed(g)
+    for pattern, rule in ((pt.in_star(2), lib.round_robin(2)), (pt.Pattern.of("(a)-[]->(b), (b)-[]->(c)", distinct_edges=True).bind(c=3), lib.together_for(2, "points"))):
+        got, want = (sorted(map(tuple, solve(g, pattern, rule).collect())) for solve in (strategies.solve_staged, strategies.solve_full))
+        assert got == want and want, (pattern, rule)
+        one = matching.alike(matching.side(whole, pattern, 1), pattern, 1)
+        assert one.count() < one.agg(F.sum(F.size("same1"))).first()[0] == matching.side(whole, pattern, 1).count()
+    lines = plan(strategies.solve_staged(g, pt.in_star(2), lib.round_robin(2))).splitlines()
+    join = next(k for k, x in enumerate(lines) if "Join" in x)
+    assert "CASE" in lines[join] and "Generate" in "".join(lines[:join]) and "e1#" not in lines[join]
+    assert matching.loose(pt.cycle(2)) is None and matching.loose(pt.path(3)) is None
