@@ -2,6 +2,7 @@
 
 import itertools
 import random
+import re
 
 import duckdb
 import pytest
@@ -170,3 +171,15 @@ def test_staged_runs_the_rule_once_for_edges_of_equal_activity(spark):
     join = next(k for k, x in enumerate(lines) if "Join" in x)
     assert "CASE" in lines[join] and "Generate" in "".join(lines[:join]) and "e1#" not in lines[join]
     assert matching.loose(pt.cycle(2)) is None and matching.loose(pt.path(3)) is None
+
+
+def test_partial_matches_of_edges_active_once_make_no_word(spark):
+    times = [(a, b, c) for a, b, c in itertools.product(range(1, 4), repeat=3) if a <= b <= c]
+    names = ", ".join(f"f{i} long, l{i} long, ts{i} array<struct<t:long, r:long>>" for i in (1, 3, 2))
+    df = spark.createDataFrame([[x for t in ts for x in (t, t, [(t, 0)])] for ts in times], names)
+    got = df.select(F.array(runners.latest_letter((1, 3, 2))).alias("a"), runners.word(3, low=F.col("f2"), variables=(1, 3, 2)).alias("b")).collect()
+    assert len(got) == 10 and all(x.a == x.b for x in got)
+    g = gr.from_activity(spark.createDataFrame([(1, 2, 1), (2, 3, 2), (3, 4, 3)], "src long, dst long, t long"))
+    for name, pattern in (("handoff_path3_TA_0_staged", pt.path(3)), ("handoff_cycle4_TA_0_staged", pt.cycle(4))):
+        text = plan(strategies.solve_staged(g, pattern, lib.round_robin(pattern.m)))
+        assert re.search(r"CASE WHEN \(\(f1#\w+ = l1#\w+\) AND \(f2#\w+ = l2#\w+\)\) THEN array", text), name
