@@ -62,7 +62,7 @@ class OnlineMatcher:
         until = F.lit(self.ends[batch_id] + 1)
         acc = self.fold.run(word(m, high=until))
         if self.fold.bits:
-            acc = F.when(once(m), self.fold.run_once()).otherwise(acc)
+            acc = F.when(once(range(1, m + 1)), self.fold.run_once()).otherwise(acc)
         out = fresh.withColumn("acc", acc).select(*keys, "acc")
         if past:
             live = self.spark.read.parquet(f"{self.path}/live/{past[-1]}")

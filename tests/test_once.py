@@ -14,6 +14,7 @@ from temporal_patterns.functions.automaton import unfold
 from temporal_patterns.operators import matching, runners, strategies
 from temporal_patterns.plans import oracles, workloads
 from temporal_patterns.sources import graphs as gr
+from temporal_patterns.streaming.online import OnlineMatcher
 
 
 def plan(df):
@@ -183,3 +184,13 @@ def test_partial_matches_of_edges_active_once_make_no_word(spark):
     for name, pattern in (("handoff_path3_TA_0_staged", pt.path(3)), ("handoff_cycle4_TA_0_staged", pt.cycle(4))):
         text = plan(strategies.solve_staged(g, pattern, lib.round_robin(pattern.m)))
         assert re.search(r"CASE WHEN \(\(f1#\w+ = l1#\w+\) AND \(f2#\w+ = l2#\w+\)\) THEN array", text), name
+
+
+def test_a_stream_decides_edges_active_once_like_the_rule(spark, tmp_path):
+    matcher = OnlineMatcher(spark, pt.path(3), lib.round_robin(3), str(tmp_path))
+    for k, batch in enumerate(([(1, 2, 1), (2, 3, 2)], [(3, 4, 3), (4, 5, 2), (1, 2, 4), (4, 6, 4)])):
+        matcher.batch(spark.createDataFrame(batch, "src long, dst long, t long"), k)
+    seen = [(1, 2, 1), (2, 3, 2), (3, 4, 3), (1, 2, 4), (4, 6, 4)]  # (4, 5, 2) came late
+    whole = gr.from_activity(spark.createDataFrame(seen, "src long, dst long, t long"))
+    got, want = (sorted(map(tuple, df.collect())) for df in (matcher.results(), strategies.solve_full(whole, pt.path(3), lib.round_robin(3))))
+    assert got == want and [r[:4] for r in got] == [(1, 2, 3, 4), (2, 3, 4, 6)]
