@@ -194,3 +194,24 @@ def test_a_stream_decides_edges_active_once_like_the_rule(spark, tmp_path):
     whole = gr.from_activity(spark.createDataFrame(seen, "src long, dst long, t long"))
     got, want = (sorted(map(tuple, df.collect())) for df in (matcher.results(), strategies.solve_full(whole, pt.path(3), lib.round_robin(3))))
     assert got == want and [r[:4] for r in got] == [(1, 2, 3, 4), (2, 3, 4, 6)]
+
+
+def test_ondemand_makes_the_halves_of_a_cycle_once_and_without_single_times(spark, monkeypatch):
+    rng = random.Random(7)
+    edges = {(a, b): sorted(rng.sample(range(1, 9), rng.randrange(1, 3))) for a in range(1, 7) for b in range(1, 7) if a != b and rng.random() < 0.7}
+    g = gr.from_activity(spark.createDataFrame([(*e, t) for e, ts in edges.items() for t in ts], "src long, dst long, t long"))
+    e, low, high, pattern, rule = gr.packed(g), 2, 5, pt.cycle(4), lib.round_robin(4)
+    skip, tests, names = analysis.must_not_precede(rule), strategies.first_order(rule), strategies.result_columns(pattern)
+    old, both = e.where(F.col("first") <= low), e.where(F.col("first") <= high)
+    delta = matching.match_delta(old, both.where(F.col("first") > low), both, pattern, None, skip, tests)
+    lasting = matching.match_lasting(e, low, high, pattern, None, skip, tests)
+    firsts, last = [F.col(f"f{i}") for i in range(1, 5)], F.greatest(*(f"l{i}" for i in range(1, 5)))
+    whole = matching.match(e, pattern, predicates=tests).where((F.greatest(*firsts) > low) & (F.greatest(*firsts) <= high))
+    for got, want in ((delta, whole), (lasting, whole.where(last > high))):
+        assert sorted(map(tuple, got.select(names).collect())) == sorted(map(tuple, want.select(names).collect())) and want.count()
+        assert "Union" not in plan(got)
+    kept = []
+    monkeypatch.setattr(strategies, "settle", lambda df, label, f=strategies.settle: (out := f(df, label), kept.append((label, out)))[0])
+    got, want = (sorted(map(tuple, f(g, pattern, rule).collect())) for f in (strategies.solve_ondemand, strategies.solve_full))
+    assert got == want and want
+    assert kept[0][1].where("(ts is null) <> (first = last)").count() == 0 and all(df.where("ts1 is null").count() == 0 for label, df in kept if label == "slab")
