@@ -215,3 +215,17 @@ def test_ondemand_makes_the_halves_of_a_cycle_once_and_without_single_times(spar
     got, want = (sorted(map(tuple, f(g, pattern, rule).collect())) for f in (strategies.solve_ondemand, strategies.solve_full))
     assert got == want and want
     assert kept[0][1].where("(ts is null) <> (first = last)").count() == 0 and all(df.where("ts1 is null").count() == 0 for label, df in kept if label == "slab")
+
+
+def test_full_runs_the_rule_once_for_edges_of_equal_activity(spark):
+    rng = random.Random(4)
+    edges = {(a, b): sorted(rng.sample(range(1, 4), rng.randrange(1, 3))) for a in range(1, 15) for b in range(1, 6) if a != b}
+    g = gr.from_activity(spark.createDataFrame([(*e, t) for e, ts in edges.items() for t in ts], "src long, dst long, t long"))
+    whole = gr.packed(g)
+    for pattern, rule in ((pt.in_star(2), lib.round_robin(2)), (pt.path(2), lib.never_together()), (pt.Pattern.of("(a)-[]->(b), (b)-[]->(c)", distinct_edges=True), lib.together_for(2, "points"))):
+        got = strategies.solve_full(g, pattern, rule)
+        rows = strategies.verdicts(g, pattern, rule).where("accepted").select(strategies.result_columns(pattern))
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, rows.collect())) and rows.count(), (pattern, rule)
+        assert "Generate" in plan(got).split("Join")[0]
+    pairs = matching.match_alike(whole, pt.in_star(2))
+    assert pairs.count() < matching.match(whole, pt.in_star(2)).count() == matching.each(pairs, pt.in_star(2)).count()
