@@ -229,3 +229,17 @@ def test_full_runs_the_rule_once_for_edges_of_equal_activity(spark):
         assert "Generate" in plan(got).split("Join")[0]
     pairs = matching.match_alike(whole, pt.in_star(2))
     assert pairs.count() < matching.match(whole, pt.in_star(2)).count() == matching.each(pairs, pt.in_star(2)).count()
+
+
+def test_ondemand_runs_and_stores_edges_of_equal_activity_once(spark, monkeypatch):
+    rng = random.Random(6)
+    edges = {(a, b): sorted(rng.sample(range(1, 6), rng.randrange(1, 3))) for a in range(1, 15) for b in range(1, 5) if a != b}
+    g = gr.from_activity(spark.createDataFrame([(*e, t) for e, ts in edges.items() for t in ts], "src long, dst long, t long"))
+    kept = []
+    monkeypatch.setattr(strategies, "settle", lambda df, label, f=strategies.settle: (out := f(df, label), kept.append((label, out)))[0])
+    for pattern, rule in ((pt.in_star(2), lib.round_robin(2)), (pt.path(2), lib.timed_alternation(2)), (pt.in_star(2), lib.together_for(2, "points"))):
+        got = strategies.solve_ondemand(g, pattern, rule, slabs=2)
+        rows = strategies.verdicts(g, pattern, rule).where("accepted").select(strategies.result_columns(pattern))
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, rows.collect())) and rows.count(), (pattern, rule)
+    slabs = [df for label, df in kept if label == "slab"]
+    assert all("same1" in df.columns and "e1" not in df.columns for df in slabs) and any(df.where("size(same1) * size(same2) > 1").count() for df in slabs)
